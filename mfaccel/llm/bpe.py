@@ -148,17 +148,20 @@ def decode(coded: DataFrame, path: str, pattern: str, *, doc_col: str = "doc_id"
     return map_batches(coded.select(doc_col, ids_col), make, f"{doc_col} {kind}, decoded binary, text string")
 
 
-def round_trip(docs: DataFrame, path: str, pattern: str, *, doc_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_col, n_tokens, ids_sha256, decoded_sha256: every text is encoded, then decoded from the ids alone."""
+def round_trip(docs: DataFrame, path: str, pattern: str, *, doc_col: str = "doc_id", text_col: str = "text", keep_ids: bool = False) -> DataFrame:
+    """doc_col, n_tokens, ids_sha256, decoded_sha256, and with keep_ids the ids: every text is encoded, then decoded
+    from the ids alone."""
     kind = docs.schema[doc_col].dataType.simpleString()
 
     def each(own: Codec, texts: list[bytes | None]):
         packed = own.packed([(t or b"").decode(errors="replace") for t in texts])
+        ids = [pa.array([np.frombuffer(p, "<i4") for p in packed], pa.list_(pa.int32()))] if keep_ids else []
         return [
             pa.array([len(p) // 4 for p in packed], pa.int64()),
             pa.array([hashlib.sha256(p).hexdigest() for p in packed]),
             pa.array([hashlib.sha256(own.joined(p)).hexdigest() for p in packed]),
+            *ids,
         ]
 
-    schema = f"{doc_col} {kind}, n_tokens bigint, ids_sha256 string, decoded_sha256 string"
+    schema = f"{doc_col} {kind}, n_tokens bigint, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * keep_ids
     return _mapped(docs, [F.col(doc_col), raw(text_col).alias("_raw")], path, pattern, schema, each)

@@ -70,3 +70,66 @@ def slices(batch: pa.RecordBatch, column: int, limit: int = 4 << 20) -> Iterator
         held += n
     if start < batch.num_rows:
         yield batch.slice(start)
+
+
+def keep_rows(df: DataFrame, column: str, make: Callable[[], Callable[[list[bytes | None]], list[bool]]]) -> DataFrame:
+    """The rows, all columns as they are, whose text passes; texts come as UTF-8 bytes, null as None."""
+    at = df.columns.index(column)
+
+    def start():
+        passes = make()
+
+        def work(batch):
+            for part in slices(_with_bytes(batch, at), at):
+                kept = pa.array(passes(part.column(at).to_pylist()), pa.bool_())
+                yield pa.RecordBatch.from_arrays([c.cast(f.type) for c, f in zip(part.filter(kept).columns, batch.schema, strict=True)], schema=batch.schema)
+
+        return work
+
+    return map_batches(df, start, df.schema)
+
+
+def _with_bytes(batch: pa.RecordBatch, at: int) -> pa.RecordBatch:
+    columns = list(batch.columns)
+    columns[at] = columns[at].cast(pa.binary())
+    return pa.RecordBatch.from_arrays(columns, names=[f"c{k}" for k in range(len(columns))])
+
+
+def labelled_features(
+    docs: DataFrame, labels: DataFrame, label_col: str, where: F.Column, make_codes: Callable[[bytes | None], "object"],
+    doc_col: str, text_col: str, most_rows: int, most_codes: int,
+) -> list[tuple[bytes, int]]:
+    """(packed int32 codes, label) of at most `most_rows` labelled documents in the order of a hash of their ids, with
+    at most `most_codes` codes in all; ids whose labels contradict each other are left out."""
+    spark = docs.sparkSession
+    chosen = labels.where(where & F.col(label_col).isNotNull() & F.col(doc_col).isNotNull()).select(F.col(doc_col).alias("id"), F.col(label_col).cast("int").alias("y"))
+    rows = chosen.orderBy(F.xxhash64("id"), "id", "y").limit(most_rows).collect()
+    seen: dict = {}
+    for r in rows:
+        seen.setdefault(r.id, set()).add(r.y)
+    of = {k: next(iter(v)) for k, v in seen.items() if len(v) == 1}
+    if not of:
+        return []
+    kind = docs.schema[doc_col].dataType.simpleString()
+    ids = F.broadcast(spark.createDataFrame([(k,) for k in of], f"id {kind}"))
+
+    def start():
+        def work(batch):
+            for part in slices(batch, 1):
+                packed = [make_codes(t).astype("<i4").tobytes() for t in part.column(1).to_pylist()]
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(packed, pa.binary())], ["id", "codes"])
+
+        return work
+
+    texts = docs.select(F.col(doc_col).alias("id"), raw(text_col).alias("text")).join(ids, "id")
+    found = cut(map_batches(texts, start, f"id {kind}, codes binary"))
+    sizes = found.select("id", (F.octet_length("codes") / 4).cast("long").alias("n")).orderBy(F.xxhash64("id")).limit(most_rows).collect()
+    total, last = 0, None
+    for r in sizes:
+        if total + r.n > most_codes and total:
+            break
+        total, last = total + r.n, r.id
+    within = {r.id for r in sizes[: next((k for k, r in enumerate(sizes) if r.id == last), -1) + 1]} if sizes else set()
+    if len(within) < len({r.id for r in sizes}):
+        found = found.join(F.broadcast(spark.createDataFrame([(k,) for k in within], f"id {kind}")), "id")
+    return sorted((bytes(r.codes), of[r.id]) for r in found.limit(most_rows).collect())

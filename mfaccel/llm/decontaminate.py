@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from mfaccel.llm.common import LOWER_WORDS, cut, map_batches, raw, slices
+from mfaccel.llm.common import LOWER_WORDS, cut, keep_rows, map_batches, raw, slices
 
 WINDOW = 10
 #: Bytes of item text that one broadcast piece may hold. Its hash set takes about 30 times that in a worker.
@@ -203,27 +203,29 @@ def remove(docs: DataFrame, benchmark: DataFrame, *, mode: str = "documents", te
     words of the windows themselves (mode "spans"; other texts stay byte for byte)."""
     if mode not in ("documents", "spans"):
         raise ValueError(mode)
-    spark, names, out = docs.sparkSession, docs.columns, docs
-    at = names.index(text_col)
+    out = docs
     for piece in pieces_of(benchmark, item_col, item_text_col, piece_bytes):
-        shared = spark.sparkContext.broadcast(Windows([(r.item, bytes(r.text)) for r in piece.collect()], size))
+        shared = docs.sparkSession.sparkContext.broadcast(Windows([(r.item, bytes(r.text)) for r in piece.collect()], size))
+        out = (_without_documents if mode == "documents" else _without_spans)(out, text_col, shared)
+    return out
 
-        def make(shared=shared):
-            windows = shared.value
 
-            def work(batch):
-                texts = [x.encode() if x is not None else None for x in batch.column(at).to_pylist()]
-                found = [windows.scan([t])[0] for t in texts]
-                if mode == "documents":
-                    yield batch.filter(pa.array([not runs for _, runs, _ in found]))
-                else:
-                    new = [without_words(t, runs).decode() if runs else t and t.decode() for t, (_, runs, _) in zip(texts, found, strict=True)]
-                    new = [x if x is not None or t is None else "" for x, t in zip(new, texts, strict=True)]
-                    columns = list(batch.columns)
-                    columns[at] = pa.array(new, batch.schema.field(at).type)
-                    yield pa.RecordBatch.from_arrays(columns, schema=batch.schema)
+def _without_documents(docs: DataFrame, text_col: str, shared) -> DataFrame:
+    return keep_rows(docs, text_col, lambda: lambda texts: [not runs for _, runs, _ in shared.value.scan(texts)])
 
-            return work
 
-        out = map_batches(out, make, docs.schema)
-    return out
+def _without_spans(docs: DataFrame, text_col: str, shared) -> DataFrame:
+    at = docs.columns.index(text_col)
+
+    def make():
+        def work(batch):
+            texts = batch.column(at).cast(pa.binary()).to_pylist()
+            found = (shared.value.scan([t])[0][1] for t in texts)
+            new = [without_words(t, runs) if runs else t for t, runs in zip(texts, found, strict=True)]
+            columns = list(batch.columns)
+            columns[at] = pa.array(new, pa.binary()).cast(batch.schema.field(at).type)
+            yield pa.RecordBatch.from_arrays(columns, schema=batch.schema)
+
+        return work
+
+    return map_batches(docs, make, docs.schema)
