@@ -7,8 +7,8 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from mfaccel.llm import bpe, decontaminate, digest, nbsvm, simhash, toxicity
-from mfaccel.llm.common import table
+from mfaccel.llm import bpe, decontaminate, digest, license_scan, lm_score, nbsvm, quotes, sharding, simhash, toxicity
+from mfaccel.llm.common import fresh_path, table
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -17,6 +17,26 @@ def op1_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.digest(decontaminate.flag(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark")))
 
 
+def op2_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Sixteen arrivals of different sizes, compacted; each document as the store gives it back."""
+    docs = table(spark, sf_dir, "documents")
+    store = sharding.ShardStore(spark, fresh_path(spark, "shards"), docs.schema)
+    spot = F.pmod(F.crc32(F.col("doc_id").cast("string").cast("binary")), F.lit(64))
+    arrival = F.when(spot < 32, spot % 4).when(spot < 56, 4 + spot % 6).otherwise(10 + spot % 6)
+    store.append_each(docs, F.format_string("%02d", arrival))
+    store.compact()
+    store.vacuum()
+    return store.read().select("doc_id", "lang", "source", F.length("text").cast("long").alias("n_chars"), F.sha2(F.col("text").cast("binary"), 256).alias("text_sha256"))
+
+
+def op3_lm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Target: the documents that are labelled as good."""
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    good = table(spark, sf_dir, "labels").groupBy("doc_id").agg((F.min("quality") == 1).alias("good"))
+    models = lm_score.fit(docs.join(good, "doc_id", "left"), F.col("good"))
+    return lm_score.score(docs, models)
+
+
 def op4_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     return nbsvm.score(docs, nbsvm.fit(docs, table(spark, sf_dir, "labels")))
@@ -27,11 +47,19 @@ def op5_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select(F.col("id").alias("doc_id"), F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), F.col("component").alias("component_id"))
 
 
+def op6_quotation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quotes.linked(table(spark, sf_dir, "conversations"))
+
+
 def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     return toxicity.score(docs, toxicity.fit(docs, table(spark, sf_dir, "labels")))
 
 
+def op9_license(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return license_scan.scan(table(spark, sf_dir, "documents"))
+
+
 def tokenizer_file() -> tuple[str, str]:
     import public_tokenizers
 
@@ -47,7 +75,11 @@ def op10_digest(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    return {f.__name__: f for f in (op1_decontamination, op4_quality, op5_simhash, op7_toxicity, op8_bpe, op10_digest)}
+    found = (
+        op1_decontamination, op2_sharding, op3_lm_score, op4_quality, op5_simhash,
+        op6_quotation, op7_toxicity, op8_bpe, op9_license, op10_digest,
+    )
+    return {f.__name__: f for f in found}
 
 
 _WORDS = r"regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+')"
@@ -74,5 +106,8 @@ FROM doc_words LEFT JOIN hit USING (doc_id) LEFT JOIN items USING (doc_id)
 """
 
 
+OP2_SQL = "SELECT doc_id, lang, source, CAST(length(text) AS BIGINT) AS n_chars, sha256(text) AS text_sha256 FROM documents"
+
+
 def oracle_sql() -> dict[str, str]:
-    return {"op1_decontamination": OP1_SQL}
+    return {"op1_decontamination": OP1_SQL, "op2_sharding": OP2_SQL}
