@@ -30,10 +30,11 @@ def op2_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_lm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Target: the documents that are labelled as good."""
+    """Target: the documents that are labelled as good. The merge hint makes the join the same at every size: the labels grow
+    with the corpus, so they are never broadcast."""
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     good = table(spark, sf_dir, "labels").groupBy("doc_id").agg((F.min("quality") == 1).alias("good"))
-    models = lm_score.fit(docs.join(good, "doc_id", "left"), F.col("good"))
+    models = lm_score.fit(docs.join(good.hint("merge"), "doc_id", "left"), F.col("good"))
     return lm_score.score(docs, models)
 
 
