@@ -178,7 +178,8 @@ def _edges(left: np.ndarray, right: np.ndarray) -> pa.RecordBatch:
 
 
 def links(points: DataFrame, *, bits: int = BITS, shard: int = SHARD, sample: int = SAMPLE) -> DataFrame:
-    """(a, b): links between distinct fingerprints `fp` at `bits` or fewer differing bits, spanning every class."""
+    """(a, b): pairs of distinct fingerprints `fp` of one class that span it; a class is what links of `bits` or fewer
+    differing bits connect."""
     spark = points.sparkSession
     count = points.count()
     drawn = points.select("fp").orderBy(F.xxhash64("fp"), "fp").limit(sample).collect()
