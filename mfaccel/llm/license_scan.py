@@ -3,8 +3,8 @@
 DataFrame functions only on the path of the documents. A line that holds a cue word is a candidate paragraph. Its
 distinct n-grams of one to three words meet the weights of a multinomial logistic regression (a small table, fixed by
 the templates), sums of weights give a class for each paragraph, and two checks follow: the probability, after
-calibration by a temperature, must reach SURE, and the share of the paragraph's or the template's n-grams that both have must
-reach ALIKE. A paragraph that fails, or whose class is "unknown", counts as unknown.
+calibration by a temperature, must reach SURE, and the likeness to a template of that family must reach ALIKE: the share of
+its distinctive n-grams that the paragraph has, or the share of the paragraph that is the template's. A paragraph that fails, or whose class is "unknown", counts as unknown.
 
 The classifier is trained on the templates below, on cut and padded versions of them, and, for the class
 "unknown", on sentences that speak of rights without any known licence. The temperature makes held-out
@@ -126,10 +126,14 @@ def candidates(docs: DataFrame, *, doc_col: str = "doc_id", text_col: str = "tex
     return rows.select("id", F.explode(F.split("text", r"\r?\n")).alias("text")).where(cued).select("id", F.col("text").alias("line")).distinct()
 
 
-def _runs_of(words: Column, n: int) -> Column:
-    """All runs of n words."""
-    starts = F.sequence(F.lit(1), F.size(words) - (n - 1))
-    return F.when(F.size(words) >= n, F.transform(starts, lambda i: F.array_join(F.slice(words, i, n), " "))).otherwise(F.array().cast("array<string>"))
+def _grams(words: Column) -> Column:
+    """Distinct runs of one to MOST words. Each array is made once from the one before it, so long lines cost their length."""
+    runs, out = words, words
+    for n in range(2, MOST + 1):
+        rest = F.slice(words, n, F.greatest(F.size(words), F.lit(n)) - (n - 1))
+        runs = F.zip_with(F.slice(runs, 1, F.size(rest)), rest, lambda head, word: F.concat_ws(" ", head, word))
+        out = F.concat(out, runs)
+    return F.array_distinct(out)
 
 
 def scan_lines(lines: DataFrame) -> DataFrame:
@@ -138,13 +142,17 @@ def scan_lines(lines: DataFrame) -> DataFrame:
     weights, bias, heat = model()
     known = template_grams()
     names = list(TEMPLATES)
-    in_template = [(g, k, t) for k, n in enumerate(names) for t, grams in enumerate(known[n]) for g in grams]
+    families_of: dict[str, set[int]] = defaultdict(set)
+    for k, n in enumerate(names):
+        for grams in known[n]:
+            for g in grams:
+                families_of[g].add(k)
+    in_template = [(g, k, t, len(families_of[g]) == 1) for k, n in enumerate(names) for t, grams in enumerate(known[n]) for g in sorted(grams)]
     rows = [(g, w) for g, w in weights.items()]
     table = F.broadcast(spark.createDataFrame(rows, "gram string, w array<double>"))  # fixed size: from the templates alone
     parts = F.filter(F.transform(F.split(F.lower("line"), _NOT_WORD), lambda x: F.substring(F.trim(F.regexp_replace(x, r"^[.-]+|[.-]+$", "")), 1, 64)), lambda x: x != "")
     words = lines.select("id", F.sha2(F.col("line").cast("binary"), 256).alias("line_key"), parts.alias("words"))
-    n_grams = [_runs_of(F.col("words"), n) for n in range(1, MOST + 1)]
-    grams = words.select("id", "line_key", F.array_distinct(F.concat(*n_grams)).alias("grams"))
+    grams = words.select("id", "line_key", _grams(F.col("words")).alias("grams"))
     one = grams.select("id", "line_key", F.size("grams").alias("n_grams"), F.explode("grams").alias("gram"))
     z = [((F.coalesce(F.sum(F.col("w")[k]), F.lit(0.0)) + bias[k]) / heat).alias(f"z{k}") for k in range(len(FAMILIES))]
     scored = one.join(table, "gram", "left").groupBy("id", "line_key").agg(F.first("n_grams").alias("n_grams"), *z)
@@ -152,21 +160,25 @@ def scan_lines(lines: DataFrame) -> DataFrame:
     scored = scored.withColumn("top", F.array_max(zs)).withColumn("at", (F.array_position(zs, F.col("top")) - 1).cast("int"))
     probability = 1 / F.aggregate(zs, F.lit(0.0), lambda s, x: s + F.exp(x - F.col("top")))
     scored = scored.select("id", "line_key", "n_grams", "at", probability.alias("probability"))
-    likeness = _likeness(one, scored, in_template, known, names)
+    likeness = _likeness(one, scored, in_template)
     out = scored.join(likeness, ["id", "line_key"], "left").withColumn("likeness", F.coalesce("likeness", F.lit(0.0)))
     family = F.element_at(F.array(*map(F.lit, FAMILIES)), F.col("at") + 1)
     confirmed = (F.col("at") < len(TEMPLATES)) & (F.col("probability") >= SURE) & (F.col("likeness") >= ALIKE)
     return out.select("id", "line_key", F.when(confirmed, family).otherwise("unknown").alias("family"), "probability", "likeness", confirmed.alias("confirmed"))
 
 
-def _likeness(one: DataFrame, scored: DataFrame, in_template: list, known: dict, names: list[str]) -> DataFrame:
-    """The best share of common n-grams with a template of the predicted family: of the line's or of the template's."""
+def _likeness(one: DataFrame, scored: DataFrame, in_template: list) -> DataFrame:
+    """How well a line fits the best template of its predicted family: the share of the template's own n-grams (those of no
+    other family) that the line has, or, if it has any, the share of the line's n-grams that are the template's."""
     spark = one.sparkSession
-    table = F.broadcast(spark.createDataFrame(in_template, "gram string, at int, t int"))
-    sizes = F.broadcast(spark.createDataFrame([(k, t, len(g)) for k, n in enumerate(names) for t, g in enumerate(known[n])], "at int, t int, size int"))
-    common = one.select("id", "line_key", "gram").join(table, "gram").groupBy("id", "line_key", "at", "t").agg(F.count("*").alias("common"))
-    found = common.join(scored, ["id", "line_key", "at"]).join(sizes, ["at", "t"])
-    share = F.greatest(F.col("common") / F.col("n_grams"), F.col("common") / F.col("size"))
+    sizes: dict[tuple[int, int], int] = defaultdict(int)
+    for _, k, t, own in in_template:
+        sizes[k, t] += own
+    table = F.broadcast(spark.createDataFrame(in_template, "gram string, at int, t int, own boolean"))  # fixed size
+    size = F.broadcast(spark.createDataFrame([(k, t, n) for (k, t), n in sizes.items()], "at int, t int, size int"))
+    common = one.select("id", "line_key", "gram").join(table, "gram").groupBy("id", "line_key", "at", "t").agg(F.count("*").alias("common"), F.count_if("own").alias("own"))
+    found = common.join(scored, ["id", "line_key", "at"]).join(size, ["at", "t"]).where("own > 0")
+    share = F.greatest(F.col("own") / F.col("size"), F.col("common") / F.col("n_grams"))
     return found.groupBy("id", "line_key").agg(F.max(share).alias("likeness"))
 
 

@@ -54,21 +54,36 @@ def parsed(messages: DataFrame, *, conv_col: str = "conv_id", turn_col: str = "t
         ),
     )
     quoting = F.col("text").contains(">")
-    rows = rows.withColumn("lines", F.when(quoting, lines))
-    level = lambda i: F.get(F.col("lines.level"), i)
-    starts = F.filter(F.sequence(F.lit(0), F.size("lines") - 1), lambda i: (i == 0) | (level(i) != level(i - 1)))
-    rows = rows.withColumn("starts", F.when(quoting, starts))
-    runs = F.transform(
-        "starts",
-        lambda s, k: F.struct(
-            level(s).alias("level"), s.alias("at"),
-            F.array_join(F.transform(F.slice("lines", s + 1, F.coalesce(F.get("starts", k + 1), F.size("lines")) - s), lambda x: x["body"]), "\n").alias("text"),
-        ),
+    made = _let(lines, lambda found: _let(F.transform(found, lambda x: x["level"]), lambda levels: _let(_starts(levels), lambda starts: _message(found, levels, starts))))
+    rows = rows.withColumn("made", F.when(quoting, made))
+    none = F.array().cast("array<struct<level:int,at:int,text:string>>")
+    return rows.select(
+        "conv", "turn", "role", F.when(quoting, F.col("made.own")).otherwise(F.col("text")).alias("own"),
+        F.when(quoting, F.col("made.passages")).otherwise(none).alias("passages"), F.coalesce("made.max_level", F.lit(0)).alias("max_level"),
     )
-    kept = F.filter(F.col("lines"), lambda x, i: (x["level"] == 0) & ~(x["body"].rlike(_INTRODUCES) & (F.coalesce(level(i + 1), F.lit(0)) > 0)))
-    own = F.when(quoting, F.trim(F.array_join(F.transform(kept, lambda x: x["body"]), "\n"))).otherwise(F.col("text"))
-    passages = F.when(quoting, F.filter(runs, lambda r: r["level"] > 0)).otherwise(F.array().cast("array<struct<level:int,at:int,text:string>>"))
-    return rows.select("conv", "turn", "role", own.alias("own"), passages.alias("passages"), F.coalesce(F.array_max(F.col("lines.level")), F.lit(0)).alias("max_level"))
+
+
+def _let(value: Column, use) -> Column:
+    """use(value), with the value computed once: nested lambdas see a variable, not the expression again for every element."""
+    return F.get(F.transform(F.array(value), use), 0)
+
+
+def _starts(levels: Column) -> Column:
+    return F.filter(F.sequence(F.lit(0), F.size(levels) - 1), lambda i: (i == 0) | (F.get(levels, i) != F.get(levels, i - 1)))
+
+
+def _message(found: Column, levels: Column, starts: Column) -> Column:
+    """Own text, quoted passages and the highest level of a message that may quote."""
+
+    def text(some: Column) -> Column:
+        return F.array_join(F.transform(some, lambda x: x["body"]), "\n")
+
+    runs = F.transform(
+        starts,
+        lambda s, k: F.struct(F.get(levels, s).alias("level"), s.alias("at"), text(F.slice(found, s + 1, F.coalesce(F.get(starts, k + 1), F.size(levels)) - s)).alias("text")),
+    )
+    kept = F.filter(found, lambda x, i: (x["level"] == 0) & ~(x["body"].rlike(_INTRODUCES) & (F.coalesce(F.get(levels, i + 1), F.lit(0)) > 0)))
+    return F.struct(F.trim(text(kept)).alias("own"), F.filter(runs, lambda r: r["level"] > 0).alias("passages"), F.array_max(levels).alias("max_level"))
 
 
 def links(messages: DataFrame) -> DataFrame:
