@@ -98,7 +98,7 @@ def _with_bytes(batch: pa.RecordBatch, at: int) -> pa.RecordBatch:
 def labelled_features(
     docs: DataFrame, labels: DataFrame, label_col: str, where: F.Column, make_codes: Callable[[bytes | None], "object"],
     doc_col: str, text_col: str, most_rows: int, most_codes: int,
-) -> list[tuple[bytes, int]]:
+) -> list[tuple[bytes | bytearray, int]]:
     """(packed int32 codes, label) of at most `most_rows` labelled documents in the order of a hash of their ids, with
     at most `most_codes` codes in all; ids whose labels contradict each other are left out."""
     spark = docs.sparkSession
@@ -132,4 +132,5 @@ def labelled_features(
     within = {r.id for r in sizes[: next((k for k, r in enumerate(sizes) if r.id == last), -1) + 1]} if sizes else set()
     if len(within) < len({r.id for r in sizes}):
         found = found.join(F.broadcast(spark.createDataFrame([(k,) for k in within], f"id {kind}")), "id")
-    return sorted((bytes(r.codes), of[r.id]) for r in found.limit(most_rows).collect())
+    rows = sorted(found.limit(most_rows).collect(), key=lambda r: (r.id, len(r.codes)))
+    return [(r.codes, of[r.id]) for r in rows]

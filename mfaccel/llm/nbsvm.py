@@ -50,7 +50,7 @@ class NbSvm:
         """Dual coordinate descent for the squared hinge loss; each class gets the same total cost."""
         self.weight, self.bias = np.zeros(len(self.ratio)), 0.0
         dual, order = np.zeros(len(rows)), np.random.default_rng(7)
-        scaled = [self.ratio[c] / max(1e-9, np.linalg.norm(self.ratio[c])) for c in rows]
+        scaled = [(self.ratio[c] / max(1e-9, np.linalg.norm(self.ratio[c]))).astype(np.float32) for c in rows]
         ease = np.array([0.5 / (cost * len(signs) / (2 * (signs == s).sum())) for s in (-1.0, 1.0)])
         for _ in range(epochs):
             for k in order.permutation(len(rows)):
