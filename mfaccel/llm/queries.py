@@ -110,5 +110,60 @@ FROM doc_words LEFT JOIN hit USING (doc_id) LEFT JOIN items USING (doc_id)
 OP2_SQL = "SELECT doc_id, lang, source, CAST(length(text) AS BIGINT) AS n_chars, sha256(text) AS text_sha256 FROM documents"
 
 
+_MARKS = r"^((?:[ \t]?>)+)"
+
+
+def _units_sql(source: str, text: str, keep: str) -> str:
+    """Keys and sizes of the whole of a text, its paragraphs and its lines."""
+    parts = rf"list_concat([{text}], string_split_regex({text}, '\n[ \t]*\n'), string_split({text}, chr(10)))"
+    plain = r"trim(regexp_replace(lower(unit), '\s+', ' ', 'g'))"
+    return f"SELECT {keep}, sha256({plain}) AS key, length(unit) AS size FROM (SELECT {keep}, unnest({parts}) AS unit FROM {source}) WHERE {plain} <> ''"
+
+
+OP6_SQL = rf"""
+WITH RECURSIVE whole AS (
+  SELECT conv_id AS conv, turn, arg_min(role, (coalesce(text, ''), role)) AS role, min(coalesce(text, '')) AS text
+  FROM conversations WHERE conv_id IS NOT NULL AND turn IS NOT NULL GROUP BY conv_id, turn
+  UNION ALL SELECT conv_id, turn, role, coalesce(text, '') FROM conversations WHERE conv_id IS NULL OR turn IS NULL),
+m AS MATERIALIZED (SELECT row_number() OVER () AS no, * FROM whole),
+cut AS (SELECT no, string_split_regex(text, '\r?\n') AS parts FROM m WHERE contains(text, '>')),
+lines AS MATERIALIZED (
+  SELECT no, i, length(regexp_replace(regexp_extract(line, '{_MARKS}', 1), '[^>]', '', 'g')) AS level, regexp_replace(line, '{_MARKS}[ \t]?', '') AS body
+  FROM (SELECT no, unnest(parts) AS line, unnest(range(0, len(parts))) AS i FROM cut)),
+near_lines AS (SELECT *, lag(level) OVER w AS before, lead(level) OVER w AS after FROM lines WINDOW w AS (PARTITION BY no ORDER BY i)),
+own AS (
+  SELECT no, trim(string_agg(body, chr(10) ORDER BY i)) AS own FROM near_lines
+  WHERE level = 0 AND NOT (coalesce(after, 0) > 0 AND regexp_matches(body, '(?i)^\s*(on .*wrote|.*(?:schrieb|écrit|escribió))\s*:\s*$')) GROUP BY no),
+runs AS (SELECT *, sum(CASE WHEN before = level THEN 0 ELSE 1 END) OVER (PARTITION BY no ORDER BY i) AS run FROM near_lines),
+passages AS MATERIALIZED (SELECT no, level, min(i) AS spot, string_agg(body, chr(10) ORDER BY i) AS text FROM runs WHERE level > 0 GROUP BY no, level, run),
+parsed AS MATERIALIZED (
+  SELECT no, conv, turn, role, CASE WHEN contains(text, '>') THEN coalesce(own, '') ELSE text END AS own,
+    coalesce((SELECT max(level) FROM lines l WHERE l.no = m.no), 0) AS max_level, (SELECT count(*) FROM passages p WHERE p.no = m.no) AS n_quotes
+  FROM m LEFT JOIN own USING (no)),
+named AS (SELECT * FROM parsed WHERE conv IS NOT NULL AND turn IS NOT NULL),
+quotes AS MATERIALIZED (SELECT n.conv, n.turn, q.* FROM ({_units_sql('passages', 'text', 'no, level, spot')}) q JOIN named n USING (no)),
+originals AS (SELECT * FROM ({_units_sql('named', 'own', 'conv, turn')}) WHERE key IN (SELECT key FROM quotes)),
+near AS (SELECT key, conv, min(turn) AS near_turn FROM originals GROUP BY key, conv),
+far AS (SELECT key, min((conv, turn)) AS far FROM originals GROUP BY key),
+found AS (
+  SELECT q.*, CASE WHEN near_turn < q.turn THEN (q.conv, near_turn) WHEN far[1] <> q.conv THEN far END AS dest
+  FROM quotes q LEFT JOIN near n ON q.key = n.key AND q.conv = n.conv LEFT JOIN far f ON q.key = f.key),
+links AS MATERIALIZED (
+  SELECT conv, turn, dest[1] AS to_conv, dest[2] AS to_turn, n_linked FROM (
+    SELECT conv, turn, arg_min(dest, (-size, level, spot, dest)) AS dest, count(DISTINCT (level, spot)) AS n_linked
+    FROM found WHERE dest IS NOT NULL GROUP BY conv, turn)),
+walk AS (
+  SELECT conv, turn, to_conv AS tc, to_turn AS tt, 1 AS d FROM links
+  UNION ALL SELECT w.conv, w.turn, l.to_conv, l.to_turn, d + 1 FROM walk w JOIN links l ON l.conv = w.tc AND l.turn = w.tt WHERE d < 2000),
+tops AS (SELECT conv, turn, max(d) AS d, arg_max((tc, tt), d) AS top, least(min((tc, tt)), (conv, turn)) AS low FROM walk GROUP BY conv, turn)
+SELECT p.conv AS conv_id, p.turn, role, own AS text, CAST(max_level AS INTEGER) AS max_level, CAST(n_quotes AS INTEGER) AS n_quotes,
+  CAST(coalesce(n_linked, 0) AS BIGINT) AS n_linked, to_conv AS reply_conv, to_turn AS reply_turn,
+  CASE WHEN d IS NULL THEN p.conv WHEN d < 2000 THEN top[1] ELSE low[1] END AS root_conv,
+  CASE WHEN d IS NULL THEN p.turn WHEN d < 2000 THEN top[2] ELSE low[2] END AS root_turn,
+  CAST(CASE WHEN d IS NULL THEN 0 WHEN d < 2000 THEN d END AS BIGINT) AS depth
+FROM parsed p LEFT JOIN links l ON p.conv = l.conv AND p.turn = l.turn LEFT JOIN tops t ON p.conv = t.conv AND p.turn = t.turn
+"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {"op1_decontamination": OP1_SQL, "op2_sharding": OP2_SQL}
+    return {"op1_decontamination": OP1_SQL, "op2_sharding": OP2_SQL, "op6_quotation": OP6_SQL}

@@ -296,6 +296,31 @@ def test_quotes_link_and_leave(spark):
     assert quotes.linked(spark.createDataFrame([], "conv_id long, turn long, role string, text string")).count() == 0
 
 
+def test_quotes_equal_their_sql(spark):
+    import duckdb
+    from mfaccel.llm.queries import OP6_SQL
+
+    dice, rows = random.Random(4), []
+    for conv in range(12):
+        said = []
+        for turn in range(6):
+            text = dice.choice(["yes indeed", f"point {conv} {turn}", "a\n\nb c", "Hello  World", ""])
+            if said and dice.random() < 0.7:
+                other = dice.choice(said)
+                quoted = "\n".join(">" + dice.choice(["", " "]) + x for x in other.split("\n"))
+                text = dice.choice(["", "X wrote: \n", "On Tue X wrote:\n"]) + quoted + "\n" + text
+            said.append(text)
+            rows.append((conv, turn, "user", text))
+    rows += [(12, 0, "u", "> yes indeed\nnew thing"), (13, 0, None, None), (None, 1, "u", "> yes indeed")]
+    have = quotes.linked(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string"))
+    base = duckdb.connect()
+    base.execute("CREATE TABLE conversations (conv_id BIGINT, turn BIGINT, role VARCHAR, text VARCHAR)")
+    base.executemany("INSERT INTO conversations VALUES (?, ?, ?, ?)", rows)
+    want = base.execute(OP6_SQL).fetchall()
+    assert sorted(map(repr, map(tuple, have.collect()))) == sorted(map(repr, want))
+    assert sum(w[6] > 0 for w in want) > 20
+
+
 def test_rings_end_at_their_least_message(spark):
     ring = spark.createDataFrame([(1, 0, 2, 0), (2, 0, 3, 0), (3, 0, 1, 0), (4, 0, 3, 0)], "conv long, turn long, to_conv long, to_turn long")
     assert {(r.conv, r.root_conv, r.depth) for r in quotes.roots(ring).collect()} == {(k, 1, None) for k in (1, 2, 3, 4)}
