@@ -49,7 +49,8 @@ def op5_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op6_quotation(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return quotes.linked(table(spark, sf_dir, "conversations"))
+    """reply_conv and reply_turn are -1 where a message replies to none."""
+    return quotes.linked(table(spark, sf_dir, "conversations")).fillna(-1, ["reply_conv", "reply_turn"])
 
 
 def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -157,7 +158,7 @@ walk AS (
   UNION ALL SELECT w.conv, w.turn, l.to_conv, l.to_turn, d + 1 FROM walk w JOIN links l ON l.conv = w.tc AND l.turn = w.tt WHERE d < 2000),
 tops AS (SELECT conv, turn, max(d) AS d, arg_max((tc, tt), d) AS top, least(min((tc, tt)), (conv, turn)) AS low FROM walk GROUP BY conv, turn)
 SELECT p.conv AS conv_id, p.turn, role, own AS text, CAST(max_level AS INTEGER) AS max_level, CAST(n_quotes AS INTEGER) AS n_quotes,
-  CAST(coalesce(n_linked, 0) AS BIGINT) AS n_linked, to_conv AS reply_conv, to_turn AS reply_turn,
+  CAST(coalesce(n_linked, 0) AS BIGINT) AS n_linked, coalesce(to_conv, -1) AS reply_conv, coalesce(to_turn, -1) AS reply_turn,
   CASE WHEN d IS NULL THEN p.conv WHEN d < 2000 THEN top[1] ELSE low[1] END AS root_conv,
   CASE WHEN d IS NULL THEN p.turn WHEN d < 2000 THEN top[2] ELSE low[2] END AS root_turn,
   CAST(CASE WHEN d IS NULL THEN 0 WHEN d < 2000 THEN d END AS BIGINT) AS depth
