@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from mfaccel.llm.common import LOWER_WORDS, map_batches, raw, slices
+from mfaccel.llm.common import LOWER_WORDS, cut, map_batches, raw, slices
 
 VOCABULARY, CELL_BITS, SLICE_BITS = 65_536, 20, 14
 SHARE, ADDED = 0.7, 0.5
@@ -54,9 +54,24 @@ def word_counts(docs: DataFrame, text_col: str = "text") -> DataFrame:
 
 
 def vocabulary(docs: DataFrame, text_col: str = "text", most: int = VOCABULARY) -> dict[bytes, int]:
-    """The most frequent words, numbered from 2; 0 is any other word, 1 the start of a document."""
-    rows = word_counts(docs, text_col).orderBy(F.desc("n"), "word").limit(most).collect()
-    return {bytes(r.word): k + 2 for k, r in enumerate(rows)}
+    """The most frequent words, numbered from 2; 0 is any other word, 1 the start of a document.
+
+    Words are taken by classes of frequency (sixteen to a doubling), and in the last class that has room by a hash of the word, so
+    that two small histograms and the vocabulary itself are all that reaches the driver."""
+    words = cut(word_counts(docs, text_col).select("word", "n", F.floor(16 * F.log2("n")).alias("class"), F.pmod(F.xxhash64("word"), F.lit(1 << 16)).alias("spot")))
+    room, least, bound = most, 0, 0
+    for r in sorted(words.groupBy("class").agg(F.count("*").alias("k")).collect(), key=lambda r: -r["class"]):
+        if r.k > room:
+            least = r["class"] + 1
+            for s in sorted(words.where(F.col("class") == r["class"]).groupBy("spot").agg(F.count("*").alias("k")).collect(), key=lambda s: s.spot):
+                if s.k > room:
+                    break
+                room, bound = room - s.k, s.spot + 1
+            break
+        room -= r.k
+    kept = words.where((F.col("class") >= least) | ((F.col("class") == least - 1) & (F.col("spot") < bound))).collect()
+    kept.sort(key=lambda r: (-r.n, bytes(r.word)))
+    return {bytes(r.word): k + 2 for k, r in enumerate(kept)}
 
 
 def _ids(text: bytes | None, vocab: dict[bytes, int]) -> np.ndarray:

@@ -26,7 +26,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from mfaccel.llm.common import cut, map_batches, raw, slices
+from mfaccel.llm.common import cut, first_by_hash, map_batches, raw, slices
 
 SHINGLE, BITS, SEED = 4, 4, 42
 #: Fingerprints in a shard, rows of the sample that the shard tree is built from, and points in a leaf of a shard's own tree.
@@ -182,7 +182,7 @@ def links(points: DataFrame, *, bits: int = BITS, shard: int = SHARD, sample: in
     differing bits connect."""
     spark = points.sparkSession
     count = points.count()
-    drawn = points.select("fp").orderBy(F.xxhash64("fp"), "fp").limit(sample).collect()
+    drawn = first_by_hash(points.select("fp"), "fp", sample, count).collect()
     first = np.array([r.fp for r in drawn], np.int64).view(np.uint64)
     tree = spark.sparkContext.broadcast(ShardTree(first, max(1, min(-(-count // shard), sample // 4)), bits))
 

@@ -105,6 +105,13 @@ def test_tiers_hold_shards_of_similar_size():
 # --- language-model scoring -----------------------------------------------------------------------------------------------------
 
 
+def test_vocabulary_takes_the_most_frequent_words(spark):
+    texts = [" ".join(f"w{k}" for k in range(1, n)) for n in range(2, 40)]
+    vocab = lm_score.vocabulary(docs_of(spark, texts), most=12)
+    assert 8 <= len(vocab) <= 12 and {f"w{k}".encode() for k in range(1, 8)} <= set(vocab) and sorted(vocab.values()) == list(range(2, len(vocab) + 2))
+    assert len(lm_score.vocabulary(docs_of(spark, texts))) == 38 and not lm_score.vocabulary(docs_of(spark, [None, ""]))
+
+
 def test_scores_equal_brute_force_and_prefer_the_target(spark):
     texts = [*ODD, *lines(4, 30), *lines(5, 30, ("eins", "zwei", "drei", "vier"))]
     docs = docs_of(spark, texts)
