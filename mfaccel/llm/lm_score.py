@@ -1,4 +1,4 @@
-"""Language-model scoring by cross-entropy difference.
+"""Language-model scoring by cross-entropy difference, with models of a bounded size (op3_lm_score uses `lm_tables`, which has no bounds).
 
 Two bigram models, of target documents and of all documents (the background), share one vocabulary: the most frequent
 words of the whole corpus, all others being one unknown word. Both are made in the same way from all their documents:

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from mfaccel.llm import bpe, decontaminate, digest, license_scan, lm_score, nbsvm, quotes, sharding, simhash, toxicity
+from mfaccel.llm import bpe, decontaminate, digest, license_scan, lm_tables, nbsvm, quotes, sharding, simhash, toxicity
 from mfaccel.llm.common import fresh_path, table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -30,12 +30,9 @@ def op2_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_lm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Target: the documents that are labelled as good. The merge hint makes the join the same at every size: the labels grow
-    with the corpus, so they are never broadcast."""
-    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
-    good = table(spark, sf_dir, "labels").groupBy("doc_id").agg((F.min("quality") == 1).alias("good"))
-    models = lm_score.fit(docs.join(good.hint("merge"), "doc_id", "left"), F.col("good"))
-    return lm_score.score(docs, models)
+    """Target: the documents that are labelled as good."""
+    good = table(spark, sf_dir, "labels").groupBy("doc_id").agg((F.min("quality") == 1).alias("target"))
+    return lm_tables.score(table(spark, sf_dir, "documents"), good)
 
 
 def op4_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
