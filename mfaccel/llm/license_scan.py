@@ -1,6 +1,9 @@
 """Licence scans by a trained paragraph classifier, with template comparison.
 
-DataFrame functions only on the path of the documents. A line that holds a cue word is a candidate paragraph. Its
+DataFrame functions only on the path of the documents. Candidates are lines that hold a cue, which speaks of rights, or a mark: one of the
+distinctive n-grams of the templates, by the classifier's weights. Notices wrapped over lines are candidates too: runs of adjacent lines that each hold
+a cue, a mark or a lesser n-gram of the templates, in documents with a cue or mark. A blank line ends a run. A line with a mark alone counts only
+if it is confirmed, a run only if it is confirmed as a family that no line of the document is. A candidate's
 distinct n-grams of one to three words meet the weights of a multinomial logistic regression (a small table, fixed by
 the templates), sums of weights give a class for each paragraph, and two checks follow: the probability, after
 calibration by a temperature, must reach SURE, and the likeness to a template of that family must reach ALIKE: the share of
@@ -46,9 +49,12 @@ OTHERS = [
     "Licensed under the House Rules of the club, edition 7", "Released under the terms of the reader agreement", "This work is licensed under a custom license, version 1",
     "gnu are large antelopes", "no warranty is given", "the copyright page of the book", "licensed electrician with ten years of work",
 ]
-CUES = ("licen", "copyright", "permission", "warrant", "redistribut", "public domain", "gnu ", "spdx")
+#: Lower-case parts of a line that speak of rights: such a line is judged, and is "unknown" if no licence is confirmed.
+CUES = ("rights reserved", "released under", "distributed under", "licen", "copyright", "permission", "warrant", "redistribut", "public domain", "gnu ", "spdx")
 FAMILIES = [*TEMPLATES, "unknown"]
 SURE, ALIKE, MOST = 0.6, 0.5, 3
+#: Least weight of a licence over the class "unknown" for an n-gram that marks a line, and for one that joins a line to a run.
+MARKS, JOINS = 0.45, 0.1
 _NOT_WORD = r"[^a-z0-9.+-]+"
 
 
@@ -116,14 +122,64 @@ def template_grams() -> dict[str, list[set[str]]]:
     return {name: [grams_of(words_of(t)) for t in texts] for name, texts in TEMPLATES.items()}
 
 
+def _template_grams_over(least: float, tells) -> list[str]:
+    """N-grams of the templates whose weight exceeds that of "unknown" by `least` and that pass `tells`, without those that hold another."""
+    weights = model()[0]
+    over = {g for texts in template_grams().values() for grams in texts for g in grams if g in weights and max(weights[g][:-1]) - weights[g][-1] >= least and tells(g)}
+    return sorted(g for g in over if not any(h != g and h in g for h in over))
+
+
+@lru_cache(maxsize=1)
+def marks() -> list[str]:
+    """Lower-case parts of a line that name a licence: n-grams, or single words with a digit or a hyphen ("mit" alone is a German word)."""
+    return _template_grams_over(MARKS, lambda g: " " in g or "-" in g or any(c.isdigit() for c in g) and any(c.isalpha() for c in g))
+
+
+@lru_cache(maxsize=1)
+def joins() -> list[str]:
+    """N-grams, with a word of five letters or more, that a part of a wrapped notice holds."""
+    return _template_grams_over(JOINS, lambda g: " " in g and any(len(w) > 4 for w in g.split()))
+
+
+def _holds(text: Column, parts) -> Column:
+    found = None
+    for part in parts:
+        found = text.contains(part) if found is None else found | text.contains(part)
+    return found
+
+
 def candidates(docs: DataFrame, *, doc_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(id, line): distinct lines with a cue word."""
-    low = F.lower(F.col("text"))
-    cued = None
-    for cue in CUES:
-        cued = low.contains(cue) if cued is None else cued | low.contains(cue)
-    rows = docs.select(F.col(doc_col).alias("id"), F.col(text_col).cast("string").alias("text")).where(cued)
-    return rows.select("id", F.explode(F.split("text", r"\r?\n")).alias("text")).where(cued).select("id", F.col("text").alias("line")).distinct()
+    """(id, line, kind): distinct lines with a cue (kind 1) or only a mark (0), and runs of lines (2)."""
+
+    def plain(text: Column) -> Column:
+        return F.regexp_replace(F.lower(text), r"[ \t]+", " ")
+
+    text = F.col(text_col).cast("string")
+    either = _let(F.regexp_replace(F.lower(text), r"\s+", " "), lambda low: _holds(low, [*CUES, *marks()]))  # also where a line ends within a mark
+    rows = docs.select(F.col(doc_col).alias("id"), text.alias("text"), either.alias("either")).where("either").select("id", "text")
+
+    def unit(text: Column, kind: Column) -> Column:
+        return F.struct(text.alias("line"), kind.alias("kind"))
+
+    def judged(line: Column) -> Column:
+        return _let(plain(line), lambda x: F.when(_holds(x, CUES), 1).when(_holds(x, marks()), 0).when(_holds(x, joins()), -1))
+
+    def units(lines: Column, kinds: Column) -> Column:
+        spots = F.sequence(F.lit(0), F.size(lines) - 1)
+        alone = F.filter(F.transform(lines, lambda x, i: unit(x, F.get(kinds, i))), lambda u: u["kind"] >= 0)
+        first = F.filter(spots, lambda i: F.get(kinds, i).isNotNull() & ((i == 0) | F.get(kinds, i - 1).isNull()))
+        last = F.filter(spots, lambda i: F.get(kinds, i).isNotNull() & F.get(kinds, i + 1).isNull())
+        runs = F.filter(F.zip_with(first, last, lambda a, b: F.struct(a.alias("a"), b.alias("b"))), lambda r: r["b"] > r["a"])
+        joined = F.transform(runs, lambda r: unit(F.array_join(F.slice(lines, r["a"] + 1, r["b"] - r["a"] + 1), "\n"), F.lit(2)))
+        return F.concat(alone, joined)
+
+    made = _let(F.split("text", r"\r?\n"), lambda lines: _let(F.transform(lines, judged), lambda kinds: units(lines, kinds)))
+    return rows.select("id", F.explode(made).alias("u")).select("id", "u.line", "u.kind").distinct()
+
+
+def _let(value: Column, use) -> Column:
+    """use(value), with the value computed once."""
+    return F.get(F.transform(F.array(value), use), 0)
 
 
 def _grams(words: Column) -> Column:
@@ -137,7 +193,7 @@ def _grams(words: Column) -> Column:
 
 
 def scan_lines(lines: DataFrame) -> DataFrame:
-    """(id, line_key, family, probability, likeness, confirmed) of each candidate line."""
+    """(id, line_key, family, probability, likeness, confirmed) of each candidate; a key starts with its kind."""
     spark = lines.sparkSession
     weights, bias, heat = model()
     known = template_grams()
@@ -151,7 +207,7 @@ def scan_lines(lines: DataFrame) -> DataFrame:
     rows = [(g, w) for g, w in weights.items()]
     table = F.broadcast(spark.createDataFrame(rows, "gram string, w array<double>"))  # fixed size: from the templates alone
     parts = F.filter(F.transform(F.split(F.lower("line"), _NOT_WORD), lambda x: F.substring(F.trim(F.regexp_replace(x, r"^[.-]+|[.-]+$", "")), 1, 64)), lambda x: x != "")
-    words = lines.select("id", F.sha2(F.col("line").cast("binary"), 256).alias("line_key"), parts.alias("words"))
+    words = lines.select("id", F.concat(F.col("kind").cast("string"), F.sha2(F.col("line").cast("binary"), 256)).alias("line_key"), parts.alias("words"))
     grams = words.select("id", "line_key", _grams(F.col("words")).alias("grams"))
     one = grams.select("id", "line_key", F.size("grams").alias("n_grams"), F.explode("grams").alias("gram"))
     z = [((F.coalesce(F.sum(F.col("w")[k]), F.lit(0.0)) + bias[k]) / heat).alias(f"z{k}") for k in range(len(FAMILIES))]
@@ -186,11 +242,17 @@ def scan(docs: DataFrame, *, doc_col: str = "doc_id", text_col: str = "text") ->
     """doc_col, license (of the surest confirmed line; "unknown" if candidates but none; else "none"), licenses (all
     confirmed families), confidence, n_candidates, n_confirmed: one row per document."""
     lines = scan_lines(candidates(docs, doc_col=doc_col, text_col=text_col))
-    best = F.max(F.when(F.col("confirmed"), F.struct("probability", "likeness", "family")))
+    kind, sure = F.substring("line_key", 1, 1), F.struct("probability", "likeness", "family")
+    lines = lines.where(F.col("confirmed") | (kind == "1"))
+    alone = F.col("confirmed") & (kind != "2")
     by_doc = lines.groupBy(F.col("id").alias(doc_col)).agg(
-        best.alias("b"), F.array_sort(F.collect_set(F.when(F.col("confirmed"), F.col("family")))).alias("licenses"),
-        F.count("*").alias("n_candidates"), F.count_if("confirmed").alias("n_confirmed"),
-    )
+        F.max(F.when(alone, sure)).alias("of_lines"), F.collect_set(F.when(alone, F.col("family"))).alias("families"),
+        F.collect_set(F.when(kind == "2", sure)).alias("runs"), F.count_if(kind != "2").alias("n_lines"), F.count_if(alone).alias("n_alone"),
+    ).withColumn("runs", F.filter("runs", lambda r: ~F.array_contains("families", r["family"])))
+    by_doc = by_doc.select(
+        doc_col, F.greatest("of_lines", F.array_max("runs")).alias("b"), F.array_sort(F.array_union("families", F.transform("runs", lambda r: r["family"]))).alias("licenses"),
+        (F.col("n_lines") + F.size("runs")).alias("n_candidates"), (F.col("n_alone") + F.size("runs")).alias("n_confirmed"),
+    ).where("n_candidates > 0")
     out = docs.select(doc_col).join(by_doc, doc_col, "left")
     return out.select(
         doc_col,
