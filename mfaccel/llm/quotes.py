@@ -4,10 +4,10 @@ DataFrame functions only. A line's quote level is the number of leading ">" mark
 are passages; a passage, each of its paragraphs (parts between blank lines) and each of its lines give keys: a hash of the
 text in lower case with single spaces. A message is known by the keys of its own text (level 0), its paragraphs
 and its lines. A key links to the first message that has it: in the same conversation before the quoting one, else
-in any conversation but not itself. The longest unit that is found decides; of equal ones the lowest level, then the one that
+in any other conversation. The longest unit that is found decides; of equal ones the lowest level, then the one that
 stands first.
 
-Only messages with a quote give quote keys, and only keys that are quoted are looked up, one first message a key, so a
+Only messages with a quote give quote keys, and only keys that are quoted are looked up, the first messages of two conversations a key, so a
 text that a third of all messages share is one row on that side of the join. Roots and depths are found by doubling
 the steps to the parent, a logarithmic number of joins; chains across conversations count too, and a message that is
 quoted in a ring keeps the least message of the ring as its root.
@@ -96,10 +96,13 @@ def links(messages: DataFrame) -> DataFrame:
     originals = named.where("own <> ''").select("conv", "turn", F.explode(_units(F.col("own"))).alias("u")).select("conv", "turn", F.col("u.key").alias("key"))
     originals = originals.join(wanted, "key", "left_semi")
     near = originals.groupBy("key", "conv").agg(F.min("turn").alias("near_turn"))
-    far = originals.groupBy("key").agg(F.min(F.struct("conv", "turn")).alias("far"))
-    found = quotes.join(near, ["key", "conv"], "left").join(far, "key", "left")
+    first = F.struct("conv", F.col("near_turn").alias("turn"))
+    far = near.groupBy("key").agg(F.min(first).alias("far"))
+    # The next conversation that has the key, for quotes in the first.
+    second = near.join(far, "key").where(F.col("conv") != F.col("far.conv")).groupBy("key").agg(F.min(first).alias("next"))
+    found = quotes.join(near, ["key", "conv"], "left").join(far.join(second, "key", "left"), "key", "left")
     here = F.when(F.col("near_turn") < F.col("turn"), F.struct("conv", F.col("near_turn").alias("turn")))
-    there = F.when(F.col("far.conv") != F.col("conv"), F.col("far"))
+    there = F.when(F.col("far.conv") != F.col("conv"), F.col("far")).otherwise(F.col("next"))
     found = found.withColumn("to", F.coalesce(here, there)).where("to IS NOT NULL")
     best = F.min(F.struct((-F.col("size")).alias("s"), "level", "at", "to"))
     return found.groupBy("conv", "turn").agg(best.alias("b"), F.count_distinct("level", "at").alias("n_linked")).select("conv", "turn", F.col("b.to.conv").alias("to_conv"), F.col("b.to.turn").alias("to_turn"), "n_linked")
