@@ -3,7 +3,7 @@
 Grades are ordered: 0 is clean, and 1 to GRADES - 1 are ever more severe. One weight for each feature is shared by
 all thresholds: P(grade <= k) = logistic(threshold_k - w x). The labels say toxic or not, so the training grade of a toxic
 document is found from how many marker words it has: 1, 2-3, 4 or more occurrences (markers are the words that the
-labels make likely in toxic documents). Features are the words, word pairs and beginnings of words
+labels make likely in toxic documents; their pairs and beginnings do not count). Features are the words, word pairs and beginnings of words
 whose likelihood ratio against the label exceeds what chance gives over all features that could; their value is
 log2(1 + occurrences).
 
@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from mfaccel.llm import features
-from mfaccel.llm.common import keep_rows, labelled_features, map_batches, raw, slices
+from mfaccel.llm.common import LOWER_WORDS, keep_rows, labelled_features, map_batches, raw, slices
 
 TRAIN_ROWS, TRAIN_CODES = 8000, 16_000_000
 #: Number of grades, most features, and the least probability of any grade over 0 that makes a text toxic.
@@ -37,6 +37,11 @@ def _counted(text: bytes | None) -> np.ndarray:
     return np.concatenate([*features.words_view(text, pairs=True)[:2], features.stems_view(text)])
 
 
+def _counted_after_size(text: bytes | None) -> np.ndarray:
+    """The number of words, then the codes of _counted(), which begin with those of the words."""
+    return np.concatenate([[len((text or b"").translate(LOWER_WORDS).split())], _counted(text)])
+
+
 def _chance_ratio(a: np.ndarray, b: np.ndarray, n1: int, n0: int) -> np.ndarray:
     """Twice the log likelihood ratio of a 2 x 2 table, signed by the direction; a of n1 and b of n0 have the feature."""
 
@@ -48,7 +53,8 @@ def _chance_ratio(a: np.ndarray, b: np.ndarray, n1: int, n0: int) -> np.ndarray:
 
 
 class Ordinal:
-    def __init__(self, rows: list[np.ndarray], toxic: np.ndarray):
+    def __init__(self, rows: list[np.ndarray], toxic: np.ndarray, words: list[int]):
+        """`words`: how many codes at the start of each row are those of single words."""
         self.place = np.full(1 << features.BITS, -1, np.int16)
         self.weights, self.cuts = np.zeros(0), np.array([30.0] * (GRADES - 1))
         n1, n0 = int((toxic == 1).sum()), int((toxic != 1).sum())
@@ -63,7 +69,9 @@ class Ordinal:
         strong = strong[np.argsort(-np.abs(gain[strong]), kind="stable")][:FEATURES]
         self.place[strong] = np.arange(len(strong))
         x = np.stack([self._values(c) for c in rows]) if len(strong) else np.zeros((len(rows), 0))
-        hits = np.rint(2 ** x[:, gain[strong] > 0] - 1).sum(axis=1)
+        marker = np.zeros(1 << features.BITS, bool)
+        marker[strong[gain[strong] > 0]] = True
+        hits = np.array([int(marker[c[:n]].sum()) for c, n in zip(rows, words, strict=True)])
         grades = np.where(toxic == 1, 1 + (hits >= 2).astype(int) + (hits >= 4), 0)
         self._fit(x, grades)
 
@@ -105,8 +113,9 @@ class Ordinal:
 
 
 def fit(docs: DataFrame, labels: DataFrame, *, doc_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", most_rows: int = TRAIN_ROWS) -> Ordinal:
-    found = labelled_features(docs, labels, label_col, F.lit(True), _counted, doc_col, text_col, most_rows, TRAIN_CODES)
-    return Ordinal([np.frombuffer(c, "<i4") for c, _ in found], np.array([y for _, y in found]))
+    found = labelled_features(docs, labels, label_col, F.lit(True), _counted_after_size, doc_col, text_col, most_rows, TRAIN_CODES)
+    rows = [np.frombuffer(c, "<i4") for c, _ in found]
+    return Ordinal([c[1:] for c in rows], np.array([y for _, y in found]), [int(c[0]) for c in rows])
 
 
 def score(docs: DataFrame, model: Ordinal, *, doc_col: str = "doc_id", text_col: str = "text") -> DataFrame:
