@@ -22,8 +22,12 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, else (tests) a temporary one."""
-    return spark.conf.get("spark.checkpoint.dir", None) or os.path.join(tempfile.gettempdir(), "mfaccel-shared")
+    """The folder that driver and executors share: spark.checkpoint.dir, else, where both are one machine, a temporary one."""
+    if folder := spark.conf.get("spark.checkpoint.dir", None):
+        return folder
+    if spark.sparkContext.master.partition("[")[0] != "local":
+        raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
+    return os.path.join(tempfile.gettempdir(), "mfaccel-shared")
 
 
 def fresh_path(spark: SparkSession, what: str) -> str:

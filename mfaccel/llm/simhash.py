@@ -3,8 +3,8 @@
 A fingerprint bit is the strict majority over the XXH64 hashes (seed 42) of all word shingles. Distinct
 fingerprints are searched, never documents, so a group of equal texts is one point. A tree of vantage
 points, built from a bounded sample, cuts Hamming space into shards at median distances. Each fingerprint
-lives in one shard and visits every earlier shard that its ball of radius `bits` may reach by the triangle
-inequality; in a shard a second tree finds the exact links. A shard gives a spanning forest of its links, not
+lives in one shard, and its ball of radius `bits` may reach others by the triangle inequality; of two such shards one sends its
+points to the other. In a shard a second tree finds the exact links. A shard gives a spanning forest of its links, not
 all pairs, and star contraction joins the forests of all shards. No fingerprints or links reach the driver.
 
 Cost: a level of the tree discards about a sixth of the candidates at 4 bits of 64, so work grows as about
@@ -14,8 +14,8 @@ Words: ASCII letters are lower-cased; space and tab to carriage return separate.
 make one shingle; no word (null, empty) gives fingerprint zero, linked like any other.
 
 Edge cases: repeated rows share a fingerprint and a component; a row without id takes the component of
-its fingerprint if a row with id has it, else null, and links nothing; empty tables give no rows; other
-columns are ignored by components(); keep_first() returns all columns.
+its fingerprint if a row with id has it, else null, and links nothing; ids that are no whole numbers fail the query; empty tables
+give no rows; other columns are ignored. Which documents stay, at the similarity that a corpus needs, is for `near_copies`.
 """
 
 from __future__ import annotations
@@ -29,26 +29,34 @@ from pyspark.sql import functions as F
 from mfaccel.llm.common import cut, first_by_hash, map_batches, raw, slices
 
 SHINGLE, BITS, SEED = 4, 4, 42
-#: Fingerprints in a shard, rows of the sample that the shard tree is built from, and points in a leaf of a shard's own tree.
-SHARD, SAMPLE, LEAF = 4096, 16384, 128
-_BLOCK = 1 << 16
+#: Fingerprints in a shard, least and most rows of the sample that the shard tree is built from (four a shard between them), and points in a
+#: leaf of a shard's own tree. Above MOST / 4 shards, a billion fingerprints, shards grow.
+SHARD, SAMPLE, MOST, LEAF = 4096, 16384, 1 << 20, 128
 
 
-def fingerprint(text: bytes | None, shingle: int = SHINGLE) -> int:
+def shingle_hashes(text: bytes | None, size: int) -> np.ndarray:
+    """XXH64 of every shingle, with repeats."""
     words = text.lower().split() if text else []
     if not words:
-        return 0
+        return np.zeros(0, np.uint64)
     joined = b" ".join(words)
     edges = np.zeros(len(words) + 1, np.int64)
     np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1, out=edges[1:])
-    n = max(1, len(words) - shingle + 1)
-    firsts, ends = edges[:n].tolist(), (edges[min(shingle, len(words)) :] - 1).tolist()
+    n, digest = max(1, len(words) - size + 1), xxhash.xxh64_intdigest
+    spans = zip(edges[:n].tolist(), (edges[min(size, len(words)) :] - 1).tolist(), strict=True)
+    return np.fromiter((digest(joined[a:b], SEED) for a, b in spans), np.uint64, n)
+
+
+def majority(hashes: np.ndarray) -> int:
     votes = np.zeros(64, np.int64)
-    digest = xxhash.xxh64_intdigest
-    for k in range(0, n, _BLOCK):
-        block = [digest(joined[a:b], SEED) for a, b in zip(firsts[k : k + _BLOCK], ends[k : k + _BLOCK], strict=True)]
-        votes += np.unpackbits(np.array(block, "<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
-    return int(np.packbits(2 * votes > n, bitorder="little").view("<u8")[0])
+    for k in range(0, len(hashes), 1 << 16):
+        votes += np.unpackbits(hashes[k : k + (1 << 16)].astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+    return int(np.packbits(2 * votes > len(hashes), bitorder="little").view("<u8")[0])
+
+
+def fingerprint(text: bytes | None, shingle: int = SHINGLE) -> int:
+    hashes = shingle_hashes(text, shingle)
+    return majority(hashes) if len(hashes) else 0
 
 
 def fingerprints(docs: DataFrame, *, doc_col: str = "doc_id", text_col: str = "text", shingle: int = SHINGLE) -> DataFrame:
@@ -112,7 +120,9 @@ class ShardTree:
                 if reach.any():
                     todo.append((child, who[reach], (lives & own)[reach]))
         for node, who, lives in visits:
-            yield node, points[who[lives]], points[who[~lives & (home[who] > node)]]
+            # Of two shards, one sends its points to the other: the lower or the higher one, by the parity of their numbers.
+            sends = ((home[who] ^ node) & 1) == (home[who] > node)
+            yield node, points[who[lives]], points[who[~lives & sends]]
 
 
 class LinkFinder:
@@ -126,7 +136,9 @@ class LinkFinder:
             low = np.where(hits, theirs, len(points)).min(axis=1)
             high = np.where(hits, theirs, -1).max(axis=1)
             for k in np.flatnonzero((low != own) | (high != own)):
-                self._unite(self.root[np.append(leaf[hits[k]], owns[k])])
+                roots = self._linked_roots(leaf[hits[k]], owns[k])
+                if len(roots):
+                    self._unite(np.append(roots, self.root[owns[k]]))
 
     def _grow(self, which: np.ndarray, depth: int):
         cut_at = _split(self.points[which], depth) if len(which) > LEAF else None
@@ -152,6 +164,10 @@ class LinkFinder:
                 if some.any():
                     yield queries, part[some], node, hits[some]
 
+    def _linked_roots(self, candidates: np.ndarray, own: int) -> np.ndarray:
+        """Classes of points that are linked to an own one."""
+        return np.unique(self.root[candidates])
+
     def _unite(self, roots: np.ndarray) -> None:
         roots = np.unique(roots)
         if len(roots) > 1:
@@ -182,9 +198,11 @@ def links(points: DataFrame, *, bits: int = BITS, shard: int = SHARD, sample: in
     differing bits connect."""
     spark = points.sparkSession
     count = points.count()
-    drawn = first_by_hash(points.select("fp"), "fp", sample, count).collect()
-    first = np.array([r.fp for r in drawn], np.int64).view(np.uint64)
-    tree = spark.sparkContext.broadcast(ShardTree(first, max(1, min(-(-count // shard), sample // 4)), bits))
+    shards = max(1, -(-count // shard))
+    sample = min(max(sample, 4 * shards), MOST)
+    drawn = first_by_hash(points.select("fp"), "fp", sample, count).toPandas()
+    first = drawn.fp.to_numpy(np.int64).view(np.uint64)
+    tree = spark.sparkContext.broadcast(ShardTree(first, min(shards, sample // 4), bits))
 
     def send(batches):
         def packed(held):
@@ -267,26 +285,3 @@ def near_duplicates(docs: DataFrame, *, doc_col: str = "doc_id", text_col: str =
     shared = joined.where("root IS NOT NULL").groupBy("root").agg(F.min("least").alias("own"))
     labels = joined.join(shared, "root", "left").select("fp", F.coalesce("own", "least").alias("component"))
     return fps.join(labels, "fp", "left").select("id", "fp", "component")
-
-
-def keep_first(docs: DataFrame, *, doc_col: str = "doc_id", text_col: str = "text", shingle: int = SHINGLE, bits: int = BITS) -> DataFrame:
-    """The documents, all columns kept, that are the first (least id) of their class; a repeated row of it and,
-    beyond a class's first, rows without id go too."""
-    found = cut(near_duplicates(docs, doc_col=doc_col, text_col=text_col, shingle=shingle, bits=bits))
-    gone = found.where("id <> component").select(F.col("id").alias("_gone")).distinct()
-    kept = docs.join(gone, F.col(doc_col).cast("long") == F.col("_gone"), "left_anti")
-    odd = found.groupBy("id").agg(F.count("*").alias("n")).where("n > 1 OR id IS NULL").limit(1).count()
-    if odd:  # repeated or missing ids: choose a row of each class by its fingerprint
-        kept = _first_rows(kept, doc_col, text_col, shingle)
-    return kept
-
-
-def _first_rows(docs: DataFrame, doc_col: str, text_col: str, shingle: int) -> DataFrame:
-    """One row per (id, text); rows without id stay once per text unless a row with id has it."""
-    key = F.sha2(F.coalesce(F.col(text_col), F.lit("")).cast("binary"), 256)
-    names = docs.columns
-    rows = docs.select(F.struct(*[F.col(c) for c in names]).alias("row"), F.col(doc_col).alias("id"), key.alias("sha"))
-    best = rows.groupBy("id", "sha").agg(F.first("row").alias("row"))
-    named = best.where("id IS NOT NULL").select(F.col("sha").alias("known")).distinct()
-    lone = best.where("id IS NULL").join(named, F.col("sha") == F.col("known"), "left_anti")
-    return best.where("id IS NOT NULL").unionByName(lone.select("id", "sha", "row")).select("row.*")

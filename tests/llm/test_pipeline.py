@@ -2,7 +2,7 @@
 
 import sys
 
-from mfaccel.llm import decontaminate, nbsvm, simhash, toxicity
+from mfaccel.llm import decontaminate, nbsvm, near_copies, toxicity
 from mfaccel.llm.common import table
 
 FOLDER = "/root/testdata/sf0.01"
@@ -19,7 +19,7 @@ def test_stages_decide_as_their_operators_do(spark):
     good = corpus_pipeline.STAGES[1][1](spark, docs, FOLDER)
     assert ids(good) == ids(nbsvm.score(docs, nbsvm.fit(docs, labels)).where("predicted = 1"))
     single = corpus_pipeline.STAGES[2][1](spark, docs, FOLDER)
-    assert ids(single) == sorted({r.component for r in simhash.near_duplicates(docs).collect()})
+    assert ids(single) == ids(near_copies.keep_one(docs))
     free = corpus_pipeline.STAGES[3][1](spark, docs, FOLDER)
     assert ids(free) == ids(decontaminate.digest(decontaminate.flag(docs, bench)).where("NOT contaminated"))
     assert all(f.columns == docs.columns for f in (good, single, free))
