@@ -120,7 +120,7 @@ def labelled_features(
     at most `most_codes` codes in all; ids whose labels contradict each other are left out."""
     spark = docs.sparkSession
     chosen = labels.where(where & F.col(label_col).isNotNull() & F.col(doc_col).isNotNull()).select(F.col(doc_col).alias("id"), F.col(label_col).cast("int").alias("y"))
-    rows = first_by_hash(chosen, "id", most_rows).collect()
+    rows = first_by_hash(chosen.distinct(), "id", most_rows).collect()
     seen: dict = {}
     for r in rows:
         seen.setdefault(r.id, set()).add(r.y)
@@ -139,15 +139,16 @@ def labelled_features(
         return work
 
     texts = docs.select(F.col(doc_col).alias("id"), raw(text_col).alias("text")).join(ids, "id")
-    found = cut(map_batches(texts, start, f"id {kind}, codes binary"))
-    sizes = found.select("id", (F.octet_length("codes") / 4).cast("long").alias("n")).orderBy(F.xxhash64("id")).limit(most_rows).collect()
-    total, last = 0, None
+    found = cut(map_batches(texts, start, f"id {kind}, codes binary")).withColumn("h", F.xxhash64("codes"))
+    sizes = found.select("id", "h", (F.octet_length("codes") / 4).cast("long").alias("n")).distinct()
+    sizes = sizes.orderBy(F.xxhash64("id"), "id", "n", "h").limit(most_rows).collect()
+    total, taken = 0, []
     for r in sizes:
-        if total + r.n > most_codes and total:
+        if total and total + r.n > most_codes:
             break
-        total, last = total + r.n, r.id
-    within = {r.id for r in sizes[: next((k for k, r in enumerate(sizes) if r.id == last), -1) + 1]} if sizes else set()
-    if len(within) < len({r.id for r in sizes}):
-        found = found.join(F.broadcast(spark.createDataFrame([(k,) for k in within], f"id {kind}")), "id")
-    rows = sorted(found.limit(most_rows).collect(), key=lambda r: (r.id, len(r.codes)))
+        total += r.n
+        taken.append((r.id, r.h))
+    if len(taken) < found.count():  # beyond the bound, or repeated rows: each text of an id once
+        found = found.join(F.broadcast(spark.createDataFrame(taken, f"id {kind}, h bigint")), ["id", "h"]).dropDuplicates(["id", "h"])
+    rows = sorted(found.select("id", "codes").collect(), key=lambda r: (r.id, len(r.codes), r.codes))
     return [(r.codes, of[r.id]) for r in rows]

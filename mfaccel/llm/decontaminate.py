@@ -7,12 +7,13 @@ dictionary codes finds candidate windows in a bitmap, and the exact window decid
 Words: ASCII letters are lower-cased; digits, a-z and all code points from U+0080 on form words.
 
 Edge cases: a null or empty text has no words and no hits; an item with no words makes no window; an item
-whose id is null marks words but is not listed; repeated documents are kept as they are, repeated items
+whose id is null marks words but is not listed, ids that are no whole numbers fail the query; repeated documents are kept as they are, repeated items
 count once per id; empty tables work; other columns are ignored.
 """
 
 from __future__ import annotations
 
+import uuid
 from itertools import repeat
 
 import numpy as np
@@ -133,8 +134,8 @@ _RUNS = pa.list_(pa.struct([("first", pa.int64()), ("end", pa.int64())]))
 
 
 def pieces_of(benchmark: DataFrame, item_col: str, text_col: str, piece_bytes: int) -> list[DataFrame]:
-    """The items in pieces of about `piece_bytes` of text at most, by a hash of the item id."""
-    items = benchmark.select(F.col(item_col).cast("long").alias("item"), raw(text_col).alias("text")).where("text IS NOT NULL")
+    """The distinct items in pieces of about `piece_bytes` of text at most, by a hash of id and text."""
+    items = benchmark.select(F.col(item_col).cast("long").alias("item"), raw(text_col).alias("text")).where("text IS NOT NULL").distinct()
     total = items.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     n = -(-total // piece_bytes) or 1
     if n == 1:
@@ -203,13 +204,37 @@ def remove(docs: DataFrame, benchmark: DataFrame, *, mode: str = "documents", te
     words of the windows themselves (mode "spans"; other texts stay byte for byte)."""
     if mode not in ("documents", "spans"):
         raise ValueError(mode)
+    pieces = pieces_of(benchmark, item_col, item_text_col, piece_bytes)
+    if mode == "spans" and len(pieces) > 1:  # spans of all pieces go at once: words that one piece removes may belong to another's window
+        return _without_found_spans(docs, benchmark, text_col, item_col, item_text_col, size, piece_bytes)
     out = docs
-    for piece in pieces_of(benchmark, item_col, item_text_col, piece_bytes):
+    for turn, piece in enumerate(pieces):
+        if turn:  # one piece in a worker's memory at a time
+            out = cut(out)
         shared = docs.sparkSession.sparkContext.broadcast(Windows([(r.item, bytes(r.text)) for r in piece.collect()], size))
         out = (_without_documents if mode == "documents" else _without_spans)(out, text_col, shared)
     return out
 
 
+def _without_found_spans(docs: DataFrame, benchmark: DataFrame, text_col: str, item_col: str, item_text_col: str, size: int, piece_bytes: int) -> DataFrame:
+    """Spans by way of flag(): a document's other columns travel as one struct in place of its id."""
+    row, names = f"_row_{uuid.uuid4().hex}", docs.columns
+    rows = docs.select(F.struct(*[F.col(c) for c in names]).alias(row), F.col(text_col).alias("text"))
+    found = flag(rows, benchmark, doc_col=row, item_col=item_col, item_text_col=item_text_col, size=size, piece_bytes=piece_bytes, keep_text=True)
+    kind = docs.schema[text_col].dataType
+
+    def make():
+        def work(batch):
+            texts, runs = batch.column(0).to_pylist(), batch.column(1).to_pylist()
+            new = [without_words(t, [(x["first"], x["end"]) for x in r]) if r else t for t, r in zip(texts, runs, strict=True)]
+            yield pa.RecordBatch.from_arrays([pa.array(new, pa.binary()), batch.column(2)], ["text", row])
+
+        return work
+
+    new = map_batches(found.select("text", "runs", row), make, f"text binary, {row} {rows.schema[row].dataType.simpleString()}")
+    return new.select(*[F.col("text").cast("string").cast(kind).alias(c) if c == text_col else F.col(f"{row}.{c}").alias(c) for c in names])
+
+
 def _without_documents(docs: DataFrame, text_col: str, shared) -> DataFrame:
     return keep_rows(docs, text_col, lambda: lambda texts: [not runs for _, runs, _ in shared.value.scan(texts)])
 

@@ -61,11 +61,13 @@ def stems_view(text: bytes) -> np.ndarray:
     if -1 in rows:
         for k, row in enumerate(rows):
             if row < 0:
-                word = words[k]
+                word = words[k][: max(STEMS) + 1]  # the beginnings are all that counts
                 row = _STEM_ROWS.get(word, -1)
                 if row < 0:
-                    row = _STEM_ROWS[word[:512]] = len(_STEM_CODES)
+                    row = _STEM_ROWS[word] = len(_STEM_CODES)
                     _STEM_CODES.append(tuple(zlib.crc32(word[:n], n) >> (32 - BITS) if len(word) >= n else -1 for n in STEMS))
+                if len(words[k]) <= 64:
+                    _STEM_ROWS[words[k]] = row
                 rows[k] = row
     codes = np.array(list(map(_STEM_CODES.__getitem__, rows)), np.int64).reshape(-1)
     return codes[codes >= 0]

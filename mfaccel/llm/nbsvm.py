@@ -1,8 +1,8 @@
 """Quality classifier: naive Bayes support vectors.
 
 Indicators of n-grams (of words and of the text's shape) are scaled by the log ratio of their smoothed class
-counts; a linear squared-hinge model is fitted to the scaled, unit-length rows by dual coordinate descent, its
-weights are drawn towards their mean size, and a logistic curve through out-of-fold margins makes the score.
+counts; a linear hinge-loss model is fitted to the scaled, unit-length rows by dual coordinate descent, its weights on the
+scaled indicators are drawn towards their mean size (a positive number, so that a feature of class 0 speaks for class 0), and a logistic curve through out-of-fold margins makes the score.
 
 The fit takes a bounded sample of labelled rows (TRAIN_ROWS, TRAIN_CODES), in the order of a hash of their ids, and is
 done in the driver; scoring reads every whole text once, with a model of fixed size.
@@ -28,7 +28,7 @@ THRESHOLD, FOLDS = 0.3, 5
 
 
 class NbSvm:
-    def __init__(self, rows: list[np.ndarray], labels: np.ndarray, *, alpha: float = 1.0, cost: float = 1.0, beta: float = 0.75, epochs: int = 10):
+    def __init__(self, rows: list[np.ndarray], labels: np.ndarray, *, alpha: float = 1.0, cost: float = 1.0, beta: float = 0.75, epochs: int = 10, keep: bool = False):
         dim, positive = 1 << features.BITS, labels == 1
         self.share = (positive.sum() + 1) / (len(labels) + 2)
         self.ratio = self.weight = None
@@ -40,28 +40,31 @@ class NbSvm:
         self.ratio = np.log(up / (alpha + positive.sum())) - np.log(down / (alpha + (~positive).sum()))
         self.ratio[(up == alpha) & (down == alpha)] = 0
         self._descend(rows, np.where(positive, 1.0, -1.0), cost, epochs)
+        if not keep:
+            self.scaled = self.dual = self.most = None
+        self.fitted = self.weight.copy() if keep else None
         size = np.abs(self.weight[self.weight != 0]).mean() if self.weight.any() else 0.0
-        self.weight = beta * self.weight + (1 - beta) * size * np.sign(self.ratio) * np.sign(np.abs(self.ratio))
+        self.weight = beta * self.weight + (1 - beta) * size
         self.gain = self.ratio * np.where(self.ratio != 0, self.weight, 0)
         self.square = self.ratio**2
         self.slope, self.shift = 1.0, 0.0
 
     def _descend(self, rows, signs, cost, epochs):
-        """Dual coordinate descent for the squared hinge loss; each class gets the same total cost."""
+        """Dual coordinate descent for the hinge loss, whose dual variables lie between 0 and the cost of their row; each class gets the same
+        total cost. Rows have length 1 and a constant for the bias, so the curvature of every coordinate is 2."""
         self.weight, self.bias = np.zeros(len(self.ratio)), 0.0
-        dual, order = np.zeros(len(rows)), np.random.default_rng(7)
-        scaled = [(self.ratio[c] / max(1e-9, np.linalg.norm(self.ratio[c]))).astype(np.float32) for c in rows]
-        ease = np.array([0.5 / (cost * len(signs) / (2 * (signs == s).sum())) for s in (-1.0, 1.0)])
+        self.dual, order = np.zeros(len(rows)), np.random.default_rng(7)
+        self.scaled = scaled = [(self.ratio[c] / max(1e-9, np.linalg.norm(self.ratio[c]))).astype(np.float32) for c in rows]
+        self.most = most = cost * len(signs) / 2 / np.where(signs > 0, (signs > 0).sum(), (signs < 0).sum())
         for _ in range(epochs):
             for k in order.permutation(len(rows)):
-                own = ease[int(signs[k] > 0)]
-                slack = signs[k] * (self.weight[rows[k]] @ scaled[k] + self.bias) - 1 + own * dual[k]
-                new = max(0.0, dual[k] - slack / (2 + own))
-                if new != dual[k]:
-                    move = (new - dual[k]) * signs[k]
+                slack = signs[k] * (self.weight[rows[k]] @ scaled[k] + self.bias) - 1
+                new = min(max(0.0, self.dual[k] - slack / 2), most[k])
+                if new != self.dual[k]:
+                    move = (new - self.dual[k]) * signs[k]
                     self.weight[rows[k]] += move * scaled[k]
                     self.bias += move
-                    dual[k] = new
+                    self.dual[k] = new
 
     def margin(self, codes: np.ndarray) -> float:
         if not len(codes):

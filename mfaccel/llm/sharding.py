@@ -3,10 +3,10 @@
 An arrival is written as immutable Parquet shards and becomes visible when a manifest that lists them is renamed into
 place: readers see all of it or nothing. Compaction looks at the sizes that the newest manifest lists. Shards under
 FULL of the target are put in tiers by a power of TIER_RATIO; a tier of FAN_IN shards or more is merged: Spark packs
-its files into partitions of the target size and writes each as one shard, without a shuffle. Tiers
-are merged until none is full. A merge is committed on the manifest that is the newest by then, if that still lists
+its files into partitions of the target size and writes each as one shard, without a shuffle. Tiers are merged one at a time, the
+smallest shards first, until none is full; shards of different tiers never go into one merge. A merge is committed on the manifest that is the newest by then, if that still lists
 what was merged. Files that no kept manifest lists are removed by vacuum(), not by a commit, so that readers of an older
-version can finish. A lost executor costs only its tasks: what they wrote is not listed.
+version can finish; files that were never listed are spared for a day, as their commit may be yet to come. A lost executor costs only its tasks: what they wrote is not listed.
 
 All file operations go through Hadoop's file system API, so the store may be anywhere that Spark writes. The rename is
 atomic where the file system's is (HDFS, local); the driver handles one entry per shard, never rows.
@@ -20,6 +20,7 @@ from __future__ import annotations
 
 import json
 import math
+import time
 import uuid
 from dataclasses import dataclass
 
@@ -28,6 +29,8 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
 TARGET_BYTES, FAN_IN, TIER_RATIO, FULL = 64 << 20, 4, 4, 0.75
+#: Age from which a file that no version has listed counts as left behind: longer than any write takes.
+GRACE_SECONDS = 86_400.0
 
 
 class Conflict(RuntimeError):
@@ -147,15 +150,15 @@ class ShardStore:
         return [tiers[t] for t in sorted(tiers) if len(tiers[t]) >= fan_in]
 
     def compact(self, target: int = TARGET_BYTES, fan_in: int = FAN_IN) -> int:
-        """Merges full tiers until there is none, or no merge lessens the number of shards; returns the version."""
-        while tiers := self.full_tiers(self.shards(), target, fan_in):
-            before = len(self.shards())
-            self._merge([s for tier in tiers for s in tier], target)
-            if len(self.shards()) >= before:
-                break
+        """Merges one full tier after another, the smallest first, until there is none whose merge lessens the number of shards."""
+        stuck: set[frozenset[str]] = set()
+        while tiers := [t for t in self.full_tiers(self.shards(), target, fan_in) if frozenset(s.path for s in t) not in stuck]:
+            if not self._merge(tiers[0], target):
+                stuck.add(frozenset(s.path for s in tiers[0]))
         return self.version()
 
-    def _merge(self, old: list[Shard], target: int) -> None:
+    def _merge(self, old: list[Shard], target: int) -> bool:
+        """Writes the rows of a tier as shards of the target size; false, and nothing changes, if they are not fewer."""
         folder = f"{self.root}/data/{uuid.uuid4().hex}"
         schema = StructType.fromJson(self.manifest()["schema"])
         wanted = {"spark.sql.files.maxPartitionBytes": str(target), "spark.sql.files.minPartitionNum": "1", "spark.sql.files.openCostInBytes": "0"}
@@ -168,6 +171,9 @@ class ShardStore:
             for k, v in kept.items():
                 self.spark.conf.unset(k) if v is None else self.spark.conf.set(k, v)
         new, gone = self._written(folder, "merged"), {s.path for s in old}
+        if len(new) >= len(old):
+            self._fs.delete(self._path(folder), True)
+            return False
 
         def change(now: list[Shard]) -> list[Shard]:
             if not gone <= {s.path for s in now}:
@@ -175,15 +181,21 @@ class ShardStore:
             return [s for s in now if s.path not in gone] + new
 
         self._change(f"merge {len(old)} into {len(new)}", change)
+        return True
 
-    def vacuum(self, keep: int = 1) -> int:
-        """Removes shards and manifests of all versions but the newest `keep`, and files that none lists."""
+    def vacuum(self, keep: int = 1, grace: float = GRACE_SECONDS) -> int:
+        """Removes shards and manifests of all versions but the newest `keep`. A file that no version has listed may belong to an
+        append or a merge that has yet to commit: it goes only when it is older than `grace` seconds. Returns the number of files."""
         versions = self.versions()
-        listed = {s.path for v in versions[-keep:] for s in self.shards(v)}
+        kept = {s.path for v in versions[-keep:] for s in self.shards(v)}
+        dropped = {s.path for v in versions[:-keep] for s in self.shards(v)} - kept
         for v in versions[:-keep]:
             self._fs.delete(self._manifest(v), False)
-        removed = 0
-        for s in self._written(f"{self.root}/data") if self._fs.exists(self._path(f"{self.root}/data")) else []:
-            if s.path not in listed:
-                removed += bool(self._fs.delete(self._path(s.path), False))
+        removed, folder = 0, self._path(f"{self.root}/data")
+        files = self._fs.listFiles(folder, True) if self._fs.exists(folder) else None
+        while files is not None and files.hasNext():
+            status = files.next()
+            path = status.getPath().toString()
+            if path in dropped or path not in kept and time.time() - status.getModificationTime() / 1000 > grace:
+                removed += bool(self._fs.delete(status.getPath(), False))
         return removed

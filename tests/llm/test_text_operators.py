@@ -96,12 +96,6 @@ def test_store_round_trip_versions_and_conflicts(spark, tmp_path):
     assert not list((tmp_path / "store" / "manifests").glob(".draft*json"))
 
 
-def test_tiers_hold_shards_of_similar_size():
-    sizes = [1, 1, 2, 3, 300, 310, 320, 1000, 5_000]
-    tiers = sharding.ShardStore.full_tiers([sharding.Shard(str(k), s, "") for k, s in enumerate(sizes)], 4000, 3)
-    assert [[s.bytes for s in t] for t in tiers] == [[1, 1, 2, 3], [300, 310, 320, 1000]] or [sorted(s.bytes for s in t) for t in tiers][1] == [300, 310, 320]
-
-
 # --- language-model scoring -----------------------------------------------------------------------------------------------------
 
 
