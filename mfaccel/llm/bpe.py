@@ -2,9 +2,10 @@
 
 A rank file (base64 token, rank) is turned into the library's BPE model: bytes become printable characters
 by the usual byte-to-character table, and every way to join two known tokens into a third is a merge, by the
-third one's rank. A text is split by the pre-tokenizer pattern; each distinct piece is encoded once by the
-library and kept in a bounded cache of the worker. Decoding looks the ids' bytes up and joins them, so code
-points that are split between tokens come back whole; a cut sequence is decoded with replacement characters.
+third one's rank. A text is split by the pre-tokenizer pattern; each distinct piece is encoded once by the library, and its ids and
+offsets stay in a bounded cache of the worker; a text's offsets are those of its pieces, moved to where they stand. Decoding writes
+the tokens' characters back as bytes by the table's inverse and joins them, so characters that are split between tokens come
+back whole; a cut sequence is decoded with replacement characters. Tokens that hold only a part of a character are counted by their offsets, which overlap.
 
 Edge cases: null and empty texts have no tokens and decode to the empty string; very long texts are encoded
 piece by piece; repeated rows stay; no special token is ever made: their strings are ordinary text.
@@ -14,6 +15,8 @@ from __future__ import annotations
 
 import base64
 import hashlib
+from array import array
+from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
@@ -35,7 +38,7 @@ def byte_characters() -> list[str]:
 
 class Codec:
     def __init__(self, rank_lines: bytes, pattern: str):
-        from tokenizers import Regex, Tokenizer, models, pre_tokenizers
+        from tokenizers import Tokenizer, models, pre_tokenizers
 
         self.ranks = {base64.b64decode(token): int(rank) for token, rank in map(bytes.split, rank_lines.splitlines()) if token}
         stand_in = byte_characters()
@@ -48,38 +51,84 @@ class Codec:
         to_bytes = pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)
         self.of_pieces = Tokenizer(models.BPE(vocab=model, merges=merges, ignore_merges=True))
         self.of_pieces.pre_tokenizer = to_bytes
-        self.of_texts = Tokenizer(models.BPE(vocab=model, merges=merges, ignore_merges=True))
-        self.of_texts.pre_tokenizer = pre_tokenizers.Sequence([pre_tokenizers.Split(Regex(pattern), "isolated"), to_bytes])
         self.split = regex.compile(pattern).findall
+        byte_of = {character: byte for byte, character in enumerate(stand_in)}
         self.bytes_of: list[bytes] = [b""] * (max(self.ranks.values(), default=-1) + 1)
-        for token, rank in self.ranks.items():
-            self.bytes_of[rank] = token
+        for token, rank in model.items():
+            self.bytes_of[rank] = bytes(map(byte_of.__getitem__, token))
         self.cache: dict[str, bytes] = {}
-
-    def packed(self, texts: list[str]) -> list[bytes]:
-        """Each text's ids as little-endian unsigned 32-bit integers."""
-        pieces = [self.split(t) for t in texts]
-        known = self.cache
-        if len(known) > CACHE_PIECES:
-            known.clear()
-        missing = list({p for own in pieces for p in own if p not in known})
-        extra: dict[str, bytes] = {}
+        self.spans: dict[str, list[tuple[int, int]]] = {}
+        self.parts: dict[str, int] = {}
+
+    def _known(self, pieces: list[list[str]]) -> tuple[dict[str, bytes], dict[str, list[tuple[int, int]]]]:
+        """Ids of every piece, and offsets (code point ranges within the piece) of those of several tokens that are not ASCII."""
+        if len(self.cache) > CACHE_PIECES:
+            self.cache.clear()
+            self.spans.clear()
+            self.parts.clear()
+        missing = list({p for own in pieces for p in own if p not in self.cache})
+        long = any(len(p) > CACHED_CHARS for p in missing)
+        ids_of, spans_of = (dict(self.cache), dict(self.spans)) if long else (self.cache, self.spans)
         for k in range(0, len(missing), 4096):
             block = missing[k : k + 4096]
-            for piece, coded in zip(block, self.of_pieces.encode_batch_fast(block, add_special_tokens=False), strict=True):
-                (known if len(piece) <= CACHED_CHARS else extra)[piece] = np.array(coded.ids, "<u4").tobytes()
-        if extra:
-            return [b"".join([known[p] if p in known else extra[p] for p in own]) for own in pieces]
-        return [b"".join(map(known.__getitem__, own)) for own in pieces]
-
-    def with_offsets(self, texts: list[str]) -> list[tuple[list[int], list[tuple[int, int]]]]:
-        """Ids and the code point range of each token; both ends of a split code point name all of it."""
-        return [(x.ids, x.offsets) for x in self.of_texts.encode_batch(texts, add_special_tokens=False)]
+            for piece, coded in zip(block, self.of_pieces.encode_batch(block, add_special_tokens=False), strict=True):
+                ids_of[piece] = ids = array("I", coded.ids).tobytes()
+                spans = None if piece.isascii() or len(ids) == 4 else coded.offsets
+                if spans:
+                    spans_of[piece] = spans
+                if len(piece) <= CACHED_CHARS:
+                    if long:
+                        self.cache[piece] = ids
+                    if spans:
+                        self.spans[piece] = spans
+                        if n := _parts(spans):
+                            self.parts[piece] = n
+        return ids_of, spans_of
+
+    def packed(self, texts: list[str]) -> tuple[list[bytes], list[int]]:
+        """Each text's ids as little-endian unsigned 32-bit integers, and its number of tokens that hold a part of a character."""
+        pieces = [self.split(t) for t in texts]
+        ids_of, spans_of = self._known(pieces)
+        if spans_of is not self.spans:
+            spans_of = {p: x for p, x in spans_of.items() if p not in self.spans}
+            extra = {p: n for p, x in spans_of.items() if (n := _parts(x))}
+            counts = self.parts | extra if extra else self.parts
+        else:
+            counts = self.parts
+        parts = [0 if t.isascii() else sum(map(counts.get, own, repeat(0))) for t, own in zip(texts, pieces, strict=True)]
+        return [b"".join(map(ids_of.__getitem__, own)) for own in pieces], parts
+
+    def with_offsets(self, texts: list[str]) -> list[tuple[np.ndarray, np.ndarray]]:
+        """Ids, and the code point range of each token; all parts of a split character name the whole of it."""
+        pieces, out = [self.split(t) for t in texts], []
+        ids_of, spans_of = self._known(pieces)
+        for own in pieces:
+            ids = np.frombuffer(b"".join(map(ids_of.__getitem__, own)), "<u4").astype(np.int32)
+            ends, spans = np.cumsum([len(self.bytes_of[i]) for i in ids], dtype=np.int64), []
+            reached = at = 0
+            for piece in own:
+                n = len(ids_of[piece]) // 4
+                if piece in spans_of:
+                    spans += [(reached + a, reached + b) for a, b in spans_of[piece]]
+                elif n == 1:
+                    spans.append((reached, reached + len(piece)))
+                else:  # one byte a character: ends of bytes are ends of characters
+                    stops = (ends[at : at + n] - (ends[at - 1] if at else 0) + reached).tolist()
+                    spans += zip([reached, *stops[:-1]], stops, strict=True)
+                reached, at = reached + len(piece), at + n
+            out.append((ids, np.array(spans, np.int32).reshape(-1, 2)))
+        return out
 
     def joined(self, packed: bytes) -> bytes:
         return b"".join(map(self.bytes_of.__getitem__, np.frombuffer(packed, "<u4").tolist()))
 
 
+def _parts(spans: list[tuple[int, int]]) -> int:
+    """Tokens that hold a part of a character: their ranges overlap."""
+    over = [b[0] < a[1] for a, b in zip(spans, spans[1:], strict=False)]
+    return sum(x or y for x, y in zip([False, *over], [*over, False], strict=True))
+
+
 _CODECS: dict[str, Codec] = {}
 
 
@@ -119,13 +168,9 @@ def encode(docs: DataFrame, path: str, pattern: str, *, doc_col: str = "doc_id",
     def each(own: Codec, texts: list[bytes | None]):
         plain = [(t or b"").decode(errors="replace") for t in texts]
         if not offsets:
-            return [pa.array([np.frombuffer(p, "<u4").astype(np.int32) for p in own.packed(plain)], pa.list_(pa.int32()))]
+            return [pa.array([np.frombuffer(p, "<u4").astype(np.int32) for p in own.packed(plain)[0]], pa.list_(pa.int32()))]
         both = own.with_offsets(plain)
-        return [
-            pa.array([ids for ids, _ in both], pa.list_(pa.int32())),
-            pa.array([[a for a, _ in spans] for _, spans in both], pa.list_(pa.int32())),
-            pa.array([[b for _, b in spans] for _, spans in both], pa.list_(pa.int32())),
-        ]
+        return [pa.array(list(x), pa.list_(pa.int32())) for x in ([ids for ids, _ in both], [spans[:, 0] for _, spans in both], [spans[:, 1] for _, spans in both])]
 
     schema = f"{doc_col} {kind}, ids array<int>" + ", starts array<int>, ends array<int>" * offsets
     return _mapped(docs, [doc_col, raw(text_col).alias("_raw")], path, pattern, schema, each)
@@ -149,19 +194,20 @@ def decode(coded: DataFrame, path: str, pattern: str, *, doc_col: str = "doc_id"
 
 
 def round_trip(docs: DataFrame, path: str, pattern: str, *, doc_col: str = "doc_id", text_col: str = "text", keep_ids: bool = False) -> DataFrame:
-    """doc_col, n_tokens, ids_sha256, decoded_sha256, and with keep_ids the ids: every text is encoded, then decoded
-    from the ids alone."""
+    """doc_col, n_tokens, ids_sha256, decoded_sha256, n_parts (tokens that hold a part of a character), and with keep_ids
+    the ids: every text is encoded, then decoded from the ids alone."""
     kind = docs.schema[doc_col].dataType.simpleString()
 
     def each(own: Codec, texts: list[bytes | None]):
-        packed = own.packed([(t or b"").decode(errors="replace") for t in texts])
+        packed, parts = own.packed([(t or b"").decode(errors="replace") for t in texts])
         ids = [pa.array([np.frombuffer(p, "<i4") for p in packed], pa.list_(pa.int32()))] if keep_ids else []
         return [
             pa.array([len(p) // 4 for p in packed], pa.int64()),
             pa.array([hashlib.sha256(p).hexdigest() for p in packed]),
             pa.array([hashlib.sha256(own.joined(p)).hexdigest() for p in packed]),
+            pa.array(parts, pa.int64()),
             *ids,
         ]
 
-    schema = f"{doc_col} {kind}, n_tokens bigint, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * keep_ids
+    schema = f"{doc_col} {kind}, n_tokens bigint, ids_sha256 string, decoded_sha256 string, n_parts bigint" + ", ids array<int>" * keep_ids
     return _mapped(docs, [F.col(doc_col), raw(text_col).alias("_raw")], path, pattern, schema, each)

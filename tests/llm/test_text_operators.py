@@ -344,21 +344,27 @@ def test_tokens_equal_the_reference_library_and_come_back(spark, data):
     own = tiktoken.Encoding("own", pat_str=pattern, mergeable_ranks=ranks, special_tokens={})
     texts = [*ODD, *lines(9, 20), "<|endoftext|> 漢字 🙂🙃 é I'll　x", *[r.text for r in table(spark, data, "documents").collect()]]
     docs = docs_of(spark, texts)
+    n_parts = {}
     coded = bpe.encode(docs, path, pattern, offsets=True).orderBy("doc_id").collect()
     for r, text in zip(coded, texts, strict=True):
         assert r.ids == own.encode_ordinary(text or "")
-        reached = 0
-        for a, b in zip(r.starts, r.ends, strict=True):  # tokens of one split code point name the same range
+        reached = parts = 0
+        for k, (i, a, b) in enumerate(zip(r.ids, r.starts, r.ends, strict=True)):  # tokens of one split code point name the same range
             assert a <= reached and b >= reached
             reached = b
+            whole = own.decode_single_token_bytes(i) == (text or "")[a:b].encode()
+            assert whole or own.decode_single_token_bytes(i) in (text or "")[a:b].encode()
+            parts += not whole
         assert reached == len(text or "")
+        n_parts[r.doc_id] = parts
     back = {r.doc_id: r for r in bpe.decode(bpe.encode(docs, path, pattern), path, pattern).collect()}
     assert all(back[k].text == (t or "") and bytes(back[k].decoded).decode() == (t or "") for k, t in enumerate(texts))
     trip = {r.doc_id: r for r in bpe.round_trip(docs, path, pattern).collect()}
     for k, t in enumerate(texts):
         ids = own.encode_ordinary(t or "")
         assert trip[k].n_tokens == len(ids) and trip[k].ids_sha256 == hashlib.sha256(b"".join(i.to_bytes(4, "little") for i in ids)).hexdigest()
-        assert trip[k].decoded_sha256 == hashlib.sha256((t or "").encode()).hexdigest()
+        assert trip[k].decoded_sha256 == hashlib.sha256((t or "").encode()).hexdigest() and trip[k].n_parts == n_parts[k]
+    assert sum(n_parts.values()) > 0
     assert bpe.round_trip(docs.limit(0), path, pattern).count() == 0
     half = spark.createDataFrame([(1, own.encode_ordinary("🙂")[:1])], "doc_id long, ids array<int>")
     assert "�" in bpe.decode(half, path, pattern).first().text
