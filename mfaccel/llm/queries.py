@@ -46,8 +46,8 @@ def op5_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op6_quotation(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """reply_conv and reply_turn are -1 where a message replies to none."""
-    return quotes.linked(table(spark, sf_dir, "conversations")).fillna(-1, ["reply_conv", "reply_turn"])
+    """Reply-ordered threads; reply_conv and reply_turn are -1 where a message replies to none."""
+    return quotes.reply_ordered(quotes.linked(table(spark, sf_dir, "conversations"))).fillna(-1, ["reply_conv", "reply_turn"])
 
 
 def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -142,10 +142,12 @@ named AS (SELECT * FROM parsed WHERE conv IS NOT NULL AND turn IS NOT NULL),
 quotes AS MATERIALIZED (SELECT n.conv, n.turn, q.* FROM ({_units_sql('passages', 'text', 'no, level, spot')}) q JOIN named n USING (no)),
 originals AS (SELECT * FROM ({_units_sql('named', 'own', 'conv, turn')}) WHERE key IN (SELECT key FROM quotes)),
 near AS (SELECT key, conv, min(turn) AS near_turn FROM originals GROUP BY key, conv),
-far AS (SELECT key, min((conv, turn)) AS far FROM originals GROUP BY key),
+ranked AS (SELECT *, row_number() OVER (PARTITION BY key ORDER BY conv) AS rk FROM near),
+far AS (SELECT key, conv AS far_conv, near_turn AS far_turn FROM ranked WHERE rk = 1),
+further AS (SELECT key, conv AS next_conv, near_turn AS next_turn FROM ranked WHERE rk = 2),
 found AS (
-  SELECT q.*, CASE WHEN near_turn < q.turn THEN (q.conv, near_turn) WHEN far[1] <> q.conv THEN far END AS dest
-  FROM quotes q LEFT JOIN near n ON q.key = n.key AND q.conv = n.conv LEFT JOIN far f ON q.key = f.key),
+  SELECT q.*, CASE WHEN near_turn < q.turn THEN (q.conv, near_turn) WHEN far_conv <> q.conv THEN (far_conv, far_turn) WHEN next_conv IS NOT NULL THEN (next_conv, next_turn) END AS dest
+  FROM quotes q LEFT JOIN near n ON q.key = n.key AND q.conv = n.conv LEFT JOIN far f ON q.key = f.key LEFT JOIN further s ON q.key = s.key),
 links AS MATERIALIZED (
   SELECT conv, turn, dest[1] AS to_conv, dest[2] AS to_turn, n_linked FROM (
     SELECT conv, turn, arg_min(dest, (-size, level, spot, dest)) AS dest, count(DISTINCT (level, spot)) AS n_linked
@@ -154,12 +156,13 @@ walk AS (
   SELECT conv, turn, to_conv AS tc, to_turn AS tt, 1 AS d FROM links
   UNION ALL SELECT w.conv, w.turn, l.to_conv, l.to_turn, d + 1 FROM walk w JOIN links l ON l.conv = w.tc AND l.turn = w.tt WHERE d < 2000),
 tops AS (SELECT conv, turn, max(d) AS d, arg_max((tc, tt), d) AS top, least(min((tc, tt)), (conv, turn)) AS low FROM walk GROUP BY conv, turn)
+SELECT *, row_number() OVER (ORDER BY root_conv NULLS FIRST, root_turn NULLS FIRST, depth NULLS LAST, conv_id NULLS FIRST, turn NULLS FIRST, role NULLS FIRST, text) AS place FROM (
 SELECT p.conv AS conv_id, p.turn, role, own AS text, CAST(max_level AS INTEGER) AS max_level, CAST(n_quotes AS INTEGER) AS n_quotes,
   CAST(coalesce(n_linked, 0) AS BIGINT) AS n_linked, coalesce(to_conv, -1) AS reply_conv, coalesce(to_turn, -1) AS reply_turn,
   CASE WHEN d IS NULL THEN p.conv WHEN d < 2000 THEN top[1] ELSE low[1] END AS root_conv,
   CASE WHEN d IS NULL THEN p.turn WHEN d < 2000 THEN top[2] ELSE low[2] END AS root_turn,
   CAST(CASE WHEN d IS NULL THEN 0 WHEN d < 2000 THEN d END AS BIGINT) AS depth
-FROM parsed p LEFT JOIN links l ON p.conv = l.conv AND p.turn = l.turn LEFT JOIN tops t ON p.conv = t.conv AND p.turn = t.turn
+FROM parsed p LEFT JOIN links l ON p.conv = l.conv AND p.turn = l.turn LEFT JOIN tops t ON p.conv = t.conv AND p.turn = t.turn)
 """
 
 

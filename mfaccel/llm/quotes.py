@@ -10,7 +10,7 @@ stands first.
 Only messages with a quote give quote keys, and only keys that are quoted are looked up, the first messages of two conversations a key, so a
 text that a third of all messages share is one row on that side of the join. Roots and depths are found by doubling
 the steps to the parent, a logarithmic number of joins; chains across conversations count too, and a message that is
-quoted in a ring keeps the least message of the ring as its root.
+quoted in a ring keeps the least message of the ring as its root. Threads come out in reply order.
 
 Edge cases: a null text is empty and neither quotes nor is quoted; blank units give no key; repeated rows (same
 conversation and turn) are one message, the least text; messages whose conversation or turn is null stand alone, with no reply, and
@@ -23,6 +23,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from mfaccel.llm.common import cut
+from mfaccel.plans.cuts import numbered
 
 _MARKS = r"^((?:[ \t]?>)+)"
 #: A line that only introduces the quote below it.
@@ -146,5 +147,7 @@ def linked(messages: DataFrame, **names: str) -> DataFrame:
 
 
 def reply_ordered(linked_rows: DataFrame) -> DataFrame:
-    """The rows range-partitioned and sorted so that every thread reads from its root down, in reply order."""
-    return linked_rows.orderBy("root_conv", "root_turn", F.col("depth").asc_nulls_last(), "conv_id", "turn")
+    """The rows of linked() in threads, every message after the one that it replies to, with `place`, the position from 1 in this order
+    over all threads: by root, depth (a ring's last), conversation and turn. Ranges are sorted apart, so no task holds a long thread."""
+    order = ["root_conv", "root_turn", F.col("depth").asc_nulls_last(), "conv_id", "turn", "role", "text"]
+    return numbered(linked_rows, *order, name="place")

@@ -311,7 +311,7 @@ def test_quotes_equal_their_sql(spark):
             said.append(text)
             rows.append((conv, turn, "user", text))
     rows += [(12, 0, "u", "> yes indeed\nnew thing"), (13, 0, None, None), (None, 1, "u", "> yes indeed")]
-    have = quotes.linked(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")).fillna(-1, ["reply_conv", "reply_turn"])
+    have = quotes.reply_ordered(quotes.linked(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string"))).fillna(-1, ["reply_conv", "reply_turn"])
     base = duckdb.connect()
     base.execute("CREATE TABLE conversations (conv_id BIGINT, turn BIGINT, role VARCHAR, text VARCHAR)")
     base.executemany("INSERT INTO conversations VALUES (?, ?, ?, ?)", rows)
