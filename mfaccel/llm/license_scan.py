@@ -1,60 +1,41 @@
 """Licence scans by a trained paragraph classifier, with template comparison.
 
-DataFrame functions only on the path of the documents. Candidates are lines that hold a cue, which speaks of rights, or a mark: one of the
-distinctive n-grams of the templates, by the classifier's weights. Notices wrapped over lines are candidates too: runs of adjacent lines that each hold
-a cue, a mark or a lesser n-gram of the templates, in documents with a cue or mark. A blank line ends a run. A line with a mark alone counts only
-if it is confirmed, a run only if it is confirmed as a family that no line of the document is. A candidate's
-distinct n-grams of one to three words meet the weights of a multinomial logistic regression (a small table, fixed by
-the templates), sums of weights give a class for each paragraph, and two checks follow: the probability, after
-calibration by a temperature, must reach SURE, and the likeness to a template of that family must reach ALIKE: the share of
-its distinctive n-grams that the paragraph has, or the share of the paragraph that is the template's. A paragraph that fails, or whose class is "unknown", counts as unknown.
-
-The classifier is trained on the templates below, on cut and padded versions of them, and, for the class
-"unknown", on sentences that speak of rights without any known licence. The temperature makes held-out
-versions most likely.
-
-Edge cases: null and empty texts have no candidate; a document without candidates has licence "none"; repeated rows get equal
-answers; a line repeated in a document counts once; words over 64 characters are cut; empty tables work; other columns are ignored.
+DataFrame functions only on the path of the documents. Units are paragraphs (between blank lines) and, as a notice often stands in one line of
+other text, single lines. A line is a candidate if it holds a cue, a lower-case part of a word or phrase that speaks of rights, or a mark,
+an n-gram by which the classifier knows a template that has no cue; a paragraph of several lines is one if a line of it is, or if a cue or
+mark is wrapped over its lines. A unit's distinct n-grams of one to three words meet the weights of a multinomial logistic regression
+(a small table, fixed by the templates); sums of weights give each family's probability, and two checks follow: the probability, after
+calibration by a temperature, must reach SURE, and the likeness to a template of that family must reach ALIKE: the share of the
+template's own n-grams of one and two words (those of at most one other family and of no text of the class "unknown") that the unit has, or, if
+it has any of them, the share of the unit that is the template's. Other candidate lines are "unknown". Paragraphs count only if
+they are confirmed as a family that no line of the document is.
+
+The classifier is trained on the templates, on cut and padded versions of them, and, for the class "unknown", on sentences that speak of rights
+without any known licence and on notices of made-up licences. Its temperature is calibrated on models that have not seen a third
+of the families: there the versions of the unseen families, and made-up licences by other names, are "unknown".
+
+Edge cases: null and empty texts have no candidate; a document without candidates has licence "none"; repeated rows, rows that share an id and rows
+without id are judged one by one; a line repeated in a document counts once; words of any length are whole; empty tables work;
+other columns are ignored.
 """
 
 from __future__ import annotations
 
-import math
 import random
 from collections import defaultdict
 from functools import lru_cache
 
+import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-#: Sentences of well-known licence notices, by family.
-TEMPLATES = {
-    "apache-2.0": ["Licensed under the Apache License, Version 2.0", "you may not use this file except in compliance with the License", "SPDX-License-Identifier: Apache-2.0", "distributed under the terms of the Apache License 2.0"],
-    "mit": ["Released under the MIT License", "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files", "SPDX-License-Identifier: MIT", "This project is licensed under the terms of the MIT license"],
-    "gpl-3.0": ["This work is licensed under the GNU General Public License, version 3", "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation, either version 3 of the License", "SPDX-License-Identifier: GPL-3.0-or-later", "licensed under the GPLv3"],
-    "gpl-2.0": ["licensed under the GNU General Public License, version 2", "SPDX-License-Identifier: GPL-2.0-only", "under the terms of the GNU General Public License version 2 as published by the Free Software Foundation", "licensed under the GPLv2"],
-    "lgpl": ["licensed under the GNU Lesser General Public License", "SPDX-License-Identifier: LGPL-2.1-or-later", "under the terms of the GNU Lesser General Public License as published by the Free Software Foundation"],
-    "cc-by-nc-4.0": ["Licensed under CC BY-NC 4.0", "This work is licensed under a Creative Commons Attribution-NonCommercial 4.0 International License", "SPDX-License-Identifier: CC-BY-NC-4.0"],
-    "cc-by-4.0": ["Licensed under CC BY 4.0", "This work is licensed under a Creative Commons Attribution 4.0 International License", "SPDX-License-Identifier: CC-BY-4.0"],
-    "cc0": ["released into the public domain under CC0 1.0 Universal", "To the extent possible under law the author has waived all copyright and related rights", "SPDX-License-Identifier: CC0-1.0"],
-    "bsd": ["Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met", "Released under the BSD 3-Clause License", "SPDX-License-Identifier: BSD-3-Clause"],
-    "mpl-2.0": ["This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0", "SPDX-License-Identifier: MPL-2.0", "licensed under the Mozilla Public License 2.0"],
-}
-#: Sentences with cue words but without a known licence.
-OTHERS = [
-    "All rights reserved", "Copyright of the author, all rights reserved", "You need a licence to drive a car", "He asked for permission to leave the room",
-    "The warranty covers parts and labour for two years", "This software is proprietary and confidential, redistribution is prohibited",
-    "Licensed under the terms of the commercial agreement between the parties", "The public domain is a legal concept", "a fishing license costs ten dollars",
-    "Copyright 2020 Example Corporation", "the city council will license street vendors", "without permission of the publisher",
-    "Licensed under the House Rules of the club, edition 7", "Released under the terms of the reader agreement", "This work is licensed under a custom license, version 1",
-    "gnu are large antelopes", "no warranty is given", "the copyright page of the book", "licensed electrician with ten years of work",
-]
+from mfaccel.llm.common import cut
+from mfaccel.llm.license_texts import OTHERS, TEMPLATES, UNKNOWN_FORMS, UNKNOWN_NAMES
+
 #: Lower-case parts of a line that speak of rights: such a line is judged, and is "unknown" if no licence is confirmed.
 CUES = ("rights reserved", "released under", "distributed under", "licen", "copyright", "permission", "warrant", "redistribut", "public domain", "gnu ", "spdx")
 FAMILIES = [*TEMPLATES, "unknown"]
 SURE, ALIKE, MOST = 0.6, 0.5, 3
-#: Least weight of a licence over the class "unknown" for an n-gram that marks a line, and for one that joins a line to a run.
-MARKS, JOINS = 0.45, 0.1
 _NOT_WORD = r"[^a-z0-9.+-]+"
 
 
@@ -64,8 +45,8 @@ def words_of(text: str) -> list[str]:
     return [w for w in (x.strip(".-") for x in kept.split(" ")) if w]
 
 
-def grams_of(words: list[str]) -> set[str]:
-    return {" ".join(words[k : k + n]) for n in range(1, MOST + 1) for k in range(len(words) - n + 1)}
+def grams_of(words: list[str], most: int = MOST) -> set[str]:
+    return {" ".join(words[k : k + n]) for n in range(1, most + 1) for k in range(len(words) - n + 1)}
 
 
 def _versions(text: str, dice: random.Random, count: int):
@@ -84,102 +65,118 @@ def _versions(text: str, dice: random.Random, count: int):
         yield own
 
 
+def _made_up(names: list[str], dice: random.Random) -> list[str]:
+    return [form.format(name.replace(" ", "-") if "SPDX" in form else name, dice.choice(["1.0", "2.0", "3", "4.0"])) for name in names for form in UNKNOWN_FORMS]
+
+
+class Classifier:
+    """Multinomial logistic regression over the families, by stochastic steps on distinct n-grams."""
+
+    def __init__(self, data: list[tuple[set[str], int]], seed: int, epochs: int = 15):
+        self.at = {g: k for k, g in enumerate(sorted({g for grams, _ in data for g in grams}))}
+        self.weights, self.bias = np.zeros((len(self.at), len(FAMILIES))), np.zeros(len(FAMILIES))
+        rows, dice = [(self.codes(grams), y) for grams, y in data], random.Random(seed)
+        for epoch in range(epochs):
+            rate = 0.3 / (1 + epoch / 3)
+            dice.shuffle(rows)
+            for codes, y in rows:
+                step = -self.probabilities(codes)
+                step[y] += 1
+                step *= rate / np.sqrt(max(1, len(codes)))
+                self.bias += 0.2 * step
+                self.weights[codes] += step
+            self.weights *= 0.995
+
+    def codes(self, grams: set[str]) -> np.ndarray:
+        return np.array(sorted(self.at[g] for g in grams if g in self.at), np.int64)
+
+    def probabilities(self, codes: np.ndarray, heat: float = 1.0) -> np.ndarray:
+        z = (self.bias + self.weights[codes].sum(axis=0)) / heat
+        e = np.exp(z - z.max())
+        return e / e.sum()
+
+
+def _examples(dice: random.Random, names: list[str], without: set[str] = frozenset(), count: int = 12) -> list[tuple[set[str], int]]:
+    """(n-grams, family) of versions of all texts; those of the families `without` are unknown."""
+    unknown = len(FAMILIES) - 1
+    of = [(t, unknown if name in without else k) for k, name in enumerate(TEMPLATES) for t in TEMPLATES[name]]
+    of += [(t, unknown) for t in [*OTHERS, *_made_up(names, dice)]]
+    return [(grams_of(v), y) for t, y in of for v in _versions(t, dice, count)]
+
+
 @lru_cache(maxsize=1)
 def model() -> tuple[dict[str, list[float]], list[float], float]:
-    """(weights of the families by n-gram, biases, temperature); a few thousand n-grams, the same on every run."""
+    """(weights of the families by n-gram, biases, temperature); some thousand n-grams, the same on every run."""
     dice = random.Random(11)
-    data = [(grams_of(v), k) for k, name in enumerate(FAMILIES) for t in TEMPLATES.get(name, OTHERS) for v in _versions(t, dice, 12)]
-    dice.shuffle(data)
-    train, held = data[len(data) // 6 :], data[: len(data) // 6]
-    weights: dict[str, list[float]] = defaultdict(lambda: [0.0] * len(FAMILIES))
-    bias = [0.0] * len(FAMILIES)
-
-    def probabilities(grams, heat=1.0):
-        z = [(b + sum(weights[g][k] for g in grams if g in weights)) / heat for k, b in enumerate(bias)]
-        top = max(z)
-        e = [math.exp(x - top) for x in z]
-        return [x / sum(e) for x in e]
-
-    for epoch in range(15):
-        rate = 0.3 / (1 + epoch / 3)
-        dice.shuffle(train)
-        for grams, y in train:
-            p = probabilities(grams)
-            size = rate / math.sqrt(len(grams) or 1)
-            for k in range(len(FAMILIES)):
-                step = size * ((k == y) - p[k])
-                bias[k] += 0.2 * step
-                for g in grams:
-                    weights[g][k] += step
-        for w in weights.values():
-            for k in range(len(FAMILIES)):
-                w[k] *= 0.995
-    heat = min((h / 4 for h in range(1, 41)), key=lambda h: -sum(math.log(max(1e-12, probabilities(g, h)[y])) for g, y in held))
-    return {g: [round(x, 6) for x in w] for g, w in sorted(weights.items())}, [round(b, 6) for b in bias], heat
-
-
-def template_grams() -> dict[str, list[set[str]]]:
-    return {name: [grams_of(words_of(t)) for t in texts] for name, texts in TEMPLATES.items()}
-
-
-def _template_grams_over(least: float, tells) -> list[str]:
-    """N-grams of the templates whose weight exceeds that of "unknown" by `least` and that pass `tells`, without those that hold another."""
-    weights = model()[0]
-    over = {g for texts in template_grams().values() for grams in texts for g in grams if g in weights and max(weights[g][:-1]) - weights[g][-1] >= least and tells(g)}
-    return sorted(g for g in over if not any(h != g and h in g for h in over))
+    whole = Classifier(_examples(dice, UNKNOWN_NAMES), 1)
+    heats, costs = [h / 4 for h in range(2, 41)], np.zeros(39)
+    for fold in range(3):
+        unseen = set(list(TEMPLATES)[fold::3])
+        seen_names, other_names = UNKNOWN_NAMES[:6], UNKNOWN_NAMES[6:]
+        train = [(g, y) for g, y in _examples(dice, seen_names) if y == len(FAMILIES) - 1 or FAMILIES[y] not in unseen]
+        part = Classifier(train, 2 + fold, epochs=8)
+        held = [(part.codes(g), y) for g, y in _examples(dice, other_names, unseen, count=3)]
+        costs += [-sum(np.log(max(1e-12, part.probabilities(c, h)[y])) for c, y in held) for h in heats]
+    heat = heats[int(np.argmin(costs))]
+    return {g: [round(float(x), 6) for x in whole.weights[k]] for g, k in whole.at.items()}, [round(float(b), 6) for b in whole.bias], heat
+
+
+def template_grams() -> list[tuple[str, int, int, bool]]:
+    """(n-gram, family, template, whether it is an own one: of one or two words, in at most one other family and in no text without a licence)."""
+    families_of: dict[str, set[int]] = defaultdict(set)
+    found = [(k, t, words_of(text)) for k, name in enumerate(TEMPLATES) for t, text in enumerate(TEMPLATES[name])]
+    for k, _, words in found:
+        for g in grams_of(words):
+            families_of[g].add(k)
+    for text in [*OTHERS, *_made_up(UNKNOWN_NAMES, random.Random(0))]:
+        for g in grams_of(words_of(text)):
+            families_of[g].add(-1)
+    return [(g, k, t, len(families_of[g]) <= 2 and -1 not in families_of[g] and g.count(" ") < 2) for k, t, words in found for g in sorted(grams_of(words))]
 
 
 @lru_cache(maxsize=1)
 def marks() -> list[str]:
-    """Lower-case parts of a line that name a licence: n-grams, or single words with a digit or a hyphen ("mit" alone is a German word)."""
-    return _template_grams_over(MARKS, lambda g: " " in g or "-" in g or any(c.isdigit() for c in g) and any(c.isalpha() for c in g))
+    """The heaviest own n-gram of no other family, against the class "unknown", of each template without a cue; one with a digit or a mark within, if there is any."""
+    known = [x for x in template_grams() if x[3] and len(x[0]) > 4]
+    weights, found, own = model()[0], [], {(g, k, t) for g, k, t, _ in known if all(g != h or k == j for h, j, _, _ in known)}
+    for k, texts in enumerate(TEMPLATES.values()):
+        for t, text in enumerate(texts):
+            low = " ".join(text.lower().split())
+            if not any(c in low for c in [*CUES, *found]):
+                found.append(max(sorted(g for g in grams_of(words_of(text)) if (g, k, t) in own and g in low), key=lambda g: (not g.replace(" ", "").isalpha(), weights[g][k] - weights[g][-1])))
+    return found
 
 
-@lru_cache(maxsize=1)
-def joins() -> list[str]:
-    """N-grams, with a word of five letters or more, that a part of a wrapped notice holds."""
-    return _template_grams_over(JOINS, lambda g: " " in g and any(len(w) > 4 for w in g.split()))
+def _let(value: Column, use) -> Column:
+    """use(value), with the value computed once."""
+    return F.get(F.transform(F.array(value), use), 0)
 
 
-def _holds(text: Column, parts) -> Column:
-    found = None
-    for part in parts:
-        found = text.contains(part) if found is None else found | text.contains(part)
+def _holds(text: Column) -> Column:
+    found = F.lit(False)
+    for part in [*CUES, *marks()]:
+        found = found | text.contains(part)
     return found
 
 
 def candidates(docs: DataFrame, *, doc_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(id, line, kind): distinct lines with a cue (kind 1) or only a mark (0), and runs of lines (2)."""
-
-    def plain(text: Column) -> Column:
-        return F.regexp_replace(F.lower(text), r"[ \t]+", " ")
-
+    """(row, id, units array<struct<text, alone>>): every document, with its distinct candidate lines (alone) and paragraphs of several lines;
+    units are null where there are none. Cut, as row numbers must not change."""
     text = F.col(text_col).cast("string")
-    either = _let(F.regexp_replace(F.lower(text), r"\s+", " "), lambda low: _holds(low, [*CUES, *marks()]))  # also where a line ends within a mark
-    rows = docs.select(F.col(doc_col).alias("id"), text.alias("text"), either.alias("either")).where("either").select("id", "text")
 
-    def unit(text: Column, kind: Column) -> Column:
-        return F.struct(text.alias("line"), kind.alias("kind"))
+    def plain(x: Column) -> Column:
+        return F.regexp_replace(F.lower(x), r"\s+", " ")
 
-    def judged(line: Column) -> Column:
-        return _let(plain(line), lambda x: F.when(_holds(x, CUES), 1).when(_holds(x, marks()), 0).when(_holds(x, joins()), -1))
+    def unit(x: Column, alone: bool) -> Column:
+        return F.struct(x.alias("text"), F.lit(alone).alias("alone"))
 
-    def units(lines: Column, kinds: Column) -> Column:
-        spots = F.sequence(F.lit(0), F.size(lines) - 1)
-        alone = F.filter(F.transform(lines, lambda x, i: unit(x, F.get(kinds, i))), lambda u: u["kind"] >= 0)
-        first = F.filter(spots, lambda i: F.get(kinds, i).isNotNull() & ((i == 0) | F.get(kinds, i - 1).isNull()))
-        last = F.filter(spots, lambda i: F.get(kinds, i).isNotNull() & F.get(kinds, i + 1).isNull())
-        runs = F.filter(F.zip_with(first, last, lambda a, b: F.struct(a.alias("a"), b.alias("b"))), lambda r: r["b"] > r["a"])
-        joined = F.transform(runs, lambda r: unit(F.array_join(F.slice(lines, r["a"] + 1, r["b"] - r["a"] + 1), "\n"), F.lit(2)))
-        return F.concat(alone, joined)
+    def units(x: Column) -> Column:
+        lines = F.transform(F.filter(F.split(x, r"\r?\n"), lambda y: _let(plain(y), _holds)), lambda y: unit(y, True))
+        several = F.filter(F.split(x, r"\r?\n[ \t]*\r?\n"), lambda y: F.trim(y, F.lit(" \t\r\n")).contains("\n") & _let(plain(y), _holds))
+        return F.array_distinct(F.concat(lines, F.transform(several, lambda y: unit(y, False))))
 
-    made = _let(F.split("text", r"\r?\n"), lambda lines: _let(F.transform(lines, judged), lambda kinds: units(lines, kinds)))
-    return rows.select("id", F.explode(made).alias("u")).select("id", "u.line", "u.kind").distinct()
-
-
-def _let(value: Column, use) -> Column:
-    """use(value), with the value computed once."""
-    return F.get(F.transform(F.array(value), use), 0)
+    found = F.when(_let(plain(text), _holds), _let(text, units))
+    return cut(docs.select(F.monotonically_increasing_id().alias("row"), F.col(doc_col).alias("id"), found.alias("units")))
 
 
 def _grams(words: Column) -> Column:
@@ -192,70 +189,55 @@ def _grams(words: Column) -> Column:
     return F.array_distinct(out)
 
 
-def scan_lines(lines: DataFrame) -> DataFrame:
-    """(id, line_key, family, probability, likeness, confirmed) of each candidate; a key starts with its kind."""
-    spark = lines.sparkSession
+def judge(units: DataFrame) -> DataFrame:
+    """(row, at, alone, family, probability, likeness, confirmed) of every unit of candidates()."""
+    spark = units.sparkSession
     weights, bias, heat = model()
-    known = template_grams()
-    names = list(TEMPLATES)
-    families_of: dict[str, set[int]] = defaultdict(set)
-    for k, n in enumerate(names):
-        for grams in known[n]:
-            for g in grams:
-                families_of[g].add(k)
-    in_template = [(g, k, t, len(families_of[g]) == 1) for k, n in enumerate(names) for t, grams in enumerate(known[n]) for g in sorted(grams)]
-    rows = [(g, w) for g, w in weights.items()]
-    table = F.broadcast(spark.createDataFrame(rows, "gram string, w array<double>"))  # fixed size: from the templates alone
-    parts = F.filter(F.transform(F.split(F.lower("line"), _NOT_WORD), lambda x: F.substring(F.trim(F.regexp_replace(x, r"^[.-]+|[.-]+$", "")), 1, 64)), lambda x: x != "")
-    words = lines.select("id", F.concat(F.col("kind").cast("string"), F.sha2(F.col("line").cast("binary"), 256)).alias("line_key"), parts.alias("words"))
-    grams = words.select("id", "line_key", _grams(F.col("words")).alias("grams"))
-    one = grams.select("id", "line_key", F.size("grams").alias("n_grams"), F.explode("grams").alias("gram"))
+    table = F.broadcast(spark.createDataFrame(list(weights.items()), "gram string, w array<double>"))  # fixed size: from the templates alone
+    one = units.where("units IS NOT NULL").select("row", F.posexplode("units").alias("at", "u")).select("row", "at", "u.alone", "u.text")
+    parts = F.filter(F.transform(F.split(F.lower("text"), _NOT_WORD), lambda x: F.regexp_replace(x, r"^[.-]+|[.-]+$", "")), lambda x: x != "")
+    held = one.select("row", "at", "alone", parts.alias("words")).select("row", "at", "alone", _grams(F.col("words")).alias("grams"))
+    grams = held.select("row", "at", "alone", F.size("grams").alias("n_grams"), F.explode("grams").alias("gram"))
     z = [((F.coalesce(F.sum(F.col("w")[k]), F.lit(0.0)) + bias[k]) / heat).alias(f"z{k}") for k in range(len(FAMILIES))]
-    scored = one.join(table, "gram", "left").groupBy("id", "line_key").agg(F.first("n_grams").alias("n_grams"), *z)
+    scored = grams.join(table, "gram", "left").groupBy("row", "at").agg(F.first("alone").alias("alone"), F.first("n_grams").alias("n_grams"), *z)
     zs = F.array(*[F.col(f"z{k}") for k in range(len(FAMILIES))])
-    scored = scored.withColumn("top", F.array_max(zs)).withColumn("at", (F.array_position(zs, F.col("top")) - 1).cast("int"))
+    scored = scored.withColumn("top", F.array_max(zs)).withColumn("k", (F.array_position(zs, F.col("top")) - 1).cast("int"))
     probability = 1 / F.aggregate(zs, F.lit(0.0), lambda s, x: s + F.exp(x - F.col("top")))
-    scored = scored.select("id", "line_key", "n_grams", "at", probability.alias("probability"))
-    likeness = _likeness(one, scored, in_template)
-    out = scored.join(likeness, ["id", "line_key"], "left").withColumn("likeness", F.coalesce("likeness", F.lit(0.0)))
-    family = F.element_at(F.array(*map(F.lit, FAMILIES)), F.col("at") + 1)
-    confirmed = (F.col("at") < len(TEMPLATES)) & (F.col("probability") >= SURE) & (F.col("likeness") >= ALIKE)
-    return out.select("id", "line_key", F.when(confirmed, family).otherwise("unknown").alias("family"), "probability", "likeness", confirmed.alias("confirmed"))
-
-
-def _likeness(one: DataFrame, scored: DataFrame, in_template: list) -> DataFrame:
-    """How well a line fits the best template of its predicted family: the share of the template's own n-grams (those of no
-    other family) that the line has, or, if it has any, the share of the line's n-grams that are the template's."""
-    spark = one.sparkSession
-    sizes: dict[tuple[int, int], int] = defaultdict(int)
-    for _, k, t, own in in_template:
+    scored = scored.select("row", "at", "alone", "n_grams", "k", probability.alias("probability"))
+    out = scored.join(_likeness(grams, scored), ["row", "at"], "left").withColumn("likeness", F.coalesce("likeness", F.lit(0.0)))
+    confirmed = (F.col("k") < len(TEMPLATES)) & (F.col("probability") >= SURE) & (F.col("likeness") >= ALIKE)
+    family = F.element_at(F.array(*map(F.lit, FAMILIES)), F.col("k") + 1)
+    return out.select("row", "at", "alone", F.when(confirmed, family).otherwise("unknown").alias("family"), "probability", "likeness", confirmed.alias("confirmed"))
+
+
+def _likeness(grams: DataFrame, scored: DataFrame) -> DataFrame:
+    """How well a unit fits the best template of its predicted family."""
+    spark, sizes = grams.sparkSession, defaultdict(int)
+    known = template_grams()
+    for _, k, t, own in known:
         sizes[k, t] += own
-    table = F.broadcast(spark.createDataFrame(in_template, "gram string, at int, t int, own boolean"))  # fixed size
-    size = F.broadcast(spark.createDataFrame([(k, t, n) for (k, t), n in sizes.items()], "at int, t int, size int"))
-    common = one.select("id", "line_key", "gram").join(table, "gram").groupBy("id", "line_key", "at", "t").agg(F.count("*").alias("common"), F.count_if("own").alias("own"))
-    found = common.join(scored, ["id", "line_key", "at"]).join(size, ["at", "t"]).where("own > 0")
-    share = F.greatest(F.col("own") / F.col("size"), F.col("common") / F.col("n_grams"))
-    return found.groupBy("id", "line_key").agg(F.max(share).alias("likeness"))
+    table = F.broadcast(spark.createDataFrame([(g, k, t, own, sizes[k, t]) for g, k, t, own in known], "gram string, k int, t int, own boolean, size int"))  # fixed size
+    common = grams.select("row", "at", "gram").join(table, "gram").groupBy("row", "at", "k", "t").agg(F.count("*").alias("common"), F.count_if("own").alias("own"), F.first("size").alias("size"))
+    found = common.join(scored.select("row", "at", "k", "n_grams"), ["row", "at", "k"]).where("own > 0")
+    return found.groupBy("row", "at").agg(F.max(F.greatest(F.col("own") / F.col("size"), F.col("common") / F.col("n_grams"))).alias("likeness"))
 
 
 def scan(docs: DataFrame, *, doc_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_col, license (of the surest confirmed line; "unknown" if candidates but none; else "none"), licenses (all
-    confirmed families), confidence, n_candidates, n_confirmed: one row per document."""
-    lines = scan_lines(candidates(docs, doc_col=doc_col, text_col=text_col))
-    kind, sure = F.substring("line_key", 1, 1), F.struct("probability", "likeness", "family")
-    lines = lines.where(F.col("confirmed") | (kind == "1"))
-    alone = F.col("confirmed") & (kind != "2")
-    by_doc = lines.groupBy(F.col("id").alias(doc_col)).agg(
-        F.max(F.when(alone, sure)).alias("of_lines"), F.collect_set(F.when(alone, F.col("family"))).alias("families"),
-        F.collect_set(F.when(kind == "2", sure)).alias("runs"), F.count_if(kind != "2").alias("n_lines"), F.count_if(alone).alias("n_alone"),
-    ).withColumn("runs", F.filter("runs", lambda r: ~F.array_contains("families", r["family"])))
-    by_doc = by_doc.select(
-        doc_col, F.greatest("of_lines", F.array_max("runs")).alias("b"), F.array_sort(F.array_union("families", F.transform("runs", lambda r: r["family"]))).alias("licenses"),
-        (F.col("n_lines") + F.size("runs")).alias("n_candidates"), (F.col("n_alone") + F.size("runs")).alias("n_confirmed"),
+    """doc_col, license (of the surest confirmed unit; "unknown" if candidate lines but none; else "none"), licenses (all confirmed families),
+    confidence, n_candidates, n_confirmed: one row per document."""
+    held = candidates(docs, doc_col=doc_col, text_col=text_col)
+    units = judge(held).where("confirmed OR alone")
+    sure, line = F.struct("probability", "likeness", "family"), F.col("alone") & F.col("confirmed")
+    by_row = units.groupBy("row").agg(
+        F.max(F.when(line, sure)).alias("of_lines"), F.collect_set(F.when(line, F.col("family"))).alias("families"), F.collect_set(F.when(~F.col("alone"), sure)).alias("parts"),
+        F.count_if("alone").alias("n_lines"), F.count_if(line).alias("n_alone"),
+    ).withColumn("parts", F.filter("parts", lambda r: ~F.array_contains("families", r["family"])))
+    by_row = by_row.select(
+        "row", F.greatest("of_lines", F.array_max("parts")).alias("b"), F.array_sort(F.array_distinct(F.array_union("families", F.transform("parts", lambda r: r["family"])))).alias("licenses"),
+        (F.col("n_lines") + F.size("parts")).alias("n_candidates"), (F.col("n_alone") + F.size("parts")).alias("n_confirmed"),
     ).where("n_candidates > 0")
-    out = docs.select(doc_col).join(by_doc, doc_col, "left")
-    return out.select(
-        doc_col,
+    return held.select("row", "id").join(by_row, "row", "left").select(
+        F.col("id").alias(doc_col),
         F.when(F.isnull("n_candidates"), "none").otherwise(F.coalesce("b.family", F.lit("unknown"))).alias("license"),
         F.coalesce(F.array_join("licenses", ","), F.lit("")).alias("licenses"),
         F.coalesce("b.probability", F.lit(0.0)).alias("confidence"),
