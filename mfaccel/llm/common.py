@@ -148,7 +148,10 @@ def labelled_features(
             break
         total += r.n
         taken.append((r.id, r.h))
-    if len(taken) < found.count():  # beyond the bound, or repeated rows: each text of an id once
-        found = found.join(F.broadcast(spark.createDataFrame(taken, f"id {kind}, h bigint")), ["id", "h"]).dropDuplicates(["id", "h"])
+    many, texts = found.agg(F.count("*"), F.count_distinct("id", "h")).first()
+    if len(taken) < texts:  # beyond the bound
+        found = found.join(F.broadcast(spark.createDataFrame(taken, f"id {kind}, h bigint")), ["id", "h"])
+    if texts < many:  # each text of an id once
+        found = found.dropDuplicates(["id", "h"])
     rows = sorted(found.select("id", "codes").collect(), key=lambda r: (r.id, len(r.codes), r.codes))
     return [(r.codes, of[r.id]) for r in rows]

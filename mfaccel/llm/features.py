@@ -23,7 +23,7 @@ _SHAPE = bytes(
 )
 _MIX, _STEP = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9)
 _CACHE: dict[bytes, int] = {}
-_CACHED = 400_000
+_CACHED = 150_000
 
 
 def _fold(h: np.ndarray) -> np.ndarray:
@@ -48,28 +48,33 @@ def word_codes(words: list[bytes]) -> np.ndarray:
 #: Lengths in bytes of the word beginnings that stems_view() gives.
 STEMS = (4, 5, 6, 7, 8)
 _STEM_ROWS: dict[bytes, int] = {}
-_STEM_CODES: list[tuple[int, ...]] = []
+_STEM_CODES = np.empty((1 << 14, len(STEMS)), np.int32)
+_STEMS_CACHED = 150_000
+
+
+def _stem_row(word: bytes) -> int:
+    """Place of a word's codes in the table; words that begin alike, as far as beginnings count, share one."""
+    global _STEM_CODES
+    short = word[: max(STEMS)]
+    row = _STEM_ROWS.get(short, -1)
+    if row < 0:
+        row = _STEM_ROWS[short] = len(_STEM_ROWS)
+        if row == len(_STEM_CODES):
+            _STEM_CODES = np.concatenate([_STEM_CODES, np.empty_like(_STEM_CODES)])
+        _STEM_CODES[row] = [zlib.crc32(short[:n], n) >> (32 - BITS) if len(short) >= n else -1 for n in STEMS]
+    return row
 
 
 def stems_view(text: bytes) -> np.ndarray:
     """Codes of the beginnings of all words, with repeats; a word gives those that it is longer than or equal to."""
-    if len(_STEM_ROWS) > _CACHED:
+    if len(_STEM_ROWS) > _STEMS_CACHED:
         _STEM_ROWS.clear()
-        _STEM_CODES.clear()
-    words = text.translate(LOWER_WORDS).split()
+    most = max(STEMS)
+    words = [w[:most] for w in text.translate(LOWER_WORDS).split()]
     rows = list(map(_STEM_ROWS.get, words, repeat(-1)))
     if -1 in rows:
-        for k, row in enumerate(rows):
-            if row < 0:
-                word = words[k][: max(STEMS) + 1]  # the beginnings are all that counts
-                row = _STEM_ROWS.get(word, -1)
-                if row < 0:
-                    row = _STEM_ROWS[word] = len(_STEM_CODES)
-                    _STEM_CODES.append(tuple(zlib.crc32(word[:n], n) >> (32 - BITS) if len(word) >= n else -1 for n in STEMS))
-                if len(words[k]) <= 64:
-                    _STEM_ROWS[words[k]] = row
-                rows[k] = row
-    codes = np.array(list(map(_STEM_CODES.__getitem__, rows)), np.int64).reshape(-1)
+        rows = [row if row >= 0 else _stem_row(word) for row, word in zip(rows, words, strict=True)]
+    codes = _STEM_CODES[rows].reshape(-1).astype(np.int64) if rows else np.zeros(0, np.int64)
     return codes[codes >= 0]
 
 
