@@ -44,10 +44,14 @@ def unit_hash(*parts: Column | str | int) -> Column:
     return F.conv(F.substring(F.md5(text.cast("binary")), 1, 8), 16, 10).cast("double") / F.lit(2.0**32)
 
 
+def start_vector(side: str, rank: int, seed: int = 42) -> Column:
+    """Components uniform in [0, 1) over the square root of the rank, by hashes of seed, side, id and place."""
+    return F.array(*[unit_hash(seed, F.lit(side), F.col("id"), k) / math.sqrt(rank) for k in range(rank)])
+
+
 def hashed_start(ids: DataFrame, side: str, rank: int, seed: int = 42) -> DataFrame:
-    """(id, x): components uniform in [0, 1) over the square root of the rank."""
-    parts = [unit_hash(seed, F.lit(side), F.col("id"), k) / math.sqrt(rank) for k in range(rank)]
-    return ids.select("id", F.array(*parts).alias("x"))
+    """(id, x)"""
+    return ids.select("id", start_vector(side, rank, seed).alias("x"))
 
 
 def random_start(ids: DataFrame, rank: int, seed: int = 42) -> DataFrame:

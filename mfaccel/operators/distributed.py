@@ -6,31 +6,38 @@ together with the own rows, and works block by block; its output is the new own
 
 The fused schedule has two exchanges an iteration: items' (x, p) to the user blocks, used for the line search and, once the
 step is known, again for the user solve and gradient; and users' (x, xbar) to the item blocks, for the item solve and
-gradient. The separate schedule makes the five exchanges of the plain layout: search, two for the sweep, two for the gradient.
+gradient. The separate schedule makes the five exchanges of the plain layout: search, two for the sweep, two for the gradient; its search goes
+over the side to which fewer vectors are sent. A search by plain evaluation makes an exchange for each trial step instead.
 
-Only the five coefficients and a dozen dot products reach the driver in an iteration. Each pass ends in a checkpoint.
-A heavy item's cells lie in its one block; raise the number of blocks until the largest fits a worker's memory.
+Plain sweeps measure themselves: the normal equations of a half-step give the gradient of its side, that of the other side is zero
+after an exact solve, and the residuals give the loss, so gradient norms cost no pass of their own.
+
+Only the five coefficients and a dozen dot products reach the driver in an iteration. Each pass ends in a checkpoint. An entity with more
+ratings than `layout` lets one block hold is in parts: each part's block sums its share, and the shares are added up before the solve.
+With precision "float" vectors are kept and sent in single precision, and computed with in double.
 """
 
 from __future__ import annotations
 
+import json
 import time
 from collections.abc import Callable
 from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from mfaccel.functions.vectors import hashed_start, vaxpby, vdot, vnorm2, vzeros
+from mfaccel.functions.vectors import start_vector, vaxpby, vdot, vnorm2, vzeros
 from mfaccel.operators import normal
 from mfaccel.operators.conjugate import DOTS, beta
-from mfaccel.operators.linesearch import Quartic, backtracking, exact, more_thuente
-from mfaccel.plans.blocks import Layout, layout
+from mfaccel.operators.linesearch import Quartic, backtracking, backtracking_direct, exact, more_thuente, plain_step
+from mfaccel.plans.blocks import HEAVY, Layout, layout
 from mfaccel.plans.cuts import cut
 
-STATIC = "id bigint, blk int, n int, dest array<int>"
+KEYS = ["id", "blk", "n", "dest", "parts", "lead"]
+STATIC = "id bigint, blk int, n int, dest array<int>, parts int, lead boolean"
 PRECONDITIONERS = ("als", "als_items_first", "nonnegative", "coordinate", "gradient")
 
 
@@ -41,6 +48,14 @@ class StopRule:
     seconds: float = float("inf")
 
 
+@dataclass
+class Saves:
+    """Where and how often the state is kept beyond the job, so that another can go on from it."""
+
+    folder: str
+    every: int = 10
+
+
 @dataclass
 class Fit:
     users: DataFrame
@@ -55,37 +70,42 @@ class Fit:
 
 def _array(column: pa.ChunkedArray, rank: int) -> np.ndarray:
     column = column.combine_chunks()
-    return column.flatten().to_numpy(zero_copy_only=False).reshape(-1, rank) if len(column) else np.zeros((0, rank))
+    return column.flatten().to_numpy(zero_copy_only=False).astype(np.float64, copy=False).reshape(-1, rank) if len(column) else np.zeros((0, rank))
 
 
-def _lists(values: np.ndarray) -> pa.Array:
-    return pa.ListArray.from_arrays(pa.array(np.arange(0, values.size + 1, values.shape[1] or 1), pa.int32()), pa.array(values.reshape(-1)))
+def _lists(values: np.ndarray, kind: str = "double") -> pa.Array:
+    flat = pa.array(values.reshape(-1).astype(np.float32 if kind == "float" else np.float64, copy=False))
+    return pa.ListArray.from_arrays(pa.array(np.arange(0, values.size + 1, values.shape[1] or 1), pa.int32()), flat)
 
 
-def _solver(precond: str, lam: float, weighted: bool) -> Callable:
-    if precond == "coordinate":
-        return lambda cells, own, others: normal.coordinate_step(cells, own, others, lam)
-    return lambda cells, own, others: normal.solve(cells, others, lam, weighted, precond == "nonnegative")
+def _ridge(cells: normal.BlockCells, own: pa.Table, lam: float, weighted: bool) -> np.ndarray:
+    """Ridge of each own row; over the parts of an entity it adds up to the entity's."""
+    return lam * (cells.counts if weighted else own["lead"].to_numpy().astype(float))
 
 
 class Engine:
-    def __init__(self, plan: Layout, rank: int, lam: float, weighted: bool = True, precond: str = "als"):
-        if precond not in PRECONDITIONERS:
-            raise ValueError(precond)
-        self.plan, self.rank, self.lam, self.weighted, self.precond = plan, rank, lam, weighted, precond
+    def __init__(self, plan: Layout, rank: int, lam: float, weighted: bool = True, precond: str = "als", precision: str = "double"):
+        if precond not in PRECONDITIONERS or precision not in ("double", "float"):
+            raise ValueError(f"{precond}, {precision}")
+        self.plan, self.rank, self.lam, self.weighted, self.precond, self.precision = plan, rank, lam, weighted, precond, precision
         self.first, self.second = ("item", "user") if precond == "als_items_first" else ("user", "item")
 
     def start(self, seed: int = 42) -> dict[str, DataFrame]:
-        return {s: cut(self.plan.side(s)[1].join(hashed_start(self.plan.side(s)[1], s, self.rank, seed), "id")) for s in ("user", "item")}
+        return {s: cut(self.plan.side(s)[1].select(*KEYS, self._kept(start_vector(s, self.rank, seed)).alias("x"))) for s in ("user", "item")}
+
+    def _kept(self, vector: Column) -> Column:
+        return vector.cast(f"array<{self.precision}>")
 
     # --- one pass ----------------------------------------------------------------------------------------------------
 
     def route(self, side: str, own: DataFrame, own_cols: list[str], other: DataFrame, other_cols: list[str]) -> DataFrame:
         """Own rows and the vectors that they need, by block: the exchange of a pass."""
         null = F.lit(None)
+        kind = f"array<{self.precision}>"
         names = [*dict.fromkeys([*own_cols, *other_cols])]
-        mine = own.select(F.col("blk").alias("to"), F.lit(True).alias("mine"), "id", "n", "dest", *[F.col(c) if c in own_cols else null.cast("array<double>").alias(c) for c in names])
-        sent = other.select(F.explode("dest").alias("to"), F.lit(False).alias("mine"), "id", null.cast("int").alias("n"), null.cast("array<int>").alias("dest"), *[F.col(c) if c in other_cols else null.cast("array<double>").alias(c) for c in names])
+        mine = own.select(F.col("blk").alias("to"), F.lit(True).alias("mine"), "id", "n", "dest", "parts", "lead", *[(F.col(c).cast(kind) if c in own_cols else null.cast(kind)).alias(c) for c in names])
+        absent = [null.cast(t).alias(c) for c, t in (("n", "int"), ("dest", "array<int>"), ("parts", "int"), ("lead", "boolean"))]
+        sent = other.select(F.explode("dest").alias("to"), F.lit(False).alias("mine"), "id", *absent, *[(F.col(c).cast(kind) if c in other_cols else null.cast(kind)).alias(c) for c in names])
         return mine.unionByName(sent).repartition(self.plan.n_blocks, "to")
 
     def work(self, side: str, routed: DataFrame, each: Callable, schema: str) -> DataFrame:
@@ -103,10 +123,11 @@ class Engine:
 
     def advance(self, side: str, routed: DataFrame, alpha: float, old: list[str], solve_with: str | None, with_gradient: bool) -> DataFrame:
         """New own rows: x moved by alpha along p (of both sides), xbar solved against a column of the other side,
-        the gradient g; columns named in `old` are carried along."""
-        lam, weighted, solver = self.lam, self.weighted, _solver(self.precond, self.lam, self.weighted)
+        the gradient g and the own share f of the loss; columns named in `old` are carried along."""
+        rank, lam, weighted, precond, kind, split = self.rank, self.lam, self.weighted, self.precond, self.precision, self.plan.split[side]
         moved_others = alpha if solve_with == "x" or side == self.first else 0.0
         outs = ["x", *(["xbar"] if solve_with else []), *(["g"] if with_gradient else []), *old]
+        shares = ["f"] if with_gradient else []
 
         def each(cells, own, others, vectors):
             x, y = vectors(own, "x"), vectors(others, "x")
@@ -114,21 +135,61 @@ class Engine:
                 x = x + alpha * vectors(own, "p")
                 if moved_others:
                     y = y + moved_others * vectors(others, "p")
-            made = {"x": x}
+            made, ridge = {"x": x}, _ridge(cells, own, lam, weighted)
+            against = None if not solve_with else y if solve_with == "x" else vectors(others, solve_with)
             if with_gradient:
-                made["g"] = normal.gradient(cells, x, y, lam, weighted)
+                e = normal.residual(cells, x, y)
+                made["f"] = normal.sums_by_own(cells, (e**2)[:, None])[:, 0] + ridge * (x**2).sum(axis=1)
+            if with_gradient and solve_with == "x" and precond != "coordinate":
+                made["xbar"], made["g"] = normal.solve_and_look(cells, x, y, ridge, precond == "nonnegative")
+            else:
+                if with_gradient:
+                    made["g"] = 2 * (normal.sums_by_own(cells, e[:, None] * y[cells.other]) + ridge[:, None] * x)
+                if solve_with:
+                    made["xbar"] = normal.coordinate_step(cells, x, against, ridge) if precond == "coordinate" else normal.solve(cells, against, ridge, precond == "nonnegative")
+            arrays = [_lists(made[c], kind) if c in made else own[c].combine_chunks() for c in outs]
+            columns = [*(own[c] for c in ("id", "to", "n", "dest", "parts", "lead")), *arrays, *(pa.array(made[c]) for c in shares)]
+            if split:
+                sums: list = [None] * own.num_rows
+                for k in np.flatnonzero(own["parts"].to_numpy() > 1):
+                    at = slice(cells.edges[k], cells.edges[k + 1])
+                    own_sums = [np.array([ridge[k]]), made["g"][k] if with_gradient else np.zeros(rank)]
+                    if solve_with:
+                        m = against[cells.other[at]]
+                        own_sums += [(m.T @ m).ravel(), cells.rating[at] @ m]
+                    sums[k] = np.concatenate(own_sums)
+                columns.append(pa.array(sums, pa.list_(pa.float64())))
+            return pa.Table.from_arrays(columns, names)
+
+        names = [*KEYS, *outs, *shares, *(["sums"] if split else [])]
+        schema = STATIC + "".join(f", {c} array<{kind}>" for c in outs) + "".join(f", {c} double" for c in shares)
+        done = self.work(side, routed, each, schema + ", sums array<double>" * split)
+        if not split:
+            return done
+        parts = done.where("parts > 1").groupBy("id").applyInArrow(self._add_parts(outs, solve_with, with_gradient), schema)
+        return done.where("parts = 1").drop("sums").unionByName(parts)
+
+    def _add_parts(self, outs: list[str], solve_with: str | None, with_gradient: bool) -> Callable:
+        """All parts of an entity, with what their sums make."""
+        rank, precond, kind = self.rank, self.precond, self.precision
+
+        def run(parts: pa.Table) -> pa.Table:
+            total = np.sum([np.array(x) for x in parts["sums"].to_pylist()], axis=0)
+            made, ridge = {}, total[:1]
+            if with_gradient:
+                made["g"] = total[1 : 1 + rank]
             if solve_with:
-                made["xbar"] = solver(cells, x, y if solve_with == "x" else vectors(others, solve_with))
-            arrays = [_lists(made[c]) if c in made else own[c].combine_chunks() for c in outs]
-            blk = pa.array(np.full(own.num_rows, left_block(own)), pa.int32())
-            return pa.Table.from_arrays([own["id"], blk, own["n"], own["dest"], *arrays], ["id", "blk", "n", "dest", *outs])
-
-        def left_block(own):
-            return own["to"][0].as_py() if own.num_rows else 0
+                a, v = total[1 + rank : 1 + rank + rank * rank].reshape(1, rank, rank), total[1 + rank + rank * rank :][None, :]
+                x = _array(parts["x"], rank)[:1]
+                made["xbar"] = (normal.coordinate_systems(a, v, ridge, x) if precond == "coordinate" else normal.solve_systems(a, v, ridge, precond == "nonnegative"))[0]
+            parts = parts.drop_columns(["sums"])
+            for c, value in made.items():
+                parts = parts.set_column(parts.schema.get_field_index(c), c, _lists(np.tile(value, (parts.num_rows, 1)), kind))
+            return parts
 
-        return self.work(side, routed, each, STATIC + "".join(f", {c} array<double>" for c in outs))
+        return run
 
-    def coefficients(self, side: str, routed: DataFrame, users: DataFrame | None = None, items: DataFrame | None = None) -> Quartic:
+    def coefficients(self, side: str, routed: DataFrame) -> Quartic:
         lam, weighted = self.lam, self.weighted
 
         def each(cells, own, others, vectors):
@@ -142,12 +203,19 @@ class Engine:
 
         sums = self.work(side, routed, each, ", ".join(f"c{k} double" for k in range(5)))
         row = sums.agg(*[F.sum(f"c{k}").alias(f"c{k}") for k in range(5)]).first()
-        c = [row[k] for k in range(5)]
-        if not weighted:
-            both = users.select("x", "p").unionByName(items.select("x", "p"))
+        return Quartic.of([row[k] for k in range(5)])
+
+    def line(self, side: str, state: dict[str, DataFrame], keep: list[str]) -> tuple[DataFrame, Quartic]:
+        """The routed rows of a side, and the loss along p as a quartic."""
+        other = {"user": "item", "item": "user"}[side]
+        routed = self.route(side, state[side], ["x", "p", *keep], state[other], ["x", "p"]).persist()
+        q = self.coefficients(side, routed)
+        if not self.weighted:
+            both = state["user"].select("x", "p", "lead").unionByName(state["item"].select("x", "p", "lead")).where("lead")
             more = both.agg(F.sum(vnorm2("x")), F.sum(vdot("x", "p")), F.sum(vnorm2("p"))).first()
-            c[:3] = [c[0] + lam * more[0], c[1] + 2 * lam * more[1], c[2] + lam * more[2]]
-        return Quartic.of(c)
+            c = q.c
+            q = Quartic.of([c[0] + self.lam * more[0], c[1] + 2 * self.lam * more[1], c[2] + self.lam * more[2], c[3], c[4]])
+        return routed, q
 
     # --- measures ----------------------------------------------------------------------------------------------------
 
@@ -155,43 +223,73 @@ class Engine:
         """Both sides with their gradients: two exchanges, as much as a sweep."""
         out = {}
         for side, other in (("user", "item"), ("item", "user")):
-            routed = self.route(side, state[side], [c for c in state[side].columns if c not in ("id", "blk", "n", "dest", "g")], state[other], ["x"])
-            out[side] = self.advance(side, routed, 0.0, [c for c in state[side].columns if c not in ("id", "blk", "n", "dest", "x", "g")], None, True)
+            carried = [c for c in state[side].columns if c not in (*KEYS, "x", "g", "f")]
+            routed = self.route(side, state[side], ["x", *carried], state[other], ["x"])
+            out[side] = self.advance(side, routed, 0.0, carried, None, True)
         return out
 
     def loss(self, state: dict[str, DataFrame]) -> float:
-        zero = {s: state[s].select("id", "blk", "n", "dest", "x").withColumn("p", vzeros(self.rank)) for s in state}
-        routed = self.route("user", zero["user"], ["x", "p"], zero["item"], ["x", "p"])
-        return self.coefficients("user", routed, zero["user"], zero["item"]).c[0]
+        zero = {s: state[s].select(*KEYS, "x", vzeros(self.rank).alias("p")) for s in state}
+        routed, q = self.line("user", zero, [])
+        routed.unpersist()
+        return q.c[0]
+
+    def _squares(self, *sides: DataFrame) -> float:
+        return sum(float(s.where("lead").agg(F.sum(vnorm2("g"))).first()[0] or 0.0) for s in sides)
 
     def norm(self, state: dict[str, DataFrame]) -> float:
-        both = state["user"].select("g").unionByName(state["item"].select("g"))
-        return float(both.agg(F.sqrt(F.sum(vnorm2("g")))).first()[0]) / (self.rank * (self.plan.n_u + self.plan.n_m))
+        return self._squares(*state.values()) ** 0.5 / self.size
+
+    @property
+    def size(self) -> int:
+        return self.rank * (self.plan.n_u + self.plan.n_m)
 
     # --- plain sweeps --------------------------------------------------------------------------------------------------
 
+    def _half(self, side: str, state: dict[str, DataFrame], look: bool) -> DataFrame:
+        other = {"user": "item", "item": "user"}[side]
+        return cut(self.advance(side, self.route(side, state[side], ["x"], state[other], ["x"]), 0.0, [], "x", look))
+
     def sweep(self, state: dict[str, DataFrame]) -> dict[str, DataFrame]:
         out = dict(state)
-        for side, other in ((self.first, self.second), (self.second, self.first)):
-            rows = self.route(side, out[side], ["x"], out[other], ["x"])
-            done = self.advance(side, rows, 0.0, [], "x", False)
-            out[side] = cut(done.select("id", "blk", "n", "dest", F.col("xbar").alias("x")))
+        for side in (self.first, self.second):
+            out[side] = self._half(side, out, False).select(*KEYS, F.col("xbar").alias("x"))
         return out
 
-    def fit_als(self, state: dict[str, DataFrame], stop: StopRule, measured: bool = True) -> Fit:
-        """Plain sweeps. The clock leaves out loss and gradient, which are measured only if asked for."""
-        fit, clock = Fit(state["user"], state["item"], self.rank, self.lam), 0.0
-        state = {s: state[s].select("id", "blk", "n", "dest", "x") for s in state}
-        for k in range(stop.iterations + 1):
-            if k:
-                at = time.perf_counter()
-                state = self.sweep(state)
-                clock += time.perf_counter() - at
-            norm = self.norm(self.gradients(state)) if measured else float("nan")
-            fit.trace.append({"algo": "als", "iter": k, "t_sec": clock, "loss": self.loss(state) if measured else float("nan"), "gnorm": norm, "alpha": 0.0, "beta": 0.0, "restart": False})
-            if norm < stop.gnorm or clock > stop.seconds:
+    def fit_als(self, state: dict[str, DataFrame], stop: StopRule, measured: bool = True, saves: Saves | None = None, after: int = 0) -> Fit:
+        """Plain sweeps, from iteration `after` on. An exact half-step tells the gradient and the loss of the point that it starts from; with other
+        preconditioners, and at the start, the second side's gradient is measured by a pass that the clock leaves out."""
+        a, b = self.first, self.second
+        fit, clock, exact_solves = Fit(state["user"], state["item"], self.rank, self.lam), 0.0, self.precond in ("als", "als_items_first")
+        state = {s: state[s].select(*KEYS, "x") for s in state}
+        for k in range(after, stop.iterations + 1):
+            at = time.perf_counter()
+            saved = self._save(saves, k, state, {"algo": "als"}) if saves and k > after else None
+            state, saving = saved or state, time.perf_counter() - at
+            clock += saving
+            last = k == stop.iterations
+            row = {"algo": "als", "iter": k, "t_sec": clock, "loss": float("nan"), "gnorm": float("nan"), "alpha": 0.0, "beta": 0.0, "restart": False, "ckpt": bool(saved)}
+            fit.trace.append(row)
+            if last and not measured:
+                break
+            at = time.perf_counter()
+            half = self._half(a, state, measured)
+            spent = time.perf_counter() - at
+            if measured:
+                ridge = F.sum(vnorm2("x") * (F.col("n") if self.weighted else F.col("lead").cast("int"))) * self.lam
+                squares = self._squares(half)
+                if k == after or not exact_solves:
+                    routed = self.route(b, state[b], ["x"], state[a], ["x"])
+                    squares += self._squares(self.advance(b, routed, 0.0, [], None, True))
+                row["loss"] = float(half.agg(F.sum("f")).first()[0] or 0.0) + float(state[b].agg(ridge).first()[0] or 0.0)
+                row["gnorm"] = squares**0.5 / self.size
+            if last or row["gnorm"] < stop.gnorm or clock > stop.seconds:
                 break
-        fit.users, fit.items = state["user"], state["item"]
+            at = time.perf_counter()
+            state = {**state, a: half.select(*KEYS, F.col("xbar").alias("x"))}
+            state[b] = self._half(b, state, False).select(*KEYS, F.col("xbar").alias("x"))
+            clock += spent + time.perf_counter() - at
+        fit.users, fit.items = (state[s].where("lead") for s in ("user", "item"))
         return fit
 
     # --- accelerated ---------------------------------------------------------------------------------------------------
@@ -217,54 +315,128 @@ class Engine:
 
     def _with_z(self, sides: dict[str, DataFrame]) -> dict[str, DataFrame]:
         z = F.col("g") if self.precond == "gradient" else vaxpby(1.0, "x", -1.0, "xbar")
-        return {s: sides[s].withColumn("z", z).drop("xbar") for s in sides}
+        return {s: sides[s].withColumn("z", z).drop("xbar", "f") for s in sides}
 
     def _dots(self, sides: dict[str, DataFrame]) -> dict[str, float]:
-        both = sides["user"].select("g", "g0", "z", "z0", "p").unionByName(sides["item"].select("g", "g0", "z", "z0", "p"))
+        names = ["g", "g0", "z", "z0", "p"]
+        both = sides["user"].where("lead").select(names).unionByName(sides["item"].where("lead").select(names))
         row = both.agg(*[F.sum(vdot(a, b)).alias(n) for n, (a, b) in DOTS.items()]).first()
         return row.asDict()
 
-    def fit_accelerated(self, state: dict[str, DataFrame], stop: StopRule, rule: str = "pr_pre", search: str = "backtracking", comm: str = "fused", **options) -> Fit:
-        began = time.perf_counter()
-        a, b = self.first, self.second
-        size = self.rank * (self.plan.n_u + self.plan.n_m)
-        state = {s: state[s].select("id", "blk", "n", "dest", "x") for s in state}
-        sides = self._with_z(self._look(state, None, 0.0, comm))
-        squares = sides["user"].select("g").unionByName(sides["item"].select("g")).agg(F.sum(vnorm2("g"))).first()[0]
-        state = {s: v.select("id", "blk", "n", "dest", "x", vaxpby(0.0, "z", -1.0, "z").alias("p"), F.col("g").alias("g0"), F.col("z").alias("z0")) for s, v in sides.items()}
-        fit, alpha, weight, restart, value = Fit(state["user"], state["item"], self.rank, self.lam), 0.0, 0.0, False, None
-        for k in range(stop.iterations + 1):
-            norm, routed = float(squares) ** 0.5 / size, None
+    def _downhill(self, state: dict[str, DataFrame]) -> dict[str, DataFrame]:
+        """The state with the preconditioned gradient alone as its direction."""
+        return {s: v.withColumn("p", vaxpby(0.0, "z0", -1.0, "z0")) for s, v in state.items()}
+
+    def fit_accelerated(
+        self, state: dict[str, DataFrame], stop: StopRule, rule: str = "pr_pre", search: str = "backtracking", comm: str = "fused",
+        search_side: str = "auto", saves: Saves | None = None, after: dict | None = None, **options,
+    ) -> Fit:
+        """`after`: the last row of a saved trace, if the state is one that a save holds (x, p, g0, z0). `search_side` matters to the separate
+        schedule; the fused one uses the rows of its search again, so it searches over the side that it solves first."""
+        began, a = time.perf_counter(), self.first
+        direct = search.endswith("_direct")
+        over = a if comm == "fused" or direct else search_side if search_side != "auto" else min(("user", "item"), key=lambda s: self.plan.volume[{"user": "item", "item": "user"}[s]])
+        value, alpha, weight, restart, saved = None, 0.0, 0.0, False, None
+        if after is None:
+            state = {s: state[s].select(*KEYS, "x") for s in state}
+            sides = self._with_z(self._look(state, None, 0.0, comm))
+            squares = self._squares(*sides.values())
+            state = {s: v.select(*KEYS, "x", vaxpby(0.0, "z", -1.0, "z").alias("p"), F.col("g").alias("g0"), F.col("z").alias("z0")) for s, v in sides.items()}
+        else:
+            began -= after["t_sec"]
+            squares, value = (after["gnorm"] * self.size) ** 2, after["loss"]
+        fit = Fit(state["user"], state["item"], self.rank, self.lam)
+        keep = ["g0", "z0"] if over == a else []
+        for k in range(after["iter"] if after else 0, stop.iterations + 1):
+            norm, routed, q = float(squares) ** 0.5 / self.size, None, None
             last = norm < stop.gnorm or k == stop.iterations or time.perf_counter() - began > stop.seconds
-            if not last or value is None:
-                routed = self.route(a, state[a], ["x", "p", "g0", "z0"], state[b], ["x", "p"]).persist()
-                q = self.coefficients(a, routed, state["user"], state["item"])
+            if value is None and direct:
+                value = self.loss(state)
+            elif not direct and (not last or value is None):
+                routed, q = self.line(over, state, keep)
                 value = q.c[0] if value is None else value
-            fit.trace.append({"algo": "accelerated", "iter": k, "t_sec": time.perf_counter() - began, "loss": value, "gnorm": norm, "alpha": alpha, "beta": weight, "restart": restart})
+            row = {"algo": "accelerated", "iter": k, "t_sec": time.perf_counter() - began, "loss": value, "gnorm": norm, "alpha": alpha, "beta": weight, "restart": restart, "ckpt": bool(saved)}
+            if not after or k > after["iter"]:
+                fit.trace.append(row)
             if last:
+                if routed is not None:
+                    routed.unpersist()
                 break
             restart = False
-            if q.c[1] >= 0:
-                state, restart = {s: v.withColumn("p", vaxpby(0.0, "z0", -1.0, "z0")) for s, v in state.items()}, True
-                routed.unpersist()
-                routed = self.route(a, state[a], ["x", "p", "g0", "z0"], state[b], ["x", "p"]).persist()
-                q = self.coefficients(a, routed, state["user"], state["item"])
-            alpha = _search(q, search, **options)
-            if q.c[1] >= 0 or alpha == 0.0:  # the sweep itself: it never raises the loss
-                alpha, restart = 1.0, True
-                state = {s: v.withColumn("p", vaxpby(0.0, "z0", -1.0, "z0")) for s, v in state.items()}
-                routed.unpersist()
-                routed = self.route(a, state[a], ["x", "p", "g0", "z0"], state[b], ["x", "p"]).persist()
-                q = self.coefficients(a, routed, state["user"], state["item"])
-            value = q.value(alpha)
-            sides = self._with_z(self._look(state, routed, alpha, comm))
+            if direct:
+                alpha, value, state, restart = self._direct_step(state, value, search, **options)
+            else:
+                if q.c[1] >= 0:  # no descent: begin anew from the preconditioned gradient
+                    routed.unpersist()
+                    state, restart = self._downhill(state), True
+                    routed, q = self.line(over, state, keep)
+                alpha = _search(q, search, **options)
+                if q.c[1] >= 0 or alpha == 0.0:
+                    if not restart:
+                        routed.unpersist()
+                        state, restart = self._downhill(state), True
+                        routed, q = self.line(over, state, keep)
+                    alpha = plain_step(q)
+                value = q.value(alpha)
+            if alpha == 0.0:  # nothing falls: a minimum as far as numbers tell
+                break
+            sides = self._with_z(self._look(state, routed if over == a else None, alpha, comm))
             dots = self._dots(sides)
-            routed.unpersist()
+            if routed is not None:
+                routed.unpersist()
             squares, weight = dots["g1g1"], beta(rule, dots)
-            state = {s: v.select("id", "blk", "n", "dest", "x", vaxpby(-1.0, "z", weight, "p").alias("p"), F.col("g").alias("g0"), F.col("z").alias("z0")) for s, v in sides.items()}
-        fit.users, fit.items = state["user"], state["item"]
+            state = {s: v.select(*KEYS, "x", vaxpby(-1.0, "z", weight, "p").alias("p"), F.col("g").alias("g0"), F.col("z").alias("z0")) for s, v in sides.items()}
+            saved = self._save(saves, k + 1, state, {"algo": "accelerated", "loss": value, "gnorm": float(squares) ** 0.5 / self.size, "t_sec": time.perf_counter() - began}) if saves else None
+            state = saved or state
+        fit.users, fit.items = (state[s].where("lead") for s in ("user", "item"))
         return fit
 
+    def _direct_step(self, state: dict[str, DataFrame], value: float, search: str, **options):
+        """A step found by evaluating the whole loss at each trial, an exchange each: what the quartic saves."""
+        def at(frames):
+            return lambda step: self.loss({s: v.withColumn("x", vaxpby(1.0, "x", step, "p")) for s, v in frames.items()}) if step else value
+
+        def slope_of(frames) -> float:
+            return sum(float(v.where("lead").agg(F.sum(vdot("g0", "p"))).first()[0] or 0.0) for v in frames.values())
+
+        if search != "backtracking_direct":
+            raise ValueError(search)
+        restart, slope = False, slope_of(state)
+        if slope >= 0:
+            state, restart = self._downhill(state), True
+            slope = slope_of(state)
+        step = backtracking_direct(at(state), slope, **options)[0] if slope < 0 else 0.0
+        if step == 0.0:
+            state, restart = self._downhill(state), True
+            step = next((0.5**k for k in range(60) if at(state)(0.5**k) < value), 0.0)
+        return step, (at(state)(step) if step else value), state, restart
+
+    # --- saved states --------------------------------------------------------------------------------------------------
+
+    def _save(self, saves: Saves, k: int, state: dict[str, DataFrame], about: dict) -> dict[str, DataFrame] | None:
+        """Writes the state of every so many iterations and goes on from what was written; a save counts once its last file is there."""
+        if k % saves.every:
+            return None
+        folder, out = f"{saves.folder.rstrip('/')}/{k:08d}", {}
+        for s, v in state.items():
+            v.write.mode("overwrite").parquet(f"{folder}/{s}")
+            out[s] = v.sparkSession.read.parquet(f"{folder}/{s}")
+        spark = state["user"].sparkSession
+        spark.createDataFrame([(json.dumps(about | {"iter": k}),)], "value string").coalesce(1).write.mode("overwrite").text(f"{folder}/about")
+        return out
+
+
+def newest_save(spark, folder: str) -> tuple[dict[str, DataFrame], dict] | None:
+    """(state, what is known of it) of the newest whole save in a folder."""
+    path = spark._jvm.org.apache.hadoop.fs.Path(folder)
+    fs = path.getFileSystem(spark._jsc.hadoopConfiguration())
+    names = sorted((x.getPath().getName() for x in fs.listStatus(path)), reverse=True) if fs.exists(path) else []
+    for name in names:
+        at = f"{folder.rstrip('/')}/{name}"
+        if fs.exists(spark._jvm.org.apache.hadoop.fs.Path(f"{at}/about/_SUCCESS")):
+            return {s: spark.read.parquet(f"{at}/{s}") for s in ("user", "item")}, json.loads(spark.read.text(f"{at}/about").first().value)
+    return None
+
 
 def _search(q: Quartic, search: str, **options) -> float:
     if search == "backtracking":
@@ -276,15 +448,22 @@ def _search(q: Quartic, search: str, **options) -> float:
     raise ValueError(search)
 
 
-def fit(ratings: DataFrame, rank: int, lam: float, *, algo: str = "accelerated", seed: int = 42, stop: StopRule | None = None, n_blocks: int | None = None, weighted: bool = True, precond: str = "als", one_sweep: bool = False, **options) -> Fit:
-    """Fits a table of ratings (user, item, rating); entities without ratings are not part of the model."""
-    plan = layout(ratings, n_blocks)
+def fit(
+    ratings: DataFrame, rank: int, lam: float, *, algo: str = "accelerated", seed: int = 42, stop: StopRule | None = None, n_blocks: int | None = None, weighted: bool = True,
+    precond: str = "als", precision: str = "double", one_sweep: bool = False, heavy: int = HEAVY, saves: Saves | None = None, **options,
+) -> Fit:
+    """Fits a table of ratings (user, item, rating); entities without ratings are not part of the model. With `saves` a fit goes on from the newest
+    state in their folder, which must be of the same ratings, rank and number of blocks."""
+    plan = layout(ratings, n_blocks, heavy=heavy)
     try:
-        engine = Engine(plan, rank, lam, weighted, precond)
-        state = engine.start(seed)
-        if one_sweep:
+        engine = Engine(plan, rank, lam, weighted, precond, precision)
+        found = newest_save(ratings.sparkSession, saves.folder) if saves else None
+        state = found[0] if found else engine.start(seed)
+        if one_sweep and not found:
             state = engine.sweep(state)
         stop = stop or StopRule()
-        return engine.fit_als(state, stop) if algo == "als" else engine.fit_accelerated(state, stop, **options)
+        if algo == "als":
+            return engine.fit_als(state, stop, saves=saves, after=found[1]["iter"] if found else 0)
+        return engine.fit_accelerated(state, stop, saves=saves, after=found[1] if found else None, **options)
     finally:
         plan.close()

@@ -88,6 +88,11 @@ def exact(q: Quartic, pick: str = "global") -> float:
     return lower[0] if pick == "first" else min(lower, key=q.gain)
 
 
+def plain_step(q: Quartic, most: int = 60) -> float:
+    """1, halved until the quartic is lower there than at 0; 0 if it never is."""
+    return next((0.5**k for k in range(most) if q.gain(0.5**k) < 0), 0.0)
+
+
 def _cubic_min(a, fa, ga, b, fb, gb) -> float:
     """Minimiser of the cubic through two values and slopes."""
     d = ga + gb - 3 * (fa - fb) / (a - b)

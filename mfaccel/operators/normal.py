@@ -5,6 +5,10 @@ from __future__ import annotations
 import numpy as np
 
 
+#: Doubles that a batch of entities may gather at a time.
+BATCH = 1 << 22
+
+
 class BlockCells:
     """Ratings of a block, sorted by own entity, with positions in the sorted ids of both sides."""
 
@@ -15,43 +19,66 @@ class BlockCells:
         self.edges = np.searchsorted(self.own, np.arange(len(own_ids) + 1))
         self.counts = np.diff(self.edges)
 
+    def batches(self, rank: int):
+        """(own entities, cells of each as a rectangle): entities of one count together, so that sums over their cells are one product."""
+        order = np.argsort(self.counts, kind="stable")
+        turns = np.flatnonzero(np.diff(self.counts[order], prepend=-1, append=-1))
+        for a, b in zip(turns, turns[1:], strict=False):
+            n = int(self.counts[order[a]])
+            step = max(1, BATCH // max(1, n * rank, rank * rank))
+            for k in range(a, b, step):
+                who = order[k : min(b, k + step)]
+                yield who, self.edges[who][:, None] + np.arange(n)
+
 
-def gram(cells: BlockCells, others: np.ndarray, first: int, last: int) -> tuple[np.ndarray, np.ndarray]:
-    """Stacked Gram matrices and right-hand sides of the own entities first..last."""
+def normal_equations(cells: BlockCells, others: np.ndarray):
+    """(own entities, Gram matrices, right-hand sides) in batches."""
     f = others.shape[1]
-    a, v = np.empty((last - first, f, f)), np.empty((last - first, f))
-    for k in range(first, last):
-        rows = slice(cells.edges[k], cells.edges[k + 1])
-        m = others[cells.other[rows]]
-        a[k - first] = m.T @ m
-        v[k - first] = cells.rating[rows] @ m
-    return a, v
-
-
-def solve(cells: BlockCells, others: np.ndarray, lam: float, weighted: bool = True, nonnegative: bool = False, batch: int = 512) -> np.ndarray:
-    """Each own entity's exact minimiser; a singular system (no ridge) takes the shortest solution."""
-    n, f = len(cells.counts), others.shape[1]
-    out = np.zeros((n, f))
-    for at in range(0, n, max(1, batch * 100 // max(100, f * f // 10))):
-        last = min(n, at + max(1, batch * 100 // max(100, f * f // 10)))
-        a, v = gram(cells, others, at, last)
-        ridge = lam * (cells.counts[at:last] if weighted else np.ones(last - at))
-        a[:, np.arange(f), np.arange(f)] += ridge[:, None]
-        try:
-            out[at:last] = _by_cholesky(a, v)
-        except np.linalg.LinAlgError:
-            for k in range(last - at):
-                out[at + k] = np.linalg.lstsq(a[k], v[k], rcond=None)[0]
-        if nonnegative:
-            for k in range(last - at):
-                if (out[at + k] < 0).any():
-                    out[at + k] = nonnegative_solve(a[k], v[k])
+    for who, at in cells.batches(f):
+        m = others[cells.other[at]]
+        yield who, np.matmul(m.transpose(0, 2, 1), m), np.matmul(cells.rating[at][:, None, :], m)[:, 0]
+
+
+def solve(cells: BlockCells, others: np.ndarray, ridge: np.ndarray, nonnegative: bool = False) -> np.ndarray:
+    """Each own entity's exact minimiser, with its own ridge; a singular system (no ridge) takes the shortest solution."""
+    out = np.zeros((len(cells.counts), others.shape[1]))
+    for who, a, v in normal_equations(cells, others):
+        out[who] = solve_systems(a, v, ridge[who], nonnegative)
+    return out
+
+
+def solve_and_look(cells: BlockCells, own: np.ndarray, others: np.ndarray, ridge: np.ndarray, nonnegative: bool = False) -> tuple[np.ndarray, np.ndarray]:
+    """The minimisers, and the gradient at `own`, which the same normal equations give."""
+    out, g = np.zeros_like(own), np.zeros_like(own)
+    for who, a, v in normal_equations(cells, others):
+        x = own[who]
+        g[who] = 2 * (np.matmul(a, x[..., None])[..., 0] + ridge[who][:, None] * x - v)
+        out[who] = solve_systems(a, v, ridge[who], nonnegative)
+    return out, g
+
+
+def solve_systems(a: np.ndarray, v: np.ndarray, ridge: np.ndarray, nonnegative: bool = False) -> np.ndarray:
+    f = a.shape[1]
+    a = a.copy()
+    a[:, np.arange(f), np.arange(f)] += ridge[:, None]
+    try:
+        out = _by_cholesky(a, v)
+    except np.linalg.LinAlgError:
+        out = np.stack([np.linalg.lstsq(x, y, rcond=None)[0] for x, y in zip(a, v, strict=True)])
+    if nonnegative:
+        for k in np.flatnonzero((out < 0).any(axis=1)):
+            out[k] = nonnegative_solve(a[k], v[k])
     return out
 
 
 def _by_cholesky(a: np.ndarray, v: np.ndarray) -> np.ndarray:
-    np.linalg.cholesky(a)  # raises where a system is not positive definite
-    return np.linalg.solve(a, v[..., None])[..., 0]
+    """Stacked positive definite systems: one factor each, then both substitutions over the whole stack."""
+    low, x = np.linalg.cholesky(a), v.copy()
+    for k in range(v.shape[1]):
+        x[:, k] = (x[:, k] - np.einsum("gj,gj->g", low[:, k, :k], x[:, :k])) / low[:, k, k]
+    for k in reversed(range(v.shape[1])):
+        x[:, k] = (x[:, k] - np.einsum("gj,gj->g", low[:, k + 1 :, k], x[:, k + 1 :])) / low[:, k, k]
+    return x
 
 
 def nonnegative_solve(a: np.ndarray, v: np.ndarray, most: int = 200) -> np.ndarray:
@@ -67,38 +94,38 @@ def nonnegative_solve(a: np.ndarray, v: np.ndarray, most: int = 200) -> np.ndarr
     return x
 
 
-def coordinate_step(cells: BlockCells, own: np.ndarray, others: np.ndarray, lam: float) -> np.ndarray:
+def coordinate_step(cells: BlockCells, own: np.ndarray, others: np.ndarray, ridge: np.ndarray) -> np.ndarray:
     """One pass over the components: each is set to its minimiser while the rest stays."""
     x = own.copy()
-    for at in range(len(cells.counts)):
-        rows = slice(cells.edges[at], cells.edges[at + 1])
-        m = others[cells.other[rows]]
-        left = cells.rating[rows] - m @ x[at]
-        for k in range(x.shape[1]):
-            col = m[:, k]
-            new = col @ (left + col * x[at, k]) / (col @ col + lam * cells.counts[at] or 1.0)
-            left += col * (x[at, k] - new)
-            x[at, k] = new
+    for who, a, v in normal_equations(cells, others):
+        x[who] = coordinate_systems(a, v, ridge[who], own[who])
     return x
 
 
+def coordinate_systems(a: np.ndarray, v: np.ndarray, ridge: np.ndarray, own: np.ndarray) -> np.ndarray:
+    y = own.copy()
+    for k in range(v.shape[1]):
+        curve = a[:, k, k] + ridge
+        rest = v[:, k] - np.einsum("gj,gj->g", a[:, k, :], y) + a[:, k, k] * y[:, k]
+        y[:, k] = rest / np.where(curve == 0, 1.0, curve)
+    return y
+
+
 def residual(cells: BlockCells, own: np.ndarray, others: np.ndarray) -> np.ndarray:
     return np.einsum("ij,ij->i", own[cells.own], others[cells.other]) - cells.rating
 
 
-def _sum_by(cells: BlockCells, rows: np.ndarray) -> np.ndarray:
-    total = np.concatenate([np.zeros((1, rows.shape[1])), np.cumsum(rows, axis=0)])
-    return total[cells.edges[1:]] - total[cells.edges[:-1]]
+def sums_by_own(cells: BlockCells, rows: np.ndarray) -> np.ndarray:
+    """Sums of rows, one a cell, over the cells of each own entity."""
+    out = np.zeros((len(cells.counts), rows.shape[1]))
+    some = np.flatnonzero(cells.counts)
+    if len(some):
+        out[some] = np.add.reduceat(rows, cells.edges[some], axis=0)
+    return out
 
 
-def gradient(cells: BlockCells, own: np.ndarray, others: np.ndarray, lam: float, weighted: bool = True) -> np.ndarray:
-    out = np.empty_like(own)
-    e = residual(cells, own, others)
-    for k in range(len(cells.counts)):
-        rows = slice(cells.edges[k], cells.edges[k + 1])
-        out[k] = e[rows] @ others[cells.other[rows]]
-    ridge = lam * (cells.counts[:, None] if weighted else 1.0)
-    return 2 * (out + ridge * own)
+def gradient(cells: BlockCells, own: np.ndarray, others: np.ndarray, ridge: np.ndarray) -> np.ndarray:
+    return 2 * (sums_by_own(cells, residual(cells, own, others)[:, None] * others[cells.other]) + ridge[:, None] * own)
 
 
 def loss_sums(cells: BlockCells, own: np.ndarray, others: np.ndarray) -> float:

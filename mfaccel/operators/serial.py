@@ -10,7 +10,7 @@ import numpy as np
 
 from mfaccel.operators import normal
 from mfaccel.operators.conjugate import beta as weight
-from mfaccel.operators.linesearch import Quartic, backtracking, backtracking_direct, exact, more_thuente
+from mfaccel.operators.linesearch import Quartic, backtracking, backtracking_direct, exact, more_thuente, plain_step
 
 
 @dataclass
@@ -41,8 +41,9 @@ class Serial:
         self.rank, self.lam, self.weighted = rank, lam, weighted
         self.n_u, self.n_m = len(self.user_ids), len(self.item_ids)
         self.size = rank * (self.n_u + self.n_m)
-        self.cu = (self.by_user.counts if weighted else np.ones(self.n_u))[:, None] * lam
-        self.cm = (self.by_item.counts if weighted else np.ones(self.n_m))[:, None] * lam
+        self.ru = (self.by_user.counts if weighted else np.ones(self.n_u)) * lam
+        self.rm = (self.by_item.counts if weighted else np.ones(self.n_m)) * lam
+        self.cu, self.cm = self.ru[:, None], self.rm[:, None]
 
     def start(self, seed: int) -> tuple[np.ndarray, np.ndarray]:
         dice = np.random.default_rng(seed)
@@ -52,21 +53,28 @@ class Serial:
         return normal.loss_sums(self.by_user, u, m) + float((self.cu * u**2).sum() + (self.cm * m**2).sum())
 
     def gradient(self, u, m):
-        return normal.gradient(self.by_user, u, m, self.lam, self.weighted), normal.gradient(self.by_item, m, u, self.lam, self.weighted)
+        return normal.gradient(self.by_user, u, m, self.ru), normal.gradient(self.by_item, m, u, self.rm)
 
     def sweep(self, u, m, kind: str = "als"):
         """One application of the preconditioner."""
         if kind == "als_items_first":
-            m = normal.solve(self.by_item, u, self.lam, self.weighted)
-            return normal.solve(self.by_user, m, self.lam, self.weighted), m
+            m = normal.solve(self.by_item, u, self.rm)
+            return normal.solve(self.by_user, m, self.ru), m
         if kind == "coordinate":
-            u = normal.coordinate_step(self.by_user, u, m, self.lam)
-            return u, normal.coordinate_step(self.by_item, m, u, self.lam)
+            u = normal.coordinate_step(self.by_user, u, m, self.ru)
+            return u, normal.coordinate_step(self.by_item, m, u, self.rm)
         if kind == "gradient":
             gu, gm = self.gradient(u, m)
             return u - gu, m - gm
-        u = normal.solve(self.by_user, m, self.lam, self.weighted, kind == "nonnegative")
-        return u, normal.solve(self.by_item, u, self.lam, self.weighted, kind == "nonnegative")
+        u = normal.solve(self.by_user, m, self.ru, kind == "nonnegative")
+        return u, normal.solve(self.by_item, u, self.rm, kind == "nonnegative")
+
+    def look(self, u, m, kind: str = "als"):
+        """The gradient and the point after the preconditioner; a sweep's first normal equations give its side's gradient too."""
+        if kind != "als":
+            return self.gradient(u, m), self.sweep(u, m, kind)
+        new, gu = normal.solve_and_look(self.by_user, u, m, self.ru)
+        return (gu, normal.gradient(self.by_item, m, u, self.rm)), (new, normal.solve(self.by_item, new, self.rm))
 
     def quartic(self, u, m, pu, pm) -> Quartic:
         c = normal.quartic_sums(self.by_user, u, pu, m, pm)
@@ -76,14 +84,15 @@ class Serial:
         return Quartic.of(c)
 
     def fit_als(self, u, m, stop: Stop, keep_scores: bool = False) -> Run:
-        """Plain sweeps; the clock leaves out the gradient, which only the stopping rule needs."""
+        """Plain sweeps. The clock runs during sweeps only: not during the gradient, which only the stopping rule needs, nor for
+        anything that is only recorded."""
         run, clock = Run(u, m), 0.0
         for k in range(stop.iterations + 1):
             if k:
                 at = time.perf_counter()
                 run.users, run.items = self.sweep(run.users, run.items)
                 clock += time.perf_counter() - at
-            norm = float(np.sqrt(sum((g**2).sum() for g in self.gradient(run.users, run.items)))) / self.size
+            norm = self._norm(self.gradient(run.users, run.items))
             run.trace.append({"iter": k, "t_sec": clock, "loss": self.loss(run.users, run.items), "gnorm": norm, "done": norm < stop.gnorm, "alpha": 0.0, "beta": 0.0, "restart": False})
             if keep_scores:
                 run.scores.append(run.users @ run.items.T)
@@ -92,39 +101,54 @@ class Serial:
         return run
 
     def fit_accelerated(self, u, m, stop: Stop, rule: str = "pr_pre", search: str = "more_thuente", precond: str = "als", keep_scores: bool = False, **options) -> Run:
-        run, clock, evaluations = Run(u, m), time.perf_counter(), 0
+        """The clock runs during all that the method needs, its gradients and searches too, and not for what is only recorded."""
+        run, clock, evaluations = Run(u, m), 0.0, 0
 
         def look(u, m):
-            g = self.gradient(u, m)
-            bar = self.sweep(u, m, precond)
+            g, bar = self.look(u, m, precond)
             return g, (u - bar[0], m - bar[1])
 
+        at = time.perf_counter()
         g, z = look(u, m)
         p, alpha, b, restart = tuple(-x for x in z), 0.0, 0.0, False
         norm = self._norm(g)
+        clock += time.perf_counter() - at
         for k in range(stop.iterations + 1):
-            run.trace.append({"iter": k, "t_sec": time.perf_counter() - clock, "loss": self.loss(u, m), "gnorm": norm, "done": norm < stop.gnorm, "alpha": alpha, "beta": b, "restart": restart})
+            run.trace.append({"iter": k, "t_sec": clock, "loss": self.loss(u, m), "gnorm": norm, "done": norm < stop.gnorm, "alpha": alpha, "beta": b, "restart": restart})
             if keep_scores:
                 run.scores.append(u @ m.T)
-            if norm < stop.gnorm or k == stop.iterations or evaluations > stop.evaluations or time.perf_counter() - clock > stop.seconds:
+            if norm < stop.gnorm or k == stop.iterations or evaluations > stop.evaluations or clock > stop.seconds:
                 break
+            at = time.perf_counter()
             q, restart = self.quartic(u, m, *p), False
             if q.c[1] >= 0:  # no descent: begin anew from the preconditioned gradient
                 p, restart = tuple(-x for x in z), True
                 q = self.quartic(u, m, *p)
             alpha, used = self._step(q, search, u, m, p, **options)
             evaluations += used
-            if q.c[1] >= 0 or alpha == 0.0:  # a plain sweep never raises the loss
-                alpha, p, restart = 1.0, tuple(-x for x in z), True
+            if q.c[1] >= 0 or alpha == 0.0:
+                alpha, p, restart = self._plain_step(u, m, p, z, q, restart)
+                if alpha == 0.0:  # neither falls: a minimum as far as numbers tell
+                    clock += time.perf_counter() - at
+                    break
             u, m = u + alpha * p[0], m + alpha * p[1]
             g0, z0 = g, z
             g, z = look(u, m)
             b = 0.0 if restart and rule == "zero" else weight(rule, self._dots(g, g0, z, z0, p))
             p = tuple(-x + b * y for x, y in zip(z, p, strict=True))
             norm = self._norm(g)
+            clock += time.perf_counter() - at
         run.users, run.items = u, m
         return run
 
+    def _plain_step(self, u, m, p, z, q: Quartic, restart: bool):
+        """(step, direction, True) without a searched step: the preconditioner itself if the loss falls by it, else the longest halved
+        step along it that lessens the loss; step 0 if none does. An exact sweep always passes, a raw gradient step need not."""
+        if not restart:
+            p = tuple(-x for x in z)
+            q = self.quartic(u, m, *p)
+        return plain_step(q), p, True
+
     def _norm(self, g) -> float:
         return float(np.sqrt((g[0] ** 2).sum() + (g[1] ** 2).sum())) / self.size
 

@@ -2,26 +2,41 @@
 
 Ratings are kept by user block and by item block. An entity row carries `dest`, the blocks of the other side that need
 its vector; a vector is sent to each of them once, however many ratings there use it. Hot entities cost what
-their distinct blocks cost, at most the number of blocks.
+their distinct blocks cost, at most the number of blocks. The cells of an entity with more ratings than a task should hold are
+spread over blocks too: sums over its ratings (normal equations, gradient, loss) are added up from its parts.
 """
 
 from __future__ import annotations
 
 from dataclasses import dataclass
+from functools import lru_cache
 
 from pyspark import StorageLevel
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from mfaccel.plans.cuts import cut
 
 
+#: Ratings of one entity that one task takes.
+HEAVY = 1_000_000
+
+
 def block_of(id_col: str, n_blocks: int, how: str = "hash") -> Column:
     """Block of an entity: of a hash of its id, or the id modulo the number of blocks."""
     key = F.xxhash64(id_col) if how == "hash" else F.col(id_col)
     return F.pmod(key, F.lit(n_blocks)).cast("int")
 
 
+@lru_cache(maxsize=64)
+def _labels(spark: SparkSession, n_blocks: int) -> tuple[int, ...]:
+    """A number for each block that the hash of an exchange into n_blocks partitions sends to a partition of its own: plain numbers
+    0..n-1 would leave a third of the partitions empty and give others two or three blocks."""
+    spots = spark.range(40 * n_blocks + 64).select(F.col("id").cast("int").alias("v"))
+    spots = spots.groupBy(F.pmod(F.hash("v"), F.lit(n_blocks)).alias("p")).agg(F.min("v").alias("v"))
+    return tuple(r.v for r in spots.orderBy("p").collect())  # one number a block
+
+
 @dataclass
 class Layout:
     ratings: DataFrame
@@ -29,11 +44,13 @@ class Layout:
     how: str
     by_user: DataFrame  # blk, own, other, rating
     by_item: DataFrame
-    users: DataFrame  # id, blk, n, dest
+    users: DataFrame  # id, blk, n, dest, parts, lead: an entity, or each part of one whose ratings lie in several blocks
     items: DataFrame
     n_u: int
     n_m: int
     nnz: int
+    split: dict[str, bool]  # whether any entity of a side is in parts
+    volume: dict[str, int]  # vectors that a side sends in a pass
 
     def side(self, side: str) -> tuple[DataFrame, DataFrame]:
         return (self.by_user, self.users) if side == "user" else (self.by_item, self.items)
@@ -60,24 +77,39 @@ def routing_volume(ratings: DataFrame, n_blocks: int, how: str = "hash") -> Data
     return out
 
 
-def layout(ratings: DataFrame, n_blocks: int | None = None, how: str = "hash", level: StorageLevel = StorageLevel.MEMORY_AND_DISK) -> Layout:
+def layout(ratings: DataFrame, n_blocks: int | None = None, how: str = "hash", level: StorageLevel = StorageLevel.MEMORY_AND_DISK, heavy: int = HEAVY) -> Layout:
+    """Ratings by user and by item block. An entity of more than `heavy` ratings is kept in parts, by the blocks of the other side's ids, so that no
+    block holds all of them; its first part leads: it alone sends the vector and counts in norms and products."""
     n_blocks = n_blocks or ratings.sparkSession.sparkContext.defaultParallelism
     ratings = ratings.select("user", "item", "rating")
-    copies = {}
+    names = F.array(*map(F.lit, _labels(ratings.sparkSession, n_blocks)))
+    copies, split, rows = {}, {}, ratings.persist(level)
+
+    def placed(col: str) -> Column:
+        return F.get(names, block_of(col, n_blocks, how))
+
     for side, other in (("user", "item"), ("item", "user")):
-        rows = ratings.select(block_of(side, n_blocks, how).alias("blk"), F.col(side).alias("own"), F.col(other).alias("other"), "rating")
-        copies[side] = rows.repartition(n_blocks, "blk").persist(level)
+        large = rows.groupBy(side).agg(F.count("*").alias("n")).where(F.col("n") > heavy).select(side, F.lit(True).alias("large"))
+        split[side] = bool(large.limit(1).count())
+        cells = rows.join(large, side, "left") if split[side] else rows.withColumn("large", F.lit(None).cast("boolean"))
+        blk = F.when(F.col("large"), placed(other)).otherwise(placed(side))
+        copies[side] = cells.select(blk.alias("blk"), F.col(side).alias("own"), F.col(other).alias("other"), "rating").repartition(n_blocks, "blk").persist(level)
     entities = {}
     for side, other in (("user", "item"), ("item", "user")):
-        seen = ratings.select(F.col(side).alias("id"), block_of(other, n_blocks, how).alias("to")).groupBy("id", "to").agg(F.count("*").alias("n"))
-        rows = seen.groupBy("id").agg(F.sum("n").cast("int").alias("n"), F.sort_array(F.collect_list("to")).alias("dest"))
-        entities[side] = cut(rows.select("id", block_of("id", n_blocks, how).alias("blk"), "n", "dest"))
-    return Layout(ratings, n_blocks, how, copies["user"], copies["item"], entities["user"], entities["item"], entities["user"].count(), entities["item"].count(), copies["user"].count())
-
-
-def heavy(side: DataFrame, most: int) -> DataFrame:
-    """Entities with more ratings than `most`, whose normal equations are summed from several tasks."""
-    return side.where(F.col("n") > most)
+        mine = copies[side].groupBy(F.col("own").alias("id"), "blk").agg(F.count("*").cast("int").alias("n"))
+        needed = copies[other].groupBy(F.col("other").alias("id")).agg(F.sort_array(F.collect_set("blk")).alias("dest"))
+        if split[side]:
+            whole = mine.groupBy("id").agg(F.count("*").cast("int").alias("parts"), F.min("blk").alias("first"))
+            mine = mine.join(whole, "id").withColumn("lead", F.col("blk") == F.col("first")).drop("first")
+        else:
+            mine = mine.withColumn("parts", F.lit(1)).withColumn("lead", F.lit(True))
+        none = F.array().cast("array<int>")
+        entities[side] = cut(mine.join(needed, "id").select("id", "blk", "n", F.when(F.col("lead"), F.col("dest")).otherwise(none).alias("dest"), "parts", "lead"))
+    sums = {s: e.agg(F.count_if("lead").alias("n"), F.sum(F.size("dest")).alias("sent")).first() for s, e in entities.items()}
+    nnz = copies["user"].count()
+    copies["item"].count()
+    rows.unpersist()
+    return Layout(ratings, n_blocks, how, copies["user"], copies["item"], entities["user"], entities["item"], sums["user"].n, sums["item"].n, nnz, split, {s: sums[s].sent or 0 for s in sums})
 
 
 def exchanges(df: DataFrame) -> dict[str, int]:

@@ -61,10 +61,10 @@ def test_half_steps_zero_their_gradient_and_never_raise_the_loss(small):
     u, m = small.start(2)
     before = small.loss(u, m)
     for _ in range(3):
-        u = normal.solve(small.by_user, m, small.lam)
+        u = normal.solve(small.by_user, m, small.ru)
         assert small.loss(u, m) <= before and np.abs(small.gradient(u, m)[0]).max() < 1e-8
         before = small.loss(u, m)
-        m = normal.solve(small.by_item, u, small.lam)
+        m = normal.solve(small.by_item, u, small.rm)
         assert small.loss(u, m) <= before and np.abs(small.gradient(u, m)[1]).max() < 1e-8
         before = small.loss(u, m)
 
