@@ -11,8 +11,8 @@ from mfaccel.functions.vectors import vdot, vnorm2
 from mfaccel.operators.relational import Problem, half_step
 from mfaccel.plans.blocks import block_of
 
-#: Vectors of the scored side that are sent to the tasks at a time.
-CHUNK = 100_000
+#: Rows of a block of queries or of the scored side.
+BLOCK = 16_384
 
 
 def predict(pairs: DataFrame, users: DataFrame, items: DataFrame) -> DataFrame:
@@ -22,51 +22,84 @@ def predict(pairs: DataFrame, users: DataFrame, items: DataFrame) -> DataFrame:
     return pairs.select("user", "item").join(u, "user").join(m, "item").select("user", "item", vdot("u", "m").alias("score"))
 
 
-def top_k(queries: DataFrame, scored: DataFrame, k: int, seen: DataFrame | None = None, chunk: int = CHUNK) -> DataFrame:
-    """(id, other, score, rk): the k best of `scored` for every query by dot product, ties by id.
+def _meetings(queries: DataFrame, scored: DataFrame, seen: DataFrame | None, block: int, each, schema: str) -> DataFrame:
+    """`each` applied where a block of queries meets a block of the scored side: ids and vectors of both, and the seen pairs among them.
 
-    The scored side goes out in chunks of a fixed size; every task multiplies its queries by a chunk and keeps k, and a window
-    over k rows a chunk merges them. `seen` (id, other) is left out.
-    """
-    spark = queries.sparkSession
-    rows = queries.select("id", "x")
+    Both sides are cut into blocks of about `block` rows by a hash of their ids. A query goes to as many tasks as the other side has
+    blocks and the other way round, a seen pair to the one task that it belongs to; nothing is collected or broadcast."""
+    sizes = [max(1, -(-df.count() // block)) for df in (queries, scored)]
+    own, other = block_of("id", sizes[0]), block_of("id", sizes[1])
+    every = [F.explode(F.sequence(F.lit(0), F.lit(n - 1))) for n in sizes]
+    no = F.lit(None)
+    left = queries.select(own.alias("q"), every[1].alias("s"), "id", no.cast("bigint").alias("other"), F.col("x").cast("array<double>").alias("x"))
     if seen is not None:
-        rows = rows.join(seen.groupBy("id").agg(F.collect_set("other").alias("seen")), "id", "left")
-    else:
-        rows = rows.withColumn("seen", F.lit(None).cast("array<bigint>"))
-    pieces = max(1, -(-scored.count() // chunk))
-    found = None
-    for piece in range(pieces):
-        part = scored.where(block_of("id", pieces) == piece).select("id", "x").collect()
-        ids = np.array([r.id for r in part], np.int64)
-        order = np.argsort(ids)
-        shared = spark.sparkContext.broadcast((ids[order], np.array([part[j].x for j in order], float)))
-
-        def best(batches, shared=shared):
-            names, vectors = shared.value
-            for batch in batches:
-                if not batch.num_rows or not len(names):
-                    continue
-                x = np.array(batch.column(1).to_pylist(), float)
-                for at in range(0, len(x), 1024):
-                    scores = x[at : at + 1024] @ vectors.T
-                    for row, out in enumerate(batch.column(2).slice(at, 1024).to_pylist()):
-                        if out:
-                            where = np.searchsorted(names, out)
-                            where = where[(where < len(names)) & (names[np.minimum(where, len(names) - 1)] == out)]
-                            scores[row, where] = -np.inf
-                    top = np.argsort(-scores, axis=1, kind="stable")[:, :k]
-                    value = np.take_along_axis(scores, top, axis=1)
-                    keep = np.isfinite(value)
-                    own = np.repeat(batch.column(0).slice(at, 1024).to_numpy(zero_copy_only=False), keep.sum(axis=1))
-                    yield pa.RecordBatch.from_arrays([pa.array(own, pa.int64()), pa.array(names[top][keep]), pa.array(value[keep])], ["id", "other", "score"])
-
-        one = rows.mapInArrow(best, "id bigint, other bigint, score double")
-        found = one if found is None else found.unionByName(one)
+        left = left.unionByName(seen.select(own.alias("q"), block_of("other", sizes[1]).alias("s"), "id", "other", no.cast("array<double>").alias("x")))
+    right = scored.select(every[0].alias("q"), other.alias("s"), "id", F.col("x").cast("array<double>").alias("x"))
+
+    def run(a: pa.Table, b: pa.Table) -> pa.Table:
+        known = np.array([x is not None and x.is_valid for x in a["x"]], bool) if a.num_rows else np.zeros(0, bool)
+        pairs, mine, b = a.filter(pa.array(~known)), a.filter(pa.array(known)).sort_by("id"), b.sort_by("id")
+        rank = len(b["x"][0]) if b.num_rows else 0
+        x, y = (t["x"].combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(-1, rank) if rank and t.num_rows else np.zeros((0, rank)) for t in (mine, b))
+        return each(mine["id"].to_numpy(), x, b["id"].to_numpy(), y, pairs["id"].to_numpy(), pairs["other"].to_numpy())
+
+    return left.groupBy("q", "s").cogroup(right.groupBy("q", "s")).applyInArrow(run, schema)
+
+
+def _scores(ids, x, names, vectors, seen_ids, seen_names, turn: int = 1024):
+    """(ids, scores) of some queries at a time, by ascending name; seen pairs score minus infinity."""
+    where = np.searchsorted(ids, seen_ids)
+    spot = np.searchsorted(names, seen_names)
+    real = (where < len(ids)) & (spot < len(names))
+    if len(ids) and len(names):
+        real &= (ids[np.minimum(where, len(ids) - 1)] == seen_ids) & (names[np.minimum(spot, len(names) - 1)] == seen_names)
+    where, spot = where[real], spot[real]
+    for at in range(0, len(ids) if len(names) else 0, turn):
+        scores = x[at : at + turn] @ vectors.T
+        mine = (where >= at) & (where < at + turn)
+        scores[where[mine] - at, spot[mine]] = -np.inf
+        yield ids[at : at + turn], scores
+
+
+def _pairs_table(rows: list[tuple]) -> pa.Table:
+    cols = [np.concatenate(c) for c in zip(*rows, strict=True)] if rows else [np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)]
+    return pa.Table.from_arrays([pa.array(c) for c in cols], ["id", "other", "score"])
+
+
+def top_k(queries: DataFrame, scored: DataFrame, k: int, seen: DataFrame | None = None, block: int = BLOCK) -> DataFrame:
+    """(id, other, score, rk): the k best of `scored` for every query by dot product, ties by id; pairs in `seen` (id, other) are left out.
+    Each task keeps k a query, and a window over k rows a block merges them."""
+
+    def best(ids, x, names, vectors, seen_ids, seen_names):
+        out = []
+        for own, scores in _scores(ids, x, names, vectors, seen_ids, seen_names):
+            least = np.partition(scores, -k, axis=1)[:, -k] if scores.shape[1] > k else np.full(len(own), -np.inf)
+            row, col = np.nonzero((scores >= least[:, None]) & (scores > -np.inf))
+            order = np.lexsort((col, -scores[row, col], row))
+            row, col = row[order], col[order]
+            place = np.arange(len(row)) - np.searchsorted(row, row)
+            row, col = row[place < k], col[place < k]
+            out.append((own[row], names[col], scores[row, col]))
+        return _pairs_table(out)
+
+    found = _meetings(queries.select("id", "x"), scored.select("id", "x"), seen, block, best, "id bigint, other bigint, score double")
     rank = F.row_number().over(Window.partitionBy("id").orderBy(F.desc("score"), "other"))
     return found.withColumn("rk", rank).where(F.col("rk") <= k)
 
 
+def score_all(queries: DataFrame, scored: DataFrame, seen: DataFrame | None = None, block: int = BLOCK) -> DataFrame:
+    """(id, other, score) of a stated set of queries against all rows, without the pairs in `seen`: for sets whose whole result is wanted."""
+
+    def every(ids, x, names, vectors, seen_ids, seen_names):
+        out = []
+        for own, scores in _scores(ids, x, names, vectors, seen_ids, seen_names):
+            row, col = np.nonzero(scores > -np.inf)
+            out.append((own[row], names[col], scores[row, col]))
+        return _pairs_table(out)
+
+    return _meetings(queries.select("id", "x"), scored.select("id", "x"), seen, block, every, "id bigint, other bigint, score double")
+
+
 def recommend_items(users: DataFrame, items: DataFrame, k: int, seen: DataFrame | None = None) -> DataFrame:
     seen = seen and seen.select(F.col("user").alias("id"), F.col("item").alias("other"))
     return top_k(users, items, k, seen).select(F.col("id").alias("user"), F.col("other").alias("item"), "score", "rk")

@@ -7,7 +7,7 @@ of rank 1 to 4 are solved by an unrolled elimination. Nothing leaves the JVM, an
 from __future__ import annotations
 
 import math
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -25,6 +25,10 @@ class Problem:
     lam: float
     weighted: bool = True  # the ridge term by the number of ratings, else plain
 
+    def held(self) -> "Problem":
+        """The same with its ratings cut, for methods that go over them more than once: a view of joined tables is made once."""
+        return replace(self, ratings=cut(self.ratings))
+
     def ids(self, side: str) -> DataFrame:
         return self.ratings.groupBy(F.col(side).alias("id")).agg(F.count("*").alias("n"))
 
@@ -149,9 +153,11 @@ def moved(side: DataFrame, alpha: Column | float) -> DataFrame:
 
 
 def fit_als(p: Problem, items: DataFrame, sweeps: int) -> tuple[DataFrame, DataFrame]:
+    """Both sides are cut in every sweep, so that no later use repeats the sweeps before it."""
     users = None
     for _ in range(sweeps):
-        users, items = sweep(p, items)
+        users = cut(half_step(p, items, "user"))
+        items = cut(half_step(p, users, "item"))
     return users, items
 
 

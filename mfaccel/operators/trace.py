@@ -13,8 +13,9 @@ from pyspark.sql import functions as F
 SCHEMA = "run int, algo string, iter int, t_sec double, loss double, gnorm double, alpha double, beta double, restart boolean, ckpt boolean"
 
 
-def frame(spark: SparkSession, rows: Sequence[dict], run: int = 0, checkpoint_every: int = 10) -> DataFrame:
-    data = [(run, r.get("algo", "als"), r["iter"], float(r["t_sec"]), float(r["loss"]), float(r["gnorm"]), float(r["alpha"]), float(r["beta"]), bool(r["restart"]), r["iter"] % checkpoint_every == 0) for r in rows]
+def frame(spark: SparkSession, rows: Sequence[dict], run: int = 0) -> DataFrame:
+    """`ckpt` tells the iterations in which the fit did save its state."""
+    data = [(run, r.get("algo", "als"), r["iter"], float(r["t_sec"]), float(r["loss"]), float(r["gnorm"]), float(r["alpha"]), float(r["beta"]), bool(r["restart"]), bool(r.get("ckpt", False))) for r in rows]
     return spark.createDataFrame(data, SCHEMA)
 
 
@@ -90,10 +91,15 @@ def smoothed(trace: DataFrame) -> DataFrame:
 
 def first_reach(trace: DataFrame) -> DataFrame:
     """(run, iter, smooth, hit): for each smoothed accelerated value the first plain iteration that is at or below it.
-    A running minimum makes the plain trace a staircase, so each value meets one step of it."""
-    fast = smoothed(trace.where("algo = 'accelerated'")).select("run", "iter", "smooth")
-    slow = trace.where("algo = 'als'").select(F.col("run").alias("run"), F.col("iter").alias("als_iter"), F.col("gnorm").alias("als_gnorm"))
-    return fast.join(slow, (fast.run == slow.run) & (slow.als_gnorm <= fast.smooth), "left").groupBy(fast.run, "iter", "smooth").agg(F.min("als_iter").alias("hit"))
+    Only plain iterations below all before them matter; among those a value's iteration is the one with the largest norm that does not
+    exceed it, so one pass in the order of the norms meets each value with its step."""
+    fast = smoothed(trace.where("algo = 'accelerated'")).select("run", F.col("smooth").alias("norm"), F.lit(1).alias("turn"), "iter")
+    earlier = Window.partitionBy("run").orderBy("iter").rowsBetween(Window.unboundedPreceding, -1)
+    steps = trace.where("algo = 'als'").withColumn("least", F.min("gnorm").over(earlier)).where("least IS NULL OR gnorm < least")
+    both = steps.select("run", F.col("gnorm").alias("norm"), F.lit(0).alias("turn"), "iter").unionByName(fast)
+    order = Window.partitionBy("run").orderBy("norm", "turn").rowsBetween(Window.unboundedPreceding, 0)
+    met = both.withColumn("hit", F.last(F.when(F.col("turn") == 0, F.col("iter")), ignorenulls=True).over(order))
+    return met.where("turn = 1").select("run", "iter", F.col("norm").alias("smooth"), "hit")
 
 
 def speedup(trace: DataFrame) -> DataFrame:

@@ -5,7 +5,7 @@ from __future__ import annotations
 import os
 import tempfile
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 
@@ -38,3 +38,17 @@ def numbered(df: DataFrame, *order: Column | str, name: str = "at") -> DataFrame
         total += r["n"]
     shift = F.broadcast(spark.createDataFrame(offsets, "_part int, _shift long"))  # one row per range
     return held.join(shift, "_part").withColumn(name, F.col("_row") + F.col("_shift")).drop("_part", "_row", "_shift")
+
+
+def running_sums(df: DataFrame, value: str, *order: Column | str, name: str = "sum") -> DataFrame:
+    """Adds the sum of a column over all rows up to each one in a total order, and `total`; ranges are summed apart, and only their sums reach the driver."""
+    spark = df.sparkSession
+    held = cut(df.repartitionByRange(*order).select("*", F.spark_partition_id().alias("_part")))
+    totals = held.groupBy("_part").agg(F.sum(value).alias("s")).orderBy("_part").collect()
+    before, rows = 0, []
+    for r in totals:
+        rows.append((r["_part"], before))
+        before += r["s"]
+    shift = F.broadcast(spark.createDataFrame(rows, f"_part int, _before {dict(df.dtypes)[value]}"))  # one row per range
+    mine = F.sum(value).over(Window.partitionBy("_part").orderBy(*order))
+    return held.withColumn(name, mine).join(shift, "_part").withColumn(name, F.col(name) + F.col("_before")).withColumn("total", F.lit(before)).drop("_part", "_before")

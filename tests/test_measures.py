@@ -48,6 +48,22 @@ def test_trace_measures(spark):
     assert {r.algo: r["mean"] for r in trace.time_per_iteration(t).collect()} == {"als": 1, "accelerated": 2}
 
 
+def test_first_reach_equals_its_definition(spark):
+    dice = np.random.default_rng(4)
+    rows = [(run, algo, k, float(k), float(10 ** -(k * pace + dice.random())), False) for run in (0, 1) for algo, pace in (("als", 0.1), ("accelerated", 0.3)) for k in range(30)]
+    t = spark.createDataFrame(rows, "run int, algo string, iter int, t_sec double, gnorm double, ckpt boolean")
+    for r in trace.first_reach(t).collect():
+        hits = [k for run, algo, k, _, g, _ in rows if run == r.run and algo == "als" and g <= r.smooth]
+        assert r.hit == (min(hits) if hits else None)
+
+
+def test_running_sums(spark):
+    from mfaccel.plans.cuts import running_sums
+
+    rows = running_sums(spark.range(500).select(((F.col("id") * 7919) % 500).alias("id"), F.lit(2).cast("long").alias("n")), "n", "id").collect()
+    assert all(r["sum"] == 2 * (r.id + 1) and r.total == 1000 for r in rows) and len(rows) == 500
+
+
 def test_stream_equals_batch(spark, data, tmp_path):
     events = src.table(spark, data, "events")
     events.withColumn("day", F.to_date("ts")).repartition(4, "day").drop("day").write.parquet(str(tmp_path / "in"))

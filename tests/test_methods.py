@@ -223,12 +223,17 @@ def test_top_k_in_chunks_leaves_out_what_was_seen(spark):
     users = spark.createDataFrame([(k, dice.random(3).tolist()) for k in range(5)], "id long, x array<double>")
     items = spark.createDataFrame([(k, dice.random(3).tolist()) for k in range(40)], "id long, x array<double>")
     seen = spark.createDataFrame([(0, 3), (0, 7)], "id long, other long")
-    have = {(r.id, r.rk): r.other for r in recommend.top_k(users, items, 4, seen, chunk=9).collect()}
+    have = {(r.id, r.rk): r.other for r in recommend.top_k(users, items, 4, seen, block=9).collect()}
     u, m = (np.array([r.x for r in f.orderBy("id").collect()]) for f in (users, items))
     scores = u @ m.T
     scores[0, [3, 7]] = -np.inf
     want = np.argsort(-scores, axis=1)[:, :4]
-    assert all(have[k, j + 1] == want[k, j] for k in range(5) for j in range(4))
+    assert all(have[k, j + 1] == want[k, j] for k in range(5) for j in range(4)) and len(have) == 20
+    whole = {(r.id, r.other): r.score for r in recommend.score_all(users, items, seen, block=3).collect()}
+    assert len(whole) == 5 * 40 - 2 and all(v == pytest.approx(scores[k]) for k, v in whole.items())
+    tied = items.select("id", F.array(F.lit(1.0), F.lit(0.0), F.lit(0.0)).alias("x"))
+    assert [r.other for r in recommend.top_k(users.where("id = 2"), tied, 3, block=7).orderBy("rk").collect()] == [0, 1, 2]
+    assert recommend.top_k(users.limit(0), items, 3).count() == 0 and recommend.top_k(users, items.limit(0), 3).count() == 0
 
 
 def test_planted_factors_are_recovered_and_synthetic_marginals_hold(spark, cells):
