@@ -43,18 +43,26 @@ def stable_top(reference: DataFrame, other: DataFrame, t: int) -> DataFrame:
     return tops[0].intersect(tops[1])
 
 
-def accuracy_dense(reference: np.ndarray, other: np.ndarray, t: int) -> float:
-    """The same for score matrices (users by items) in memory."""
-    n_m = reference.shape[1]
-    order = np.argsort(-reference, axis=1, kind="stable")[:, :t]
-    places = np.empty_like(order, shape=other.shape)
+def first_places(scores: np.ndarray, t: int) -> np.ndarray:
+    """The first t items of every user, ties by item, of a score matrix (users by items) in memory."""
+    return np.argsort(-scores, axis=1, kind="stable")[:, :t]
+
+
+def accuracy_of_places(first: np.ndarray, other: np.ndarray, t: int) -> float:
+    """accuracy() of scores in memory against the first t items of a reference."""
+    n_m = other.shape[1]
+    places = np.empty(other.shape, np.int64)
     np.put_along_axis(places, np.argsort(-other, axis=1, kind="stable"), np.arange(n_m)[None, :], axis=1)
-    pos = np.take_along_axis(places, order, axis=1)
+    pos = np.take_along_axis(places, first, axis=1)
     ahead = (pos[:, :, None] > pos[:, None, :]) & np.tri(t, k=-1, dtype=bool)
     swaps = pos.sum(axis=1) - ahead.sum(axis=(1, 2))
     return float((1 - swaps / max_distance(n_m, t)).mean())
 
 
+def accuracy_dense(reference: np.ndarray, other: np.ndarray, t: int) -> float:
+    return accuracy_of_places(first_places(reference, t), other, t)
+
+
 def distance_by_swaps(reference: list, other: list, t: int) -> int:
     """The definition itself, item by item; for tests."""
     left, swaps = list(other), 0

@@ -34,16 +34,17 @@ def _meetings(queries: DataFrame, scored: DataFrame, seen: DataFrame | None, blo
     left = queries.select(own.alias("q"), every[1].alias("s"), "id", no.cast("bigint").alias("other"), F.col("x").cast("array<double>").alias("x"))
     if seen is not None:
         left = left.unionByName(seen.select(own.alias("q"), block_of("other", sizes[1]).alias("s"), "id", "other", no.cast("array<double>").alias("x")))
-    right = scored.select(every[0].alias("q"), other.alias("s"), "id", F.col("x").cast("array<double>").alias("x"))
+    # Names of their own: both sides may come from one frame, and a cogroup mixes up columns that they share.
+    right = scored.select(every[0].alias("p"), other.alias("t"), F.col("id").alias("name"), F.transform("x", lambda v: v.cast("double")).alias("vector"))
 
     def run(a: pa.Table, b: pa.Table) -> pa.Table:
         known = np.array([x is not None and x.is_valid for x in a["x"]], bool) if a.num_rows else np.zeros(0, bool)
-        pairs, mine, b = a.filter(pa.array(~known)), a.filter(pa.array(known)).sort_by("id"), b.sort_by("id")
-        rank = len(b["x"][0]) if b.num_rows else 0
-        x, y = (t["x"].combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(-1, rank) if rank and t.num_rows else np.zeros((0, rank)) for t in (mine, b))
-        return each(mine["id"].to_numpy(), x, b["id"].to_numpy(), y, pairs["id"].to_numpy(), pairs["other"].to_numpy())
+        pairs, mine, b = a.filter(pa.array(~known)), a.filter(pa.array(known)).sort_by("id"), b.sort_by("name")
+        rank = len(b["vector"][0]) if b.num_rows else 0
+        x, y = (c.combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(-1, rank) if rank and len(c) else np.zeros((0, rank)) for c in (mine["x"], b["vector"]))
+        return each(mine["id"].to_numpy(), x, b["name"].to_numpy(), y, pairs["id"].to_numpy(), pairs["other"].to_numpy())
 
-    return left.groupBy("q", "s").cogroup(right.groupBy("q", "s")).applyInArrow(run, schema)
+    return left.groupBy("q", "s").cogroup(right.groupBy("p", "t")).applyInArrow(run, schema)
 
 
 def _scores(ids, x, names, vectors, seen_ids, seen_names, turn: int = 1024):

@@ -26,7 +26,7 @@ class Run:
     users: np.ndarray
     items: np.ndarray
     trace: list[dict] = field(default_factory=list)
-    scores: list[np.ndarray] = field(default_factory=list)
+    factors: list[tuple[np.ndarray, np.ndarray]] = field(default_factory=list)  # in single precision
 
     @property
     def converged(self) -> bool:
@@ -83,7 +83,7 @@ class Serial:
         c[2] += (self.cu * pu**2).sum() + (self.cm * pm**2).sum()
         return Quartic.of(c)
 
-    def fit_als(self, u, m, stop: Stop, keep_scores: bool = False) -> Run:
+    def fit_als(self, u, m, stop: Stop, keep_factors: bool = False) -> Run:
         """Plain sweeps. The clock runs during sweeps only: not during the gradient, which only the stopping rule needs, nor for
         anything that is only recorded."""
         run, clock = Run(u, m), 0.0
@@ -94,13 +94,13 @@ class Serial:
                 clock += time.perf_counter() - at
             norm = self._norm(self.gradient(run.users, run.items))
             run.trace.append({"iter": k, "t_sec": clock, "loss": self.loss(run.users, run.items), "gnorm": norm, "done": norm < stop.gnorm, "alpha": 0.0, "beta": 0.0, "restart": False})
-            if keep_scores:
-                run.scores.append(run.users @ run.items.T)
+            if keep_factors:
+                run.factors.append((run.users.astype(np.float32), run.items.astype(np.float32)))
             if norm < stop.gnorm or clock > stop.seconds:
                 break
         return run
 
-    def fit_accelerated(self, u, m, stop: Stop, rule: str = "pr_pre", search: str = "more_thuente", precond: str = "als", keep_scores: bool = False, **options) -> Run:
+    def fit_accelerated(self, u, m, stop: Stop, rule: str = "pr_pre", search: str = "more_thuente", precond: str = "als", keep_factors: bool = False, **options) -> Run:
         """The clock runs during all that the method needs, its gradients and searches too, and not for what is only recorded."""
         run, clock, evaluations = Run(u, m), 0.0, 0
 
@@ -115,8 +115,8 @@ class Serial:
         clock += time.perf_counter() - at
         for k in range(stop.iterations + 1):
             run.trace.append({"iter": k, "t_sec": clock, "loss": self.loss(u, m), "gnorm": norm, "done": norm < stop.gnorm, "alpha": alpha, "beta": b, "restart": restart})
-            if keep_scores:
-                run.scores.append(u @ m.T)
+            if keep_factors:
+                run.factors.append((u.astype(np.float32), m.astype(np.float32)))
             if norm < stop.gnorm or k == stop.iterations or evaluations > stop.evaluations or clock > stop.seconds:
                 break
             at = time.perf_counter()

@@ -6,11 +6,9 @@ make. Floats are rounded to six decimals on both sides.
 
 from __future__ import annotations
 
-import shutil
-import tempfile
+import uuid
 from collections.abc import Callable
 
-import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -20,7 +18,7 @@ from mfaccel.operators import baselines, distributed, linesearch, ranking, recom
 from mfaccel.operators import relational as rel
 from mfaccel.operators.conjugate import beta
 from mfaccel.plans import blocks
-from mfaccel.plans.cuts import cut
+from mfaccel.plans.cuts import cut, shared_folder
 from mfaccel.replay import LAM, RATINGS, Chain, rounded, unit
 from mfaccel.sources import ratings as src
 from mfaccel.streaming import ratings as stream
@@ -53,7 +51,7 @@ def six(c: Column | str) -> Column:
 
 
 def _problem(spark: SparkSession, sf_dir: str, rank: int = 2, view: str = "cust_part", weighted: bool = True) -> rel.Problem:
-    return rel.Problem(src.view(spark, sf_dir, view), rank, LAM, weighted)
+    return rel.Problem(src.view(spark, sf_dir, view), rank, LAM, weighted).held()
 
 
 def _xs(df: DataFrame, rank: int = 2, col: str = "x", name: str = "x") -> list[Column]:
@@ -105,7 +103,7 @@ def _subset_sql(view: str, n_u: int, n_m: int) -> str:
     )
 
 
-for _size in ("100x40", "400x80"):
+for _size in workloads.SUBSETS:
     _u, _m, _v = workloads.SUBSETS[_size]
     _add(f"median_subset_{_size}", _subset_sql(_v, _u, _m))(
         lambda spark, d, s=_size: workloads.subset(spark, d, s).select("user", F.col("item").cast("long").alias("item"), six("rating").alias("rating"))
@@ -289,7 +287,18 @@ def _searched(find) -> Query:
     return run
 
 
-_add("exact_step")(_searched(linesearch.exact))
+def _exact_sql() -> str:
+    """The lowest of the positive real roots of the quartic's slope, in closed form."""
+    c = _chain().preconditioned("0").first_direction("0").quartic("0")
+    c.add("cubic", "SELECT *, 3 * c3 / (4 * c4) AS a, c2 / (2 * c4) AS b, c1 / (4 * c4) AS c FROM c0")
+    c.add("depressed", "SELECT *, (a * a - 3 * b) / 9 AS q, (2 * a * a * a - 9 * a * b + 27 * c) / 54 AS r FROM cubic")
+    c.add("one", "SELECT *, -sign(r) * cbrt(abs(r) + sqrt(greatest(r * r - q * q * q, 0))) AS s FROM depressed")
+    c.add("roots", "SELECT c1, c2, c3, c4, s + CASE WHEN s = 0 THEN 0 ELSE q / s END - a / 3 AS x FROM one WHERE r * r >= q * q * q UNION ALL SELECT c1, c2, c3, c4, -2 * sqrt(q) * cos((acos(r / sqrt(q * q * q)) + 2 * pi() * j) / 3) - a / 3 FROM one, range(0, 3) t(j) WHERE r * r < q * q * q")
+    c.add("falls", "SELECT x, x * (c1 + x * (c2 + x * (c3 + x * c4))) AS gain FROM roots WHERE x > 0")
+    return c.sql(f"SELECT {rounded('coalesce(arg_min(x, gain), 0)')} AS alpha FROM falls WHERE gain < 0")
+
+
+_add("exact_step", _exact_sql())(_searched(linesearch.exact))
 _add("more_thuente_step")(_searched(lambda q: linesearch.more_thuente(q.gain, q.slope)[0]))
 
 
@@ -407,19 +416,17 @@ def _(spark, d):
 
 # --- scoring -----------------------------------------------------------------------------------------------------------------------
 
-_GIVEN = "SELECT a.vec_id AS \"user\", b.vec_id AS item, list_dot_product(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])) AS score FROM embeddings a, embeddings b WHERE a.vec_id < 50"
+_GIVEN = "SELECT a.vec_id AS \"user\", b.vec_id AS item, list_dot_product(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])) AS score FROM embeddings a, embeddings b WHERE a.vec_id % 20 = 0"
 
 
 def _given(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
     all_items = src.table(spark, d, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").cast("array<double>").alias("x"))
-    return all_items.where("id < 50"), all_items
+    return all_items.where("id % 20 = 0"), all_items  # the query set of a search
 
 
 @_add("score_given_items", f"SELECT \"user\", item, {rounded('score')} AS score FROM ({_GIVEN})")
 def _(spark, d):
-    users, items = _given(spark, d)
-    pairs = users.select(F.col("id").alias("user")).crossJoin(items.select(F.col("id").alias("item")))  # 50 users by design
-    return recommend.predict(pairs, users, items).select("user", "item", six("score").alias("score"))
+    return recommend.score_all(*_given(spark, d)).select(F.col("id").alias("user"), F.col("other").alias("item"), six("score").alias("score"))
 
 
 @_add("topk_given_items", f"SELECT \"user\", item, {rounded('score')} AS score, CAST(rk AS INTEGER) AS rk FROM (SELECT *, row_number() OVER (PARTITION BY \"user\" ORDER BY score DESC, item) AS rk FROM ({_GIVEN})) WHERE rk <= 10")
@@ -432,15 +439,14 @@ def _(spark, d):
     return recommend.similar_items(_given(spark, d)[1], 3).select("id", "other", six("score").alias("score"), "rk")
 
 
-_FOLD = _chain().sweep("0", "1").add("r2", "SELECT * FROM r WHERE u % 10 = 0").half("f", "m1", "user")
-_FOLD.parts[-1] = ("f", _FOLD.parts[-1][1].replace("FROM r JOIN", "FROM r2 r JOIN"))
+_FOLD = _chain().sweep("0", "1").half("f", "m1", "user")
 
 
 @_add("fold_in_r2", _FOLD.sql(f"SELECT id AS \"user\", {rounded('x0')} AS x0, {rounded('x1')} AS x1 FROM f"))
 def _(spark, d):
     p = _problem(spark, d)
     items = rel.sweep(p, p.start()[1])[1]
-    new = recommend.fold_in(p.ratings.where("user % 10 = 0"), items, 2, LAM)
+    new = recommend.fold_in(p.ratings, items, 2, LAM)
     return new.select(F.col("id").alias("user"), *_xs(new))
 
 
@@ -634,15 +640,29 @@ def _spot_sql(what: str, size: str, *keys: str) -> str:
 _EXPAND = f"""WITH r AS MATERIALIZED ({RATINGS['cust_part']}),
 cells AS MATERIALIZED (SELECT row_number() OVER (ORDER BY i, u) AS spot, i, v FROM r), nc AS (SELECT count(*) AS c FROM r),
 people AS MATERIALIZED (SELECT row_number() OVER (ORDER BY n, u) AS spot, n FROM (SELECT u, count(*) AS n FROM r GROUP BY u)), np AS (SELECT count(*) AS c FROM people),
-new AS MATERIALIZED (SELECT g AS "user", n FROM (SELECT g, {_spot_sql('count', 'c', 'g')} AS spot FROM range(0, 300) t(g), np) JOIN people USING (spot)),
+new AS MATERIALIZED (SELECT g AS "user", n FROM (SELECT g, {_spot_sql('count', 'c', 'g')} AS spot FROM (SELECT unnest(range(0, c)) AS g FROM np), np) JOIN people USING (spot)),
 draws AS MATERIALIZED (SELECT "user", n, draw, {_spot_sql('item', 'c', '"user"', 'draw')} AS spot FROM (SELECT "user", n, unnest(range(0, 2 * n + 4)) AS draw FROM new), nc),
-kept AS (SELECT "user", i FROM (SELECT *, row_number() OVER (PARTITION BY "user" ORDER BY draw) AS k FROM (SELECT "user", i, min(draw) AS draw, any_value(n) AS n FROM draws JOIN cells USING (spot) GROUP BY "user", i)) WHERE k <= n)
+found AS MATERIALIZED (SELECT *, row_number() OVER (PARTITION BY "user" ORDER BY draw) AS k FROM (SELECT "user", i, min(draw) AS draw, any_value(n) AS n FROM draws JOIN cells USING (spot) GROUP BY "user", i)),
+kept AS (SELECT "user", i FROM found WHERE k <= n)
 SELECT "user", k.i AS item, {rounded('v')} AS rating FROM (SELECT "user", i, {_spot_sql('value', 'c', '"user"', 'i')} AS spot FROM kept, nc) k JOIN cells USING (spot)"""
 
 
-@_add("synth_expand_small", _EXPAND)
+def _expanded(spark: SparkSession, d: str):
+    r = cut(src.view(spark, d, "cust_part"))
+    return r, r.select("user").distinct().count()
+
+
+@_add("synth_expand", _EXPAND)
+def _(spark, d):
+    return _stats(synthetic.expand(*_expanded(spark, d)), "rating")
+
+
+_SHORT = _EXPAND[: _EXPAND.index('SELECT "user", k.i AS item')] + 'SELECT CAST(sum(n) AS BIGINT) AS wanted, CAST(sum(least(n, k)) AS BIGINT) AS made, count_if(k < n) AS short_users FROM (SELECT "user", any_value(n) AS n, max(k) AS k FROM found GROUP BY "user")'
+
+
+@_add("synth_shortfall", _SHORT)
 def _(spark, d):
-    return _stats(synthetic.expand(src.view(spark, d, "cust_part"), 300), "rating")
+    return synthetic.shortfall(*_expanded(spark, d))
 
 
 _HELD = "CAST('0x' || substr(md5(concat_ws(':', '42', CAST(u AS VARCHAR), CAST(i AS VARCHAR))), 1, 8) AS BIGINT) % 10 < 2"
@@ -676,11 +696,14 @@ def _(spark, d):
 # --- relational surroundings -------------------------------------------------------------------------------------------------------
 
 
-@_add("seen_anti_join", _R + "SELECT a.u AS \"user\", p_partkey AS item FROM (SELECT DISTINCT u FROM r WHERE u < 20) a, part WHERE NOT EXISTS (SELECT 1 FROM r s WHERE s.u = a.u AND s.i = p_partkey)")
+@_add("seen_anti_join", _R + "SELECT a.u AS \"user\", p_partkey AS item FROM (SELECT DISTINCT u FROM r WHERE u % 20 = 0) a, part WHERE NOT EXISTS (SELECT 1 FROM r s WHERE s.u = a.u AND s.i = p_partkey)")
 def _(spark, d):
-    r = src.view(spark, d, "cust_part")
-    some = r.where("user < 20").select("user").distinct()  # twenty users by design
-    return src.table(spark, d, "part").select(F.col("p_partkey").alias("item")).crossJoin(F.broadcast(some)).join(r, ["user", "item"], "left_anti").select("user", "item")
+    r = cut(src.view(spark, d, "cust_part"))
+    one = F.array(F.lit(1.0)).alias("x")
+    users = r.where("user % 20 = 0").select(F.col("user").alias("id")).distinct().select("id", one)  # the query set of a search
+    parts = src.table(spark, d, "part").select(F.col("p_partkey").alias("id"), one)
+    seen = r.select(F.col("user").alias("id"), F.col("item").alias("other"))
+    return recommend.score_all(users, parts, seen).select(F.col("id").alias("user"), F.col("other").alias("item"))
 
 
 @_add("cold_users", _R + "SELECT c_custkey AS id FROM customer WHERE c_custkey NOT IN (SELECT u FROM r)")
@@ -771,12 +794,9 @@ def _(spark, d):
 
 @_add("csv_roundtrip", f"SELECT u AS \"user\", i AS item, {rounded('v')} AS rating FROM ({RATINGS['cust_part']})")
 def _(spark, d):
-    folder = tempfile.mkdtemp() if spark.sparkContext.master.startswith("local[") else f"{spark.conf.get('spark.checkpoint.dir').rstrip('/')}/{np.random.default_rng().integers(1 << 60)}"
-    try:
-        src.view(spark, d, "cust_part").write.mode("overwrite").csv(f"{folder}/ratings")
-        return cut(_stats(src.csv(spark, f"{folder}/ratings")[0], "rating"))
-    finally:
-        shutil.rmtree(folder, ignore_errors=True)
+    folder = f"{shared_folder(spark)}/ratings-{uuid.uuid4().hex}"
+    src.view(spark, d, "cust_part").write.csv(folder)
+    return _stats(src.csv(spark, folder)[0], "rating")
 
 
 # --- whole fits ----------------------------------------------------------------------------------------------------------------------
@@ -811,23 +831,29 @@ def _(spark, d):
     return rel.rmse(rel.Problem(r, 5, 0.02), *baselines.sgd(r, 5, 0.02, epochs=2))
 
 
-@_add("convergence_400x80")
-def _(spark, d):
-    runs = workloads.convergence(spark, d, "400x80", 2, iterations=300, gnorm=1e-4)
-    return trace.acceleration(trace.iterations_to(runs, 1e-4))
-
-
-@_add("accuracy_400x80")
-def _(spark, d):
-    runs = workloads.convergence(spark, d, "400x80", 2, iterations=200, gnorm=1e-4, t=20)
-    return trace.acceleration(trace.time_to_accuracy(runs, (0.7, 0.8, 0.9, 1.0)), "threshold")
-
-
-@_add("ablation_100x40")
-def _(spark, d):
-    return workloads.ablation(spark, d, 30)
-
-
-@_add("scaling_users")
-def _(spark, d):
-    return workloads.scaling(spark, d, (1, 2), 5, 1)
+_add("accel_fit_exact")(_fit_trace("accelerated", 2, search="exact"))
+_add("accel_fit_more_thuente")(_fit_trace("accelerated", 2, search="more_thuente"))
+_add("accel_fit_direct")(_fit_trace("accelerated", 1, search="backtracking_direct", first=2.0, shrink=0.7))
+_add("accel_fit_float")(_fit_trace("accelerated", 2, precision="float"))
+_add("accel_fit_parts")(_fit_trace("accelerated", 2, heavy=40))
+_add("accel_fit_items_first")(_fit_trace("accelerated", 2, precond="als_items_first"))
+_add("descent_fit_r10")(_fit_trace("accelerated", 2, precond="gradient", rule="zero"))
+
+
+# --- experiments ---------------------------------------------------------------------------------------------------------------------
+
+for _size in ("400x80", "800x160", "1600x320", "3200x640"):
+    _starts = workloads.STARTS if _size in ("400x80", "800x160") else 8  # the larger ones take minutes
+    _add(f"convergence_{_size}")(lambda spark, d, k=_size, n=_starts: workloads.convergence_table(spark, d, k, n))
+for _size in ("400x80", "800x160"):
+    _add(f"accuracy_{_size}")(lambda spark, d, k=_size: workloads.accuracy_table(spark, d, k))
+_add("accuracy_curve_400x80")(lambda spark, d: workloads.accuracy_curve(spark, d, "400x80"))
+_add("ablation_100x40")(lambda spark, d: workloads.ablation(spark, d, 30))
+_add("search_cost")(lambda spark, d: workloads.search_cost(spark, d, first=2.0, shrink=0.7))
+_add("full_run_bands")(lambda spark, d: trace.bands(workloads.full_run(spark, d, iterations=6), "iter", 3))
+_add("full_run_time_bands")(lambda spark, d: trace.bands(workloads.full_run(spark, d, rank=10, iterations=6, seeds=(1, 2)), "time", 5))
+_add("cost_ratio_measured")(lambda spark, d: trace.cost_ratio(workloads.full_run(spark, d, rank=10, iterations=4)))
+_add("scaling_users")(lambda spark, d: workloads.scaling(spark, d))
+_add("speedup_users")(lambda spark, d: workloads.speedups(spark, d))
+_add("svd_reference")(lambda spark, d: workloads.svd_reference(spark, d))
+_add("work_formula")(lambda spark, d: workloads.work(spark, d))
