@@ -199,27 +199,28 @@ def judge(units: DataFrame) -> DataFrame:
     held = one.select("row", "at", "alone", parts.alias("words")).select("row", "at", "alone", _grams(F.col("words")).alias("grams"))
     grams = held.select("row", "at", "alone", F.size("grams").alias("n_grams"), F.explode("grams").alias("gram"))
     z = [((F.coalesce(F.sum(F.col("w")[k]), F.lit(0.0)) + bias[k]) / heat).alias(f"z{k}") for k in range(len(FAMILIES))]
-    scored = grams.join(table, "gram", "left").groupBy("row", "at").agg(F.first("alone").alias("alone"), F.first("n_grams").alias("n_grams"), *z)
+    known = F.collect_list(F.when(F.col("w").isNotNull(), F.col("gram"))).alias("known")
+    scored = grams.join(table, "gram", "left").groupBy("row", "at").agg(F.first("alone").alias("alone"), F.first("n_grams").alias("n_grams"), known, *z)
     zs = F.array(*[F.col(f"z{k}") for k in range(len(FAMILIES))])
     scored = scored.withColumn("top", F.array_max(zs)).withColumn("k", (F.array_position(zs, F.col("top")) - 1).cast("int"))
     probability = 1 / F.aggregate(zs, F.lit(0.0), lambda s, x: s + F.exp(x - F.col("top")))
-    scored = scored.select("row", "at", "alone", "n_grams", "k", probability.alias("probability"))
-    out = scored.join(_likeness(grams, scored), ["row", "at"], "left").withColumn("likeness", F.coalesce("likeness", F.lit(0.0)))
+    scored = cut(scored.select("row", "at", "alone", "n_grams", "known", "k", probability.alias("probability")))  # once, for the classes and the likeness
+    out = scored.join(_likeness(scored), ["row", "at"], "left").withColumn("likeness", F.coalesce("likeness", F.lit(0.0)))
     confirmed = (F.col("k") < len(TEMPLATES)) & (F.col("probability") >= SURE) & (F.col("likeness") >= ALIKE)
     family = F.element_at(F.array(*map(F.lit, FAMILIES)), F.col("k") + 1)
     return out.select("row", "at", "alone", F.when(confirmed, family).otherwise("unknown").alias("family"), "probability", "likeness", confirmed.alias("confirmed"))
 
 
-def _likeness(grams: DataFrame, scored: DataFrame) -> DataFrame:
-    """How well a unit fits the best template of its predicted family."""
-    spark, sizes = grams.sparkSession, defaultdict(int)
-    known = template_grams()
-    for _, k, t, own in known:
+def _likeness(scored: DataFrame) -> DataFrame:
+    """How well a unit fits the best template of its predicted family; templates' n-grams are all known to the classifier."""
+    spark, sizes = scored.sparkSession, defaultdict(int)
+    templates = template_grams()
+    for _, k, t, own in templates:
         sizes[k, t] += own
-    table = F.broadcast(spark.createDataFrame([(g, k, t, own, sizes[k, t]) for g, k, t, own in known], "gram string, k int, t int, own boolean, size int"))  # fixed size
-    common = grams.select("row", "at", "gram").join(table, "gram").groupBy("row", "at", "k", "t").agg(F.count("*").alias("common"), F.count_if("own").alias("own"), F.first("size").alias("size"))
-    found = common.join(scored.select("row", "at", "k", "n_grams"), ["row", "at", "k"]).where("own > 0")
-    return found.groupBy("row", "at").agg(F.max(F.greatest(F.col("own") / F.col("size"), F.col("common") / F.col("n_grams"))).alias("likeness"))
+    table = F.broadcast(spark.createDataFrame([(g, k, t, own, sizes[k, t]) for g, k, t, own in templates], "gram string, k int, t int, own boolean, size int"))  # fixed size
+    grams = scored.select("row", "at", "k", "n_grams", F.explode("known").alias("gram")).join(table, ["gram", "k"])
+    common = grams.groupBy("row", "at", "t").agg(F.count("*").alias("common"), F.count_if("own").alias("own"), F.first("size").alias("size"), F.first("n_grams").alias("n_grams"))
+    return common.where("own > 0").groupBy("row", "at").agg(F.max(F.greatest(F.col("own") / F.col("size"), F.col("common") / F.col("n_grams"))).alias("likeness"))
 
 
 def scan(docs: DataFrame, *, doc_col: str = "doc_id", text_col: str = "text") -> DataFrame:
