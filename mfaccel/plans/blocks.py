@@ -29,12 +29,15 @@ def block_of(id_col: str, n_blocks: int, how: str = "hash") -> Column:
 
 
 @lru_cache(maxsize=64)
-def _labels(spark: SparkSession, n_blocks: int) -> tuple[int, ...]:
-    """A number for each block that the hash of an exchange into n_blocks partitions sends to a partition of its own: plain numbers
+def labels(spark: SparkSession, n: int, partitions: int | None = None) -> tuple[int, ...]:
+    """A number for each of n blocks that the hash of an exchange deals evenly over its partitions (n of them, if not given): plain numbers
     0..n-1 would leave a third of the partitions empty and give others two or three blocks."""
-    spots = spark.range(40 * n_blocks + 64).select(F.col("id").cast("int").alias("v"))
-    spots = spots.groupBy(F.pmod(F.hash("v"), F.lit(n_blocks)).alias("p")).agg(F.min("v").alias("v"))
-    return tuple(r.v for r in spots.orderBy("p").collect())  # one number a block
+    partitions = partitions or n
+    each = -(-n // partitions)
+    spots = spark.range(40 * each * partitions + 64).select(F.col("id").cast("int").alias("v"))
+    spots = spots.groupBy(F.pmod(F.hash("v"), F.lit(partitions)).alias("p")).agg(F.slice(F.sort_array(F.collect_list("v")), 1, each).alias("v"))
+    found = [r.v for r in spots.orderBy("p").collect()]  # one number a block
+    return tuple(found[k % partitions][k // partitions] for k in range(n))
 
 
 @dataclass
@@ -82,7 +85,7 @@ def layout(ratings: DataFrame, n_blocks: int | None = None, how: str = "hash", l
     block holds all of them; its first part leads: it alone sends the vector and counts in norms and products."""
     n_blocks = n_blocks or ratings.sparkSession.sparkContext.defaultParallelism
     ratings = ratings.select("user", "item", "rating")
-    names = F.array(*map(F.lit, _labels(ratings.sparkSession, n_blocks)))
+    names = F.array(*map(F.lit, labels(ratings.sparkSession, n_blocks)))
     copies, split, rows = {}, {}, ratings.persist(level)
 
     def placed(col: str) -> Column:
