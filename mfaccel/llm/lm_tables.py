@@ -26,6 +26,7 @@ from pyspark.sql import functions as F
 
 from mfaccel.llm.common import LOWER_WORDS, map_batches, raw, slices
 from mfaccel.llm.lm_score import ADDED, SHARE
+from mfaccel.plans.blocks import labels
 
 #: Bytes of text and rows of a block, bytes of text for each bucket.
 BLOCK, BLOCK_ROWS, BUCKET = 16 << 20, 200_000, 32 << 20
@@ -230,6 +231,8 @@ def score(docs: DataFrame, targets: DataFrame, *, doc_col: str = "doc_id", text_
         ids, sizes, (target, background) = _losses(table, buckets)
         return pa.table([ids, sizes, target, background, target - background, target < background], [doc_col, "n_tokens", "target_loss", "background_loss", "score", "selected"])
 
-    answered = marked.mapInArrow(count, _SENT).groupBy("bucket").applyInArrow(add, _SENT)
+    spots = labels(spark, buckets, int(spark.conf.get("spark.sql.shuffle.partitions")))  # so that no task gets several buckets while another has none
+    sent = marked.mapInArrow(count, _SENT).withColumn("spot", F.get(F.array(*map(F.lit, spots)), F.col("bucket")))
+    answered = sent.groupBy("spot").applyInArrow(add, _SENT)
     schema = f"{doc_col} {kind}, n_tokens bigint, target_loss double, background_loss double, score double, selected boolean"
     return answered.groupBy("block").applyInArrow(finish, schema)
