@@ -13,6 +13,7 @@ columns are ignored.
 
 from __future__ import annotations
 
+import math
 import pickle
 import zlib
 from collections import defaultdict
@@ -28,8 +29,8 @@ from mfaccel.llm.common import LOWER_WORDS, map_batches, raw, slices
 from mfaccel.llm.lm_score import ADDED, SHARE
 from mfaccel.plans.blocks import labels
 
-#: Bytes of text and rows of a block, bytes of text for each bucket.
-BLOCK, BLOCK_ROWS, BUCKET = 16 << 20, 200_000, 32 << 20
+#: Bytes of text and rows of a block, bytes of text for each bucket; and the bytes of text beyond which all three grow.
+BLOCK, BLOCK_ROWS, BUCKET, GROWS = 16 << 20, 200_000, 32 << 20, 1 << 40
 _SENT = "block string, bucket int, docs boolean, data binary, words bigint, n bigint, n_target bigint"
 
 
@@ -187,6 +188,13 @@ def _losses(table: pa.Table, buckets: int) -> tuple[pa.Array, np.ndarray, list[n
     return pa.ipc.open_stream(doc).read_all()["doc"].combine_chunks(), sizes, out
 
 
+def block_sizes(total: int, block: int, least_buckets: int) -> tuple[int, int, int]:
+    """Bytes and rows of a block, and the number of buckets, for `total` bytes of text. Each block sends a part to each bucket, so beyond GROWS both
+    grow with the square root of the text: the number of parts then grows as the text does, and their size stays."""
+    more = max(1.0, math.sqrt(total / GROWS))
+    return int(block * more), int(BLOCK_ROWS * more), max(least_buckets, math.ceil(total / (BUCKET * more)))
+
+
 def score(docs: DataFrame, targets: DataFrame, *, doc_col: str = "doc_id", text_col: str = "text", block: int = BLOCK, least_buckets: int | None = None) -> DataFrame:
     """doc_col, n_tokens, target_loss, background_loss, score (their difference), selected (score < 0) of every document.
 
@@ -194,7 +202,7 @@ def score(docs: DataFrame, targets: DataFrame, *, doc_col: str = "doc_id", text_
     compressed before the join that deals them out."""
     spark, kind = docs.sparkSession, docs.schema[doc_col].dataType.simpleString()
     total = docs.agg(F.sum(F.octet_length(raw(text_col)))).first()[0] or 0
-    buckets = max(least_buckets or int(spark.conf.get("spark.sql.shuffle.partitions")), -(-total // BUCKET))
+    block, block_rows, buckets = block_sizes(total, block, least_buckets or int(spark.conf.get("spark.sql.shuffle.partitions")))
 
     def pack():
         codec = pa.Codec("zstd", compression_level=1)
@@ -218,7 +226,7 @@ def score(docs: DataFrame, targets: DataFrame, *, doc_col: str = "doc_id", text_
             for part in slices(batch, 1, 1 << 20):
                 texts = [codec.decompress(s, n, asbytes=True) if n else None for s, n in zip(part.column(1).to_pylist(), part.column(2).to_pylist(), strict=True)]
                 own.add(part.column(0), part.column(3).to_pylist(), texts)
-                if own.bytes >= block or own.rows >= BLOCK_ROWS:
+                if own.bytes >= block or own.rows >= block_rows:
                     yield from own.rows_out(f"{partition}-{k}", buckets)
                     own, k = _Block(), k + 1
         if own.rows:

@@ -41,3 +41,30 @@ def test_every_word_and_pair_is_counted_exactly(spark, block, tmp_path):
     for r in queries.op3_lm_score(spark, str(tmp_path)).collect():
         assert r.background_loss == pytest.approx(have[r.doc_id].background_loss, rel=1e-9) and r.target_loss == pytest.approx(have[r.doc_id].target_loss, rel=1e-9)
     assert lm_tables.score(docs.limit(0), spark.createDataFrame([], "doc_id long, target boolean")).count() == 0
+
+
+def test_parts_grow_in_proportion_to_the_text():
+    gb = 1 << 30
+    assert lm_tables.block_sizes(0, lm_tables.BLOCK, 8) == (lm_tables.BLOCK, lm_tables.BLOCK_ROWS, 8)
+    assert lm_tables.block_sizes(30 * gb, lm_tables.BLOCK, 8) == (lm_tables.BLOCK, lm_tables.BLOCK_ROWS, 960)
+
+    def parts(total):
+        block, _, buckets = lm_tables.block_sizes(total, lm_tables.BLOCK, 8)
+        return total / block * buckets
+
+    assert parts(100 * lm_tables.GROWS) == pytest.approx(100 * parts(lm_tables.GROWS), rel=1e-3)
+
+
+@pytest.mark.parametrize("grows", [1, 10_000])
+def test_the_size_of_blocks_and_buckets_changes_no_score(spark, grows, monkeypatch):
+    texts = [None, "", *(" ".join(f"w{(k * j) % 91}" for j in range(120)) for k in range(60))]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3)
+    marks = spark.createDataFrame([(k, k % 3 == 0) for k in range(40)], "doc_id long, target boolean")
+
+    def found():
+        return {r.doc_id: (r.n_tokens, round(r.target_loss, 9), round(r.background_loss, 9), r.selected) for r in lm_tables.score(docs, marks, block=3000, least_buckets=4).collect()}
+
+    before = found()
+    monkeypatch.setattr(lm_tables, "BUCKET", 1000)
+    monkeypatch.setattr(lm_tables, "GROWS", grows)
+    assert found() == before and len(before) == len(texts)
