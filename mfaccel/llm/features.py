@@ -23,7 +23,7 @@ _SHAPE = bytes(
 )
 _MIX, _STEP = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9)
 _CACHE: dict[bytes, int] = {}
-_CACHED = 150_000
+_CACHED = 64_000
 
 
 def _fold(h: np.ndarray) -> np.ndarray:
@@ -49,7 +49,7 @@ def word_codes(words: list[bytes]) -> np.ndarray:
 STEMS = (4, 5, 6, 7, 8)
 _STEM_ROWS: dict[bytes, int] = {}
 _STEM_CODES = np.empty((1 << 14, len(STEMS)), np.int32)
-_STEMS_CACHED = 150_000
+_STEMS_CACHED = 64_000
 
 
 def _stem_row(word: bytes) -> int:
