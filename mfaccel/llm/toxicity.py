@@ -63,14 +63,18 @@ class Ordinal:
         a, b = np.zeros(1 << features.BITS), np.zeros(1 << features.BITS)
         for codes, y in zip(rows, toxic, strict=True):
             (a if y == 1 else b)[features.distinct(codes.astype(np.int64))] += 1
-        gain = _chance_ratio(a, b, n1, n0)
-        able = int(((a + b) >= 3).sum())
-        strong = np.flatnonzero((np.abs(gain) > 2 * np.log(max(2, able)) + 3) & (a + b >= 3))
-        strong = strong[np.argsort(-np.abs(gain[strong]), kind="stable")][:FEATURES]
+        able = np.flatnonzero(a + b >= 3)
+        gain = _chance_ratio(a[able], b[able], n1, n0)
+        best = np.flatnonzero(np.abs(gain) > 2 * np.log(max(2, len(able))) + 3)
+        best = best[np.argsort(-np.abs(gain[best]), kind="stable")][:FEATURES]
+        strong, gain = able[best], gain[best]
         self.place[strong] = np.arange(len(strong))
-        x = np.stack([self._values(c) for c in rows]) if len(strong) else np.zeros((len(rows), 0))
+        x = np.empty((len(rows), len(strong)))
+        if len(strong):
+            for k, codes in enumerate(rows):
+                x[k] = self._values(codes)
         marker = np.zeros(1 << features.BITS, bool)
-        marker[strong[gain[strong] > 0]] = True
+        marker[strong[gain > 0]] = True
         hits = np.array([int(marker[c[:n]].sum()) for c, n in zip(rows, words, strict=True)])
         grades = np.where(toxic == 1, 1 + (hits >= 2).astype(int) + (hits >= 4), 0)
         self._fit(x, grades)
