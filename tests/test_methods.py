@@ -257,3 +257,12 @@ def test_baselines(spark, cells, data):
     full = src.view(spark, "/root/testdata/sf0.01", "nation_brand").toPandas().pivot(index="user", columns="item", values="rating").to_numpy()
     s = serial.Serial(*[x.ravel() for x in np.indices(full.shape)], full.ravel(), 2, 1e-9)
     assert s.fit_als(*s.start(0), serial.Stop(gnorm=1e-9, iterations=300)).trace[-1]["loss"] == pytest.approx(baselines.svd_loss(full, 2), rel=1e-3)
+
+
+def test_meetings_give_their_pairs_piece_by_piece(spark):
+    ids, x = np.arange(300), np.ones((300, 2))
+    seen = np.arange(0, 300, 7)
+    pieces = list(recommend._scores(ids, x, np.arange(1000), np.ones((1000, 2)), seen, seen, 4000))
+    assert max(s.size for _, s in pieces) <= 4000 and sum(len(own) for own, _ in pieces) == 300
+    gone = [(int(own[r]), int(c)) for own, s in pieces for r, c in zip(*np.nonzero(s == -np.inf), strict=True)]
+    assert gone == [(k, k) for k in seen]
