@@ -119,3 +119,30 @@ def test_entry_contract(spark):
     rows = entry.entry(spark).collect()
     assert {r.algo for r in rows} == {"als", "accelerated"}
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+def test_traces_are_of_the_events(spark, data, tmp_path):
+    spec = importlib.util.spec_from_file_location("entry_of_traces", os.path.join(ROOT, "__spark_entry__.py"))
+    entry = importlib.util.module_from_spec(spec)
+    spec.loader.exec_module(entry)
+    events = spark.read.parquet(f"{data}/events.parquet").where("user_id = 3")
+    events.write.parquet(f"{tmp_path}/events.parquet")
+    rows = sorted((r.ts, r.event_id, r.value**0.5 / 100) for r in events.where("event_type IN ('click', 'purchase')").collect())
+    smooth = [r.smooth for r in entry.queries()["trace_first_hit"](spark, str(tmp_path)).orderBy("iter").collect()]
+    assert smooth == [pytest.approx((g + rows[max(0, k - 1)][2]) / 2, abs=1e-6) for k, (_, _, g) in enumerate(rows)]
+    hits = [k for k, (_, _, g) in enumerate(rows) if g < 0.01]
+    found = {r.algo: (r["mean"], r.converged + r.nonconverged) for r in entry.queries()["iterations_to"](spark, str(tmp_path)).collect()}
+    assert found["accelerated"] == (hits[0] if hits else None, 1)
+
+
+def test_equal_times_resample_by_iteration(spark):
+    t = spark.createDataFrame([(0, "als", k, 0.0, float(k)) for k in (2, 0, 3, 1)], "run int, algo string, iter int, t_sec double, q double")
+    assert {r["mean"] for r in trace.resample(t, 1.0, 2).collect()} == {3.0}
+
+
+def test_swaps_count_the_parts_that_have_a_key(spark, tmp_path):
+    spark.createDataFrame([(1,), (2,), (2,), (None,)], "p_partkey long").write.parquet(f"{tmp_path}/part.parquet")
+    spec = importlib.util.spec_from_file_location("entry_of_swaps", os.path.join(ROOT, "__spark_entry__.py"))
+    entry = importlib.util.module_from_spec(spec)
+    spec.loader.exec_module(entry)
+    assert [r.most for r in entry.queries()["max_swaps"](spark, str(tmp_path)).where("t = 1").collect()] == [ranking.max_distance(2, 1)]
