@@ -113,3 +113,25 @@ def test_batched_sums_equal_loops():
         m, r = y[cells.other[rows]], cells.rating[rows]
         assert np.allclose(new[k], np.linalg.solve(m.T @ m + ridge[k] * np.eye(4), r @ m))
         assert np.allclose(g[k], 2 * ((m @ x[k] - r) @ m + ridge[k] * x[k]))
+
+
+def test_near_ids_that_rate_near_ones_send_few_vectors(spark):
+    rows = [(g * 100 + u, g * 50 + (u * 7 + k) % 20, 1.0) for g in range(12) for u in range(40) for k in range(8)]
+    near = spark.createDataFrame(rows, "user long, item long, rating double")
+    plans = [blocks.layout(near, 12, how) for how in ("range", "hash")]
+    volumes = [sum(p.volume.values()) for p in plans]
+    assert volumes[0] < volumes[1] / 3 and all(p.nnz == len(rows) and p.n_u == 480 and p.n_m == 240 for p in plans)
+    for p in plans:
+        p.close()
+
+
+def test_a_task_gathers_vectors_in_pieces(monkeypatch):
+    dice = np.random.default_rng(3)
+    own, other = np.repeat(np.arange(30), 9), dice.integers(0, 40, 270)
+    cells = normal.BlockCells(own, other, dice.random(270), np.arange(30), np.arange(40))
+    x, p, y, q = (dice.random((n, 3)) for n in (30, 30, 40, 40))
+    whole = normal.quartic_sums(cells, x, p, y, q), normal.residual(cells, x, y), normal.gradient(cells, x, y, np.ones(30))
+    monkeypatch.setattr(normal, "BATCH", 48)
+    assert max(s.stop - s.start for s in normal.pieces(cells, 3)) == 16
+    for a, b in zip(whole, (normal.quartic_sums(cells, x, p, y, q), normal.residual(cells, x, y), normal.gradient(cells, x, y, np.ones(30))), strict=True):
+        assert np.allclose(a, b)
