@@ -266,3 +266,17 @@ def test_meetings_give_their_pairs_piece_by_piece(spark):
     assert max(s.size for _, s in pieces) <= 4000 and sum(len(own) for own, _ in pieces) == 300
     gone = [(int(own[r]), int(c)) for own, s in pieces for r, c in zip(*np.nonzero(s == -np.inf), strict=True)]
     assert gone == [(k, k) for k in seen]
+
+
+def test_top_k_leaves_out_groups_that_no_query_can_use():
+    dice = np.random.default_rng(5)
+    x, y = dice.normal(1, 0.2, (200, 2)), dice.normal(1, 0.2, (4000, 2))
+    seen = dice.integers(0, 200, 3000), dice.integers(0, 4000, 3000)
+    scores = x @ y.T
+    scores[seen] = -np.inf
+    want = np.argsort(-scores, axis=1, kind="stable")[:, :5]
+    found = {}
+    for ids, others, _ in recommend._best(np.arange(200), x, np.arange(4000), y, *seen, 5, group=16, leaf=32):
+        for i, j in zip(ids.tolist(), others.tolist(), strict=True):
+            found.setdefault(i, []).append(j)
+    assert all(found[k] == want[k].tolist() for k in range(200))
