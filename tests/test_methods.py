@@ -280,3 +280,10 @@ def test_top_k_leaves_out_groups_that_no_query_can_use():
         for i, j in zip(ids.tolist(), others.tolist(), strict=True):
             found.setdefault(i, []).append(j)
     assert all(found[k] == want[k].tolist() for k in range(200))
+
+
+def test_meetings_have_a_task_each(spark):
+    side = spark.range(90).select("id", F.array(F.lit(1.0), F.col("id").cast("double")).alias("x"))
+    pairs = recommend.score_all(side, side, block=15)
+    tasks = pairs.groupBy(F.spark_partition_id().alias("task")).agg(F.count("*").alias("n")).collect()
+    assert len(tasks) == 36 and sum(t.n for t in tasks) == 90 * 90
