@@ -135,3 +135,24 @@ def test_a_task_gathers_vectors_in_pieces(monkeypatch):
     assert max(s.stop - s.start for s in normal.pieces(cells, 3)) == 16
     for a, b in zip(whole, (normal.quartic_sums(cells, x, p, y, q), normal.residual(cells, x, y), normal.gradient(cells, x, y, np.ones(30))), strict=True):
         assert np.allclose(a, b)
+
+
+def test_routed_rows_have_no_null_lists_and_packed_ratings_are_whole(spark, cells):
+    plan = blocks.layout(cells, 3)
+    engine = distributed.Engine(plan, 2, 0.1)
+    start = engine.start()
+    routed = engine.route("user", start["user"], ["x"], start["item"], ["x"]).selectExpr("to", "mine", "dest", "x")
+    assert routed.where("dest IS NULL OR x IS NULL").count() == 0
+    rows = plan.by_user.toArrow()
+    own, other, rating = blocks.unpacked(rows)
+    assert rows.num_rows < plan.nnz == len(own) and sorted(zip(own, other, rating, strict=True)) == sorted(map(tuple, cells.collect()))
+    plan.close()
+
+
+def test_stacked_nonnegative_systems_are_minimised():
+    dice = np.random.default_rng(3)
+    m = dice.normal(size=(50, 8, 4))
+    a, v = m.transpose(0, 2, 1) @ m, dice.normal(size=(50, 4))
+    x = normal.nonnegative_solve(a, v, np.linalg.solve(a, v[..., None])[..., 0])
+    slope = np.einsum("gij,gj->gi", a, x) - v
+    assert (x >= 0).all() and (slope > -1e-6).all() and np.abs(slope * x).max() < 1e-6  # what holds at the minimum, and only there
