@@ -3,10 +3,12 @@
 from __future__ import annotations
 
 import os
+import pickle
 import tempfile
 import uuid
 from collections.abc import Callable, Iterable, Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -115,9 +117,9 @@ def first_by_hash(df: DataFrame, column: str, most: int, count: int | None = Non
 def labelled_features(
     docs: DataFrame, labels: DataFrame, label_col: str, where: F.Column, make_codes: Callable[[bytes | None], "object"],
     doc_col: str, text_col: str, most_rows: int, most_codes: int,
-) -> list[tuple[bytes | bytearray, int]]:
-    """(packed int32 codes, label) of at most `most_rows` labelled documents in the order of a hash of their ids, with
-    at most `most_codes` codes in all; ids whose labels contradict each other are left out."""
+) -> DataFrame | None:
+    """(id, y, codes), with packed int32 codes, of at most `most_rows` labelled documents in the order of a hash of their ids, with
+    at most `most_codes` codes in all; ids whose labels contradict each other are left out. None without any label."""
     spark = docs.sparkSession
     chosen = labels.where(where & F.col(label_col).isNotNull() & F.col(doc_col).isNotNull()).select(F.col(doc_col).alias("id"), F.col(label_col).cast("int").alias("y"))
     rows = first_by_hash(chosen.distinct(), "id", most_rows).collect()
@@ -126,20 +128,20 @@ def labelled_features(
         seen.setdefault(r.id, set()).add(r.y)
     of = {k: next(iter(v)) for k, v in seen.items() if len(v) == 1}
     if not of:
-        return []
+        return None
     kind = docs.schema[doc_col].dataType.simpleString()
-    ids = F.broadcast(spark.createDataFrame([(k,) for k in of], f"id {kind}"))
+    ids = F.broadcast(spark.createDataFrame(list(of.items()), f"id {kind}, y int"))
 
     def start():
         def work(batch):
             for part in slices(batch, 1):
                 packed = [make_codes(t).astype("<i4").tobytes() for t in part.column(1).to_pylist()]
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(packed, pa.binary())], ["id", "codes"])
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(2), pa.array(packed, pa.binary())], ["id", "y", "codes"])
 
         return work
 
     texts = docs.select(F.col(doc_col).alias("id"), raw(text_col).alias("text")).join(ids, "id")
-    found = cut(map_batches(texts, start, f"id {kind}, codes binary")).withColumn("h", F.xxhash64("codes"))
+    found = cut(map_batches(texts, start, f"id {kind}, y int, codes binary")).withColumn("h", F.xxhash64("codes"))
     sizes = found.select("id", "h", (F.octet_length("codes") / 4).cast("long").alias("n")).distinct()
     sizes = sizes.orderBy(F.xxhash64("id"), "id", "n", "h").limit(most_rows).collect()
     total, taken = 0, []
@@ -153,5 +155,22 @@ def labelled_features(
         found = found.join(F.broadcast(spark.createDataFrame(taken, f"id {kind}, h bigint")), ["id", "h"])
     if texts < many:  # each text of an id once
         found = found.dropDuplicates(["id", "h"])
-    rows = sorted(found.select("id", "codes").collect(), key=lambda r: (r.id, len(r.codes), r.codes))
-    return [(r.codes, of[r.id]) for r in rows]
+    return found.select("id", "y", "codes")
+
+
+def trained(found: DataFrame | None, train: Callable[[list[np.ndarray], np.ndarray], "object"]):
+    """What `train` makes of the codes and labels of labelled_features(), in the order of their ids. It works in one task, as the rows are bounded;
+    the driver gets what it returns and none of the rows."""
+
+    def work(batches):
+        rows, labels = [], []
+        for batch in batches:
+            rows += [np.frombuffer(c.as_buffer(), "<i4") for c in batch.column(1)]
+            labels += batch.column(0).to_pylist()
+        yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps(train(rows, np.array(labels)), 5)], pa.binary())], ["made"])
+
+    if found is not None:
+        inorder = found.repartition(1).sortWithinPartitions("id", F.octet_length("codes"), "codes").select("y", "codes")
+        if (made := inorder.mapInArrow(work, "made binary").first()) is not None:
+            return pickle.loads(made.made)
+    return train([], np.array([]))

@@ -5,7 +5,7 @@ counts; a linear hinge-loss model is fitted to the scaled, unit-length rows by d
 scaled indicators are drawn towards their mean size (a positive number, so that a feature of class 0 speaks for class 0), and a logistic curve through out-of-fold margins makes the score.
 
 The fit takes a bounded sample of labelled rows (TRAIN_ROWS, TRAIN_CODES), in the order of a hash of their ids, and is
-done in the driver; scoring reads every whole text once, with a model of fixed size.
+done in one task, so that the driver holds the model alone; scoring reads every whole text once, with a model of fixed size.
 
 Edge cases: a null or empty text has no features and gets the score of the bias alone; labels that are null, of
 no document, or contradictory teach nothing; with one class only (or none) every score is the smoothed share of
@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from mfaccel.llm import features
-from mfaccel.llm.common import keep_rows, labelled_features, map_batches, raw, slices
+from mfaccel.llm.common import keep_rows, labelled_features, map_batches, raw, slices, trained
 
 TRAIN_ROWS, TRAIN_CODES = 8000, 16_000_000
 THRESHOLD, FOLDS = 0.3, 5
@@ -113,6 +113,10 @@ def fit_rows(rows: list[np.ndarray], labels: np.ndarray) -> NbSvm:
     return model
 
 
+def _train(rows: list[np.ndarray], labels: np.ndarray) -> NbSvm:
+    return fit_rows(rows, labels).packed()
+
+
 def held_out(doc_col: str) -> F.Column:
     return F.pmod(F.crc32(F.coalesce(F.col(doc_col).cast("string"), F.lit("")).cast("binary")), F.lit(5)) == 0
 
@@ -120,7 +124,7 @@ def held_out(doc_col: str) -> F.Column:
 def fit(docs: DataFrame, labels: DataFrame, *, doc_col: str = "doc_id", text_col: str = "text", label_col: str = "quality", most_rows: int = TRAIN_ROWS) -> NbSvm:
     """Learns from labelled rows whose crc32(id as text) mod 5 is not 0."""
     found = labelled_features(docs, labels, label_col, ~held_out(doc_col), features.indicators, doc_col, text_col, most_rows, TRAIN_CODES)
-    return fit_rows([np.frombuffer(c, "<i4") for c, _ in found], np.array([y for _, y in found])).packed()
+    return trained(found, _train)
 
 
 def score(docs: DataFrame, model: NbSvm, *, doc_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -7,8 +7,8 @@ labels make likely in toxic documents; their pairs and beginnings do not count).
 whose likelihood ratio against the label exceeds what chance gives over all features that could; their value is
 log2(1 + occurrences).
 
-The fit takes a bounded sample of labelled rows (TRAIN_ROWS, TRAIN_CODES) and runs in the driver; scoring reads every
-whole text once with a model of fixed size.
+The fit takes a bounded sample of labelled rows (TRAIN_ROWS, TRAIN_CODES); one task chooses the features and counts them, and the
+driver fits the weights to these counts. Scoring reads every whole text once with a model of fixed size.
 
 Edge cases: null and empty texts have no features and get the severity of the bias; labels that are null, of no document
 or contradictory teach nothing; without both classes, or without a significant feature, every document has the grades'
@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from mfaccel.llm import features
-from mfaccel.llm.common import LOWER_WORDS, keep_rows, labelled_features, map_batches, raw, slices
+from mfaccel.llm.common import LOWER_WORDS, keep_rows, labelled_features, map_batches, raw, slices, trained
 
 TRAIN_ROWS, TRAIN_CODES = 8000, 16_000_000
 #: Number of grades, most features, and the least probability of any grade over 0 that makes a text toxic.
@@ -54,7 +54,8 @@ def _chance_ratio(a: np.ndarray, b: np.ndarray, n1: int, n0: int) -> np.ndarray:
 
 class Ordinal:
     def __init__(self, rows: list[np.ndarray], toxic: np.ndarray, words: list[int]):
-        """`words`: how many codes at the start of each row are those of single words."""
+        """`words`: how many codes at the start of each row are those of single words. Chooses and counts the features; fitted() does the rest."""
+        self.counts = self.grades = None
         self.place = np.full(1 << features.BITS, -1, np.int16)
         self.weights, self.cuts = np.zeros(0), np.array([30.0] * (GRADES - 1))
         n1, n0 = int((toxic == 1).sum()), int((toxic != 1).sum())
@@ -69,19 +70,29 @@ class Ordinal:
         best = best[np.argsort(-np.abs(gain[best]), kind="stable")][:FEATURES]
         strong, gain = able[best], gain[best]
         self.place[strong] = np.arange(len(strong))
-        x = np.empty((len(rows), len(strong)))
+        most = max(map(len, rows))
+        self.counts = np.empty((len(rows), len(strong)), np.min_scalar_type(most))
         if len(strong):
             for k, codes in enumerate(rows):
-                x[k] = self._values(codes)
+                self.counts[k] = self._counts(codes)
         marker = np.zeros(1 << features.BITS, bool)
         marker[strong[gain > 0]] = True
         hits = np.array([int(marker[c[:n]].sum()) for c, n in zip(rows, words, strict=True)])
-        grades = np.where(toxic == 1, 1 + (hits >= 2).astype(int) + (hits >= 4), 0)
-        self._fit(x, grades)
+        self.grades = np.where(toxic == 1, 1 + (hits >= 2).astype(int) + (hits >= 4), 0)
 
-    def _values(self, codes: np.ndarray) -> np.ndarray:
+    def fitted(self) -> "Ordinal":
+        """With the weights and cuts of what was counted."""
+        if self.counts is not None:
+            x, grades, self.counts, self.grades = np.log2(1.0 + self.counts, dtype=np.float64), self.grades, None, None
+            self._fit(x, grades)
+        return self
+
+    def _counts(self, codes: np.ndarray) -> np.ndarray:
         places = self.place[codes]
-        return np.log2(1.0 + np.bincount(places[places >= 0], minlength=int(self.place.max()) + 1))
+        return np.bincount(places[places >= 0], minlength=int(self.place.max()) + 1)
+
+    def _values(self, codes: np.ndarray) -> np.ndarray:
+        return np.log2(1.0 + self._counts(codes))
 
     def _fit(self, x: np.ndarray, grades: np.ndarray, ridge: float = 0.003, rounds: int = 800) -> None:
         """Penalised likelihood by gradient steps with step sizes of their own (Adam); cuts stay ordered by log gaps."""
@@ -116,10 +127,13 @@ class Ordinal:
         return np.diff(np.concatenate([[0.0], below, [1.0]]))
 
 
+def _count(rows: list[np.ndarray], toxic: np.ndarray) -> Ordinal:
+    return Ordinal([c[1:] for c in rows], toxic, [int(c[0]) for c in rows])
+
+
 def fit(docs: DataFrame, labels: DataFrame, *, doc_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", most_rows: int = TRAIN_ROWS) -> Ordinal:
     found = labelled_features(docs, labels, label_col, F.lit(True), _counted_after_size, doc_col, text_col, most_rows, TRAIN_CODES)
-    rows = [np.frombuffer(c, "<i4") for c, _ in found]
-    return Ordinal([c[1:] for c in rows], np.array([y for _, y in found]), [int(c[0]) for c in rows])
+    return trained(found, _count).fitted()
 
 
 def score(docs: DataFrame, model: Ordinal, *, doc_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -1,7 +1,7 @@
 """The quality classifier against plain dense computations."""
 
 import numpy as np
-from mfaccel.llm import features, nbsvm
+from mfaccel.llm import features, nbsvm, toxicity
 
 
 def rows_of(seed, count=60, codes=40):
@@ -48,3 +48,21 @@ def test_long_words_do_not_fill_the_cache():
     for _ in range(3):
         first = features.stems_view(b"x" * 5000 + b" stupid stupidity")
     assert len(features._STEM_ROWS) == 3 and len(first) == 5 + 3 + 5
+
+
+def test_fits_leave_the_rows_to_a_task(spark, data, monkeypatch):
+    docs, labels = (spark.read.parquet(f"{data}/{t}.parquet") for t in ("documents", "labels"))
+    chosen = docs.join(labels.distinct(), "doc_id")
+    rows = sorted(chosen.where(~nbsvm.held_out("doc_id")).select("doc_id", "text", "quality").distinct().collect())
+    want = nbsvm.fit_rows([features.indicators(r.text.encode()) for r in rows], np.array([r.quality for r in rows])).packed()
+    toxic = sorted(chosen.select("doc_id", "text", "toxic").distinct().collect())
+    graded = toxicity._count([toxicity._counted_after_size(r.text.encode()) for r in toxic], np.array([r.toxic for r in toxic])).fitted()
+
+    def in_driver(*_, **__):
+        raise AssertionError("rows in the driver")
+
+    monkeypatch.setattr(nbsvm.NbSvm, "__init__", in_driver)
+    monkeypatch.setattr(toxicity.Ordinal, "__init__", in_driver)
+    have, grades = nbsvm.fit(docs, labels), toxicity.fit(docs, labels)
+    assert np.allclose(have.gain, want.gain) and np.isclose(have.bias, want.bias) and np.isclose(have.slope, want.slope)
+    assert np.allclose(grades.weights, graded.weights) and np.allclose(grades.cuts, graded.cuts) and grades.counts is None
