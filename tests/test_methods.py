@@ -287,3 +287,16 @@ def test_meetings_have_a_task_each(spark):
     pairs = recommend.score_all(side, side, block=15)
     tasks = pairs.groupBy(F.spark_partition_id().alias("task")).agg(F.count("*").alias("n")).collect()
     assert len(tasks) == 36 and sum(t.n for t in tasks) == 90 * 90
+
+
+def test_seen_pairs_of_the_query_set_alone_are_kept(spark, data, monkeypatch):
+    from mfaccel import registry
+
+    given, every = [], recommend.score_all
+    monkeypatch.setattr(recommend, "score_all", lambda users, parts, seen: (given.append(seen), every(users, parts, seen))[1])
+    have = registry.queries()["seen_anti_join"](spark, data)
+    assert given[0].where("id % 20 <> 0").count() == 0
+    r = src.view(spark, data, "cust_part").where("user % 20 = 0").select("user", "item")
+    part = spark.read.parquet(f"{data}/part.parquet").select(F.col("p_partkey").alias("item"))
+    want = r.select("user").distinct().crossJoin(part).exceptAll(r)
+    assert have.exceptAll(want).count() == 0 == want.exceptAll(have).count()
