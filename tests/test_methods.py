@@ -300,3 +300,24 @@ def test_seen_pairs_of_the_query_set_alone_are_kept(spark, data, monkeypatch):
     part = spark.read.parquet(f"{data}/part.parquet").select(F.col("p_partkey").alias("item"))
     want = r.select("user").distinct().crossJoin(part).exceptAll(r)
     assert have.exceptAll(want).count() == 0 == want.exceptAll(have).count()
+
+
+def test_scores_are_rounded_in_the_tasks_and_none_is_lost(spark, data):
+    import duckdb
+    import pyarrow as pa
+
+    from mfaccel import registry
+
+    dice = np.random.default_rng(3)
+    values = np.r_[np.arange(-401, 402, 2) / 128, dice.normal(0, 0.3, 2000), 0.0, -0.0, -1e-9, 0.49999999999999994e-6, 1e300, np.inf, -np.inf, np.nan]
+    given = pa.table({"id": np.arange(len(values)), "v": values})  # noqa: F841
+    want = np.asarray(duckdb.sql("SELECT round(v, 6) + 0.0 AS r FROM given ORDER BY id").fetchnumpy()["r"], float)
+    side = spark.createDataFrame([(k, [float(v)]) for k, v in enumerate(values)], "id long, x array<double>")
+    one = spark.createDataFrame([(0, [1.0])], "id long, x array<double>")
+    have = {r.other: r.score for r in recommend.score_all(one, side, block=700, digits=6).collect()}
+    assert len(have) == len(values)  # minus infinity and what is no number are scores too
+    have = np.array([have[k] for k in range(len(values))])
+    assert np.array_equal(have, want, equal_nan=True) and not np.signbit(have[have == 0]).any()
+    made = registry.queries()["score_given_items"](spark, data)
+    assert "round(" not in made._jdf.queryExecution().optimizedPlan().toString()
+    assert made.where("score <> round(score, 6)").count() == 0
