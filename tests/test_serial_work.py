@@ -1,7 +1,7 @@
 """How much work the serial fits do, and that it gives what plain sums over cells give."""
 
 import numpy as np
-from mfaccel import workloads
+from mfaccel import registry, workloads
 from mfaccel.operators import normal, serial
 from pyspark.sql import functions as F
 
@@ -51,3 +51,14 @@ def test_every_run_of_an_experiment_has_a_task_of_its_own(spark):
     runs = workloads.multi_start(cells, "s", 8, rank=3, iterations=2)
     places = runs.select("algo", "run", F.spark_partition_id().alias("task")).distinct().collect()
     assert len(places) == 16 == len({r.task for r in places}) and runs.count() == 48
+
+
+def test_experiments_of_every_size_have_all_starts_and_keeping_places_changes_nothing(monkeypatch):
+    monkeypatch.setattr(workloads, "convergence_table", lambda spark, d, size, starts=workloads.STARTS: (size, starts))
+    sizes = [s for s in workloads.SUBSETS if s != "100x40"]
+    assert [registry.queries()[f"convergence_{s}"](None, "") for s in sizes] == [(s, workloads.STARTS) for s in sizes]
+    kept, made = problem(), problem()
+    made.by_user.keep = made.by_item.keep = False
+    runs = [p.fit_accelerated(*p.start(1), serial.Stop(gnorm=0, iterations=6)) for p in (kept, made)]
+    assert np.array_equal(runs[0].users, runs[1].users) and [r["loss"] for r in runs[0].trace] == [r["loss"] for r in runs[1].trace]
+    assert kept.by_user._kept and not made.by_user._kept
