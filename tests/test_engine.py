@@ -156,3 +156,46 @@ def test_stacked_nonnegative_systems_are_minimised():
     x = normal.nonnegative_solve(a, v, np.linalg.solve(a, v[..., None])[..., 0])
     slope = np.einsum("gij,gj->gi", a, x) - v
     assert (x >= 0).all() and (slope > -1e-6).all() and np.abs(slope * x).max() < 1e-6  # what holds at the minimum, and only there
+
+
+def held_exchanges(frame):
+    """The exchanges that the rows of a frame hold on to."""
+    seen, todo, found = set(), [frame._jdf.queryExecution().toRdd()], set()
+    while todo:
+        rdd = todo.pop()
+        if rdd.id() in seen:
+            continue
+        seen.add(rdd.id())
+        for k in range(rdd.dependencies().size()):
+            one = rdd.dependencies().apply(k)
+            if "ShuffleDependency" in one.getClass().getName():
+                found.add(one.shuffleId())
+            todo.append(one.rdd())
+    return found
+
+
+def test_ratings_in_parts_hold_one_exchange_a_side(spark, cells):
+    plan = blocks.layout(cells, 3, heavy=35)
+    assert all(plan.split.values())
+    for side in ("user", "item"):
+        rows = plan.side(side)[0]
+        assert len(held_exchanges(rows)) <= 1
+    own, other, rating = blocks.unpacked(plan.by_item.toArrow())
+    assert sorted(zip(other, own, rating, strict=True)) == sorted(map(tuple, cells.collect()))
+    plan.close()
+
+
+def test_a_pass_keeps_no_vector_twice_and_lets_old_rows_go(spark, cells):
+    plan = blocks.layout(cells, 2)
+    engine = distributed.Engine(plan, 3, 0.1)
+    state = {s: v.selectExpr(*distributed.KEYS, "x", "x AS p", "transform(x, a -> 2 * a) AS g0", "transform(x, a -> 3 * a) AS z0") for s, v in engine.start().items()}
+    old = {s: {r.id: np.array(r.x) for r in v.collect()} for s, v in state.items()}
+    sides = engine._with_z(engine._look(state, [], 0.0, "fused"))
+    assert "user" not in state and all({"g0", "z0"}.isdisjoint(v.columns) for v in sides.values())
+    dots, rows = engine._dots(sides), {s: v.collect() for s, v in sides.items()}
+    at = {c: np.concatenate([np.concatenate([np.array(r[c]) for r in rows[s]]) for s in rows]) for c in ("g", "z", "p")}
+    at["p0"] = np.concatenate([np.concatenate([old[s][r.id] for r in rows[s]]) for s in rows])
+    assert np.allclose(at["p"], at["p0"])
+    at |= {"g0": 2 * at["p0"], "z0": 3 * at["p0"]}
+    assert all(np.isclose(dots[n], at[a] @ at[b]) for n, (a, b) in distributed.DOTS.items())
+    plan.close()
